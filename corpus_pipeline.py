@@ -18,7 +18,7 @@ def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 def one_of_each_group(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Of each group of near duplicates (five-word shingles, Jaccard 0.8 or more) the row with the least doc_id.
 
-    Rows without words have no group and stay. Of repeated rows with one doc_id and the same shingles, one stays.
+    Rows without words have no group and stay, and so do all rows that share the least doc_id of a group.
     """
     classes = jaccard_join.jaccard_classes(docs, k=5, percent=80)
     lost = classes.where("n_shingles > 0 and doc_id <> component_id").select("doc_id").distinct()

@@ -19,6 +19,7 @@ from pyspark.sql import functions as F
 
 SLICE_BYTES = 4 << 20
 NO_ID = -(1 << 63)
+_LOWER = {c: c + 32 for c in range(65, 91)}
 _ODD = 0x9E3779B97F4A7C15
 
 
@@ -50,8 +51,6 @@ class Words:
 
     def __init__(self, texts: pa.Array, lower: bool = False):
         texts = pc.fill_null(pa.array(texts) if not isinstance(texts, pa.Array) else texts, "").cast(pa.large_string())
-        if lower:
-            texts = pc.ascii_lower(texts)
         lists = pc.ascii_split_whitespace(texts)
         flat, offs = lists.flatten(), lists.offsets.to_numpy()
         offs = offs - offs[0]
@@ -62,6 +61,10 @@ class Words:
         coded = pc.dictionary_encode(flat)
         self.vocab: list[str] = coded.dictionary.to_pylist()
         self.codes = coded.indices.to_numpy(zero_copy_only=False).astype(np.int64)
+        if lower:  # A-Z alone, and on the distinct words only
+            again = pc.dictionary_encode(pa.array([w.lower() if w.isascii() else w.translate(_LOWER) for w in self.vocab], pa.large_string()))
+            self.vocab = again.dictionary.to_pylist()
+            self.codes = again.indices.to_numpy(zero_copy_only=False).astype(np.int64)[self.codes]
         self.starts = offs.astype(np.int64)
         self.n = len(self.codes)
 
