@@ -52,39 +52,45 @@ def word_frequencies(frame: DataFrame) -> np.ndarray:
     return W.summed_sketch(frame.select("text"), CELLS, fill)
 
 
-def digests(frame: DataFrame, k: int) -> DataFrame:
-    """(doc_id, n_shingles, d1, d2): size and 128-bit digest of each row's shingle set."""
+def set_rows(frame: DataFrame, k: int, percent: int, freq) -> DataFrame:
+    """(doc_id, n_shingles, d1, d2, short): each row's set size, 128-bit digest and short lists, rarest shingles first.
+
+    Rarity of a shingle: the least count among its words.
+    """
 
     def run(words, b):
-        n, d = [], []
-        for u, _ in W.shingle_sets(words, k):
+        f = np.minimum(freq.value[_cells(words.hashes(7))], (1 << 20) - 1) if words.n else np.zeros(0, np.int64)
+        n, d, short = [], [], []
+        for u, low in W.shingle_sets(words, k, f):
             n.append(len(u))
             d.append(xxhash.xxh3_128_digest(u.tobytes()))
+            if len(u):
+                p = prefix_length(len(u), percent)
+                rank = (low.astype(np.uint64) << np.uint64(44)) | (u >> np.uint64(20))
+                u = u[np.argpartition(rank, p - 1)[:p]] if p < len(u) else u
+            short.append(u)
         d = np.frombuffer(b"".join(d), np.int64).reshape(-1, 2)
-        return pa.record_batch({"doc_id": b.column(0).cast(pa.int64()), "n_shingles": pa.array(n, pa.int64()), "d1": pa.array(d[:, 0].copy()), "d2": pa.array(d[:, 1].copy())})
+        cut = np.concatenate(([0], np.cumsum([len(x) for x in short]))).astype(np.int32)
+        lists = pa.ListArray.from_arrays(pa.array(cut), pa.array(np.concatenate(short).view(np.int64)))
+        return pa.record_batch({"doc_id": b.column(0).cast(pa.int64()), "n_shingles": pa.array(n, pa.int64()), "d1": pa.array(d[:, 0].copy()), "d2": pa.array(d[:, 1].copy()), "short": lists})
 
-    return frame.select("doc_id", "text").mapInArrow(W.arrow(run, lower=True), "doc_id long, n_shingles long, d1 long, d2 long")
+    return frame.select("doc_id", "text").mapInArrow(W.arrow(run, lower=True), "doc_id long, n_shingles long, d1 long, d2 long, short array<long>")
 
 
-def postings(frame: DataFrame, k: int, percent: int, freq) -> DataFrame:
-    """(g, doc_id, n): each set's short lists, rarest first. Rarity of a shingle: the least count among its words."""
+def block_members(posts: DataFrame, percent: int) -> DataFrame:
+    """(leader, doc_id): postings (g, doc_id, n) whose list has a second member of a size that can link.
 
-    def run(words, b):
-        f = np.minimum(freq.value[_cells(words.hashes(7))], (1 << 20) - 1) if words.n else np.zeros(0, np.int64)
-        out, at, size = [], [], []
-        for i, (u, low) in enumerate(W.shingle_sets(words, k, f)):
-            if len(u):
-                p = prefix_length(len(u), percent)
-                rank = (low.astype(np.uint64) << np.uint64(44)) | (u >> np.uint64(20))
-                out.append(u[np.argpartition(rank, p - 1)[:p]] if p < len(u) else u)
-                at.append(np.full(p, i))
-                size.append(np.full(p, len(u)))
-        if not out:
-            return None
-        ids = b.column(0).cast(pa.int64()).take(pa.array(np.concatenate(at)))
-        return pa.record_batch({"g": pa.array(np.concatenate(out).view(np.int64)), "doc_id": ids, "n": pa.array(np.concatenate(size).astype(np.int32))})
-
-    return frame.select("doc_id", "text").mapInArrow(W.arrow(run, lower=True), "g long, doc_id long, n int")
+    Lists of one row go first; what is left is dealt by size class as well, so that a list's members that can link meet
+    in one of two neighbouring classes. A list's leader is its least member.
+    """
+    fits = F.col("low") * 100 >= F.col("high") * percent
+    whole = posts.groupBy("g").agg(F.min("doc_id").alias("a"), F.max("doc_id").alias("b"), F.count("*").alias("m"), F.min("n").alias("low"), F.max("n").alias("high"))
+    whole = whole.where((F.col("a") < F.col("b")) & ((F.col("m") > 2) | fits)).select("g")
+    # classes [r^c, r^(c+1)) with r = 100 / percent: sizes that can link lie in one class or in neighbours
+    c = F.floor(F.log(F.col("n").cast("double")) / F.log(F.lit(100.0 / percent)) + 1e-9).cast("int")
+    some = W.written(posts.join(whole, "g").select("g", "doc_id", "n", F.explode(F.array(c, c + 1)).alias("c")), "postings")
+    lists = some.groupBy("g", "c").agg(F.min("doc_id").alias("leader"), F.max("doc_id").alias("b")).where("leader < b")
+    return some.join(lists, ["g", "c"]).select("leader", "doc_id").distinct()
 
 
 class Forest:
@@ -189,14 +195,14 @@ def jaccard_classes(frame: DataFrame, k: int = 5, percent: int = 80) -> DataFram
     """
     spark = frame.sparkSession
     base = frame.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
-    marks = W.written(digests(base, k), "digests")
+    freq = spark.sparkContext.broadcast(word_frequencies(base))
+    sets = W.written(set_rows(base, k, percent, freq), "sets")
+    marks = sets.drop("short")
     classes = marks.where("n_shingles > 0 and doc_id is not null").groupBy("d1", "d2").agg(F.min("doc_id").alias("rep"))
     classes = W.written(classes, "classes")
-    freq = spark.sparkContext.broadcast(word_frequencies(base))
-    posts = W.written(postings(base.where("doc_id is not null"), k, percent, freq), "postings")
-    lists = posts.groupBy("g").agg(F.min("doc_id").alias("leader"), F.max("doc_id").alias("last")).where("leader <> last").select("g", "leader")
+    posts = sets.where("doc_id is not null").select(F.explode("short").alias("g"), "doc_id", F.col("n_shingles").cast("int").alias("n"))
     one_each = classes.select(F.col("rep").alias("doc_id"))
-    members = posts.join(lists, "g").select("leader", "doc_id").distinct().join(one_each, "doc_id", "left_semi")
+    members = block_members(posts, percent).join(one_each, "doc_id", "left_semi")
     members = W.written(members, "members")
     sizes = members.groupBy("leader").agg(F.count("*").alias("m")).where("m > 1")
     chunks = F.ceil(F.col("m") / CHUNK).cast("int")
