@@ -103,6 +103,8 @@ class Codec:
                 x[low] = (x[low] << np.uint64(32)) | words[pos : pos + k]
                 pos += k
         ids = out.reshape(-1)[: n - start_row * lanes]
+        if last == every and n and (x != LOW).any():
+            raise ValueError("a token block does not end in the coder's first state")
         if start_row == 0 and last == every and zlib.crc32(ids.astype("<u4").tobytes()) != crc:
             raise ValueError("checksum of a token block does not match")
         return ids
