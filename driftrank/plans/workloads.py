@@ -34,12 +34,12 @@ def table2(spark, sf_dir, graph="g_dense", roots=100, updates=300, rmax_lazy=7e-
     return _tidy(graph, measures.summary(trace), names)
 
 
-def table3_4(spark, sf_dir, graph="g_dense", k=50, rmax=5e-5, r=16000, roots=100, updates=300, seconds=False) -> DataFrame:
+def table3_4(spark, sf_dir, graph="g_dense", k=50, rmax=5e-5, r=16000, roots=100, updates=300, seconds=False, truth=None) -> DataFrame:
     """Top k by lazily kept push states against a rerouted walk index."""
     first, later = arrivals(spark, sf_dir, graph, updates)
     n = G.stats(G.undirect(first)).first()["n"]
     who = G.sample_roots(G.undirect(first), roots)
-    methods = [{"name": "push", "how": "lazy", "rmax": rmax}, {"name": "walks", "how": "walks", "r": r}, {"name": "truth", "how": "lazy", "rmax": 0.02 / n}]
+    methods = [{"name": "push", "how": "lazy", "rmax": rmax}, {"name": "walks", "how": "walks", "r": r}, {"name": "truth", "how": "lazy", "rmax": truth or 0.02 / n}]
     states, trace = kernel.run(first, later, who, methods)
     states = push.cut_lineage(states)
     truth = push.top_k(states.where("method = 'truth'"), k)
@@ -60,7 +60,7 @@ def figure1(spark, sf_dir, graph="g_mid", rmax=1e-4, roots=100, updates=300, fir
     return _tidy(graph, wide, ["residual_updates", "push_iterations", "push_cost", *(["seconds"] if seconds else [])])
 
 
-def toggles(spark, sf_dir, rmax=1e-6, roots=20, updates=500) -> DataFrame:
+def toggles(spark, sf_dir, rmax=1e-5, roots=8, updates=200) -> DataFrame:
     """Insertions and deletions: the user-key stream from an empty graph on, lazy and reverse repair."""
     ev = G.resolve_toggles(G.toggles(spark, sf_dir)).orderBy("ts", "seq").limit(updates).select("seq", "src", "dst", "op")
     who = ev.select(F.col("src").alias("root")).distinct().orderBy(F.md5(F.col("root").cast("string"))).limit(roots)
@@ -69,7 +69,7 @@ def toggles(spark, sf_dir, rmax=1e-6, roots=20, updates=500) -> DataFrame:
     return _tidy("g_toggle", measures.summary(trace), ["residual_updates", "push_iterations", "push_cost", "entries"])
 
 
-def sweep(spark, sf_dir, graph="g_dense", what="order", roots=10, updates=100, rmax=1e-5) -> DataFrame:
+def sweep(spark, sf_dir, graph="g_dense", what="order", roots=4, updates=50, rmax=5e-5) -> DataFrame:
     """Ablations: push order, sign phases, thresholds."""
     first, later = arrivals(spark, sf_dir, graph, updates)
     grid = {
