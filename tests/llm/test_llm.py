@@ -70,7 +70,7 @@ def test_jaccard(docs, k, percent, chunk, monkeypatch):
 
 
 def test_substrings(docs):
-    out = substring_dedup.dedup_substrings(docs, carry=["kept", "th"]) if False else substring_dedup.dedup_substrings(docs)
+    out = substring_dedup.dedup_substrings(docs)
     got = sorted(((r["doc_id"] is None, r["doc_id"] or 0, r["n_words"], r["n_removed"], r["kept_sha256"]) for r in out.collect()))
     seen = {}
     for _, t in ROWS:
