@@ -41,7 +41,7 @@ def accuracy(found: DataFrame, truth: DataFrame, k: int) -> DataFrame:
 
 def summary(trace: DataFrame) -> DataFrame:
     """Means over roots of all counters, by method."""
-    names = ["residual_updates", "push_iterations", "push_cost", "repair_abs", "entries", "rerouted", "seconds"]
+    names = ["residual_updates", "push_iterations", "push_cost", "repair_abs", "entries", "rerouted", "broken", "seconds"]
     return trace.groupBy("method").agg(*(F.avg(c).alias(c) for c in names))
 
 

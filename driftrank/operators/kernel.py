@@ -1,7 +1,8 @@
 """Exact one-update-at-a-time maintenance inside one task per root: no shuffle, parallel over roots.
 
-The graph goes to the workers once, behind engine.choose()'s size check. Counters follow the published measures:
-residual updates (repair writes and one per neighbour of a push), push iterations, push cost (degrees of pushed vertices).
+The graph goes to the workers once, as sorted arrays behind engine.choose()'s size check; a root copies only the
+lists it touches, and its first state comes from whole-array rounds. Counters follow the published measures: residual
+updates (repair writes and one per neighbour of a push), push iterations, push cost (degrees of pushed vertices).
 """
 
 from __future__ import annotations
@@ -11,31 +12,98 @@ import random
 import time
 from collections import deque
 
+import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from driftrank import engine, schemas
+from driftrank.functions import measures
+
+
+class Frozen:
+    """Arcs (m, 2) as arrays: vertex ids, and the far ends of each vertex's arcs in both directions."""
+
+    def __init__(self, arcs: np.ndarray):
+        arcs = np.asarray(arcs, dtype=np.int64).reshape(-1, 2)
+        self.ids, at = np.unique(arcs, return_inverse=True)
+        at = at.reshape(-1, 2)
+        self.src, self.dst = at[:, 0], at[:, 1]
+        self.deg = np.bincount(self.src, minlength=len(self.ids))
+        self.sides = {}
+        for name, near, far in (("out", self.src, self.dst), ("into", self.dst, self.src)):
+            line = np.lexsort((far, near))
+            self.sides[name] = (np.searchsorted(near[line], np.arange(len(self.ids) + 1)), self.ids[far[line]])
+
+    def near(self, side: str, u: int) -> list[int]:
+        i = int(np.searchsorted(self.ids, u))
+        if i == len(self.ids) or self.ids[i] != u:
+            return []
+        starts, far = self.sides[side]
+        return far[starts[i] : starts[i + 1]].tolist()
+
+    def settle(self, root: int, alpha: float, rmax: float, kind: str) -> tuple[dict, dict, float]:
+        """(est, res, sink) of a push from scratch, all active vertices of a round at once."""
+        i = int(np.searchsorted(self.ids, root))
+        if i == len(self.ids) or self.ids[i] != root:
+            return {}, {root: 1.0}, 0.0
+        n, sink = len(self.ids), 0.0
+        est, res = np.zeros(n), np.zeros(n)
+        res[i] = 1.0
+        unit = np.maximum(self.deg, 1)
+        limit = rmax * unit if kind == "forward" else np.full(n, rmax)
+        frm, to = (self.src, self.dst) if kind == "forward" else (self.dst, self.src)
+        while (on := res > limit).any():
+            sent = np.where(on, res, 0.0)
+            est += alpha * sent
+            used = on[frm]
+            weight = sent[frm[used]] / unit[self.src[used]]
+            res = np.where(on, 0.0, res) + (1 - alpha) * np.bincount(to[used], weight, n)
+            if kind == "forward":
+                sink += (1 - alpha) * float(sent[self.deg == 0].sum())
+        pick = lambda x: dict(zip(self.ids[x != 0].tolist(), x[x != 0].tolist()))
+        return pick(est), pick(res), sink
+
+
+class Lists(dict):
+    """One direction of a Frozen graph as lists that may be changed; a list is copied when first asked for."""
+
+    def __init__(self, base: Frozen, side: str):
+        super().__init__()
+        self.base, self.side = base, side
+
+    def __missing__(self, u: int) -> list[int]:
+        self[u] = got = self.base.near(self.side, u)
+        return got
 
 
 class Local:
-    """Push state of one root over a private adjacency; kind 'forward' or 'reverse'."""
-
-    def __init__(self, arcs, root: int, alpha: float, rmax: float, kind: str = "forward", order: str = "max_first", signs=(1, -1)):
-        self.out: dict[int, list[int]] = {}
-        self.into: dict[int, list[int]] = {}
-        for u, v in arcs:
-            self.out.setdefault(u, []).append(v)
-            self.into.setdefault(v, []).append(u)
+    """Push state of one root over a private adjacency; kind 'forward' or 'reverse'.
+
+    ``ready`` starts from whole-array rounds; without it the first push runs in ``order`` too, and is counted.
+    """
+
+    def __init__(self, arcs, root: int, alpha: float, rmax: float, kind: str = "forward", order: str = "max_first", signs=(1, -1), ready: bool = False):
+        base = arcs if isinstance(arcs, Frozen) else Frozen(list(arcs))
+        self.out, self.into = Lists(base, "out"), Lists(base, "into")
         self.root, self.alpha, self.rmax, self.kind, self.order, self.signs = root, alpha, rmax, kind, order, signs
-        self.est: dict[int, float] = {}
-        self.res = {root: 1.0}
-        self.sink = self.repair_abs = 0.0
+        self.repair_abs = 0.0
         self.updates = self.pushes = self.cost = 0
-        self.drain([root])
+        if ready:
+            self.est, self.res, self.sink = base.settle(root, alpha, rmax, kind)
+            self.drain(self.res)
+        else:
+            self.restart()
+
+    def restart(self) -> None:
+        """Push from scratch on the graph as it is now."""
+        self.est: dict[int, float] = {}
+        self.res = {self.root: 1.0}
+        self.sink = 0.0
+        self.drain([self.root])
 
     def limit(self, u: int) -> float:
-        return self.rmax * (max(1, len(self.out.get(u, ()))) if self.kind == "forward" else 1)
+        return self.rmax * (max(1, len(self.out[u])) if self.kind == "forward" else 1)
 
     def over(self, u: int, sign: int) -> bool:
         return self.res.get(u, 0.0) * sign > self.limit(u)
@@ -43,7 +111,7 @@ class Local:
     def push(self, u: int) -> list[int]:
         a, r = self.alpha, self.res.pop(u)
         self.est[u] = self.est.get(u, 0.0) + a * r
-        near = self.out.get(u, []) if self.kind == "forward" else self.into.get(u, [])
+        near = self.out[u] if self.kind == "forward" else self.into[u]
         if self.kind == "forward":
             if not near:
                 self.sink += (1 - a) * r
@@ -91,11 +159,11 @@ class Local:
     def arc(self, u: int, v: int, op: int, how: str) -> set[int]:
         """Change arc u -> v (op +1 or -1), repair by ``how`` (lazy, eager or reverse); which vertices were touched."""
         a = self.alpha
-        near = self.out.setdefault(u, [])
+        near = self.out[u]
         old = list(near) if how == "eager" else None
         d = len(near)
         (near.append if op > 0 else near.remove)(v)
-        (self.into.setdefault(v, []).append if op > 0 else self.into[v].remove)(u)
+        (self.into[v].append if op > 0 else self.into[v].remove)(u)
         new = len(near)
         e = self.est.get(u, 0.0)
         if how == "reverse":
@@ -129,6 +197,14 @@ class Local:
             touched |= self.arc(u, v, op, how)
         self.drain(touched)
 
+    def checked_update(self, arcs: list[tuple[int, int, int]], how: str) -> bool:
+        """An update of a forward state; whether its push cost kept measures.forward_update_bound()."""
+        mass = lambda: sum(map(abs, self.res.values()))
+        before, added, cost = mass(), self.repair_abs, self.cost
+        self.update(arcs, how)
+        bound = measures.forward_update_bound(before, mass(), self.repair_abs - added, self.alpha, self.rmax)
+        return self.cost - cost <= bound * (1 + 1e-9) + 1e-6
+
     def entries(self) -> int:
         return sum(x != 0 for x in self.est.values()) + sum(x != 0 for x in self.res.values())
 
@@ -137,9 +213,7 @@ class Walks:
     """Monte-Carlo baseline: ``r`` walks from one root with an index of visits, rerouted on each arc update."""
 
     def __init__(self, arcs, root: int, alpha: float, r: int, seed: int = 1):
-        self.out: dict[int, list[int]] = {}
-        for u, v in arcs:
-            self.out.setdefault(u, []).append(v)
+        self.out = Lists(arcs if isinstance(arcs, Frozen) else Frozen(list(arcs)), "out")
         self.alpha, self.root, self.rng = alpha, root, random.Random(seed * 1_000_003 + root)
         self.paths = [self.grow([root]) for _ in range(r)]
         self.at: dict[int, set[int]] = {}
@@ -151,7 +225,7 @@ class Walks:
     def grow(self, path: list[int]) -> list[int]:
         """Walk on from the last vertex; a path that cannot leave ends with the mark -1."""
         while self.rng.random() >= self.alpha:
-            near = self.out.get(path[-1])
+            near = self.out[path[-1]]
             if not near:
                 return [*path, schemas.SINK]
             path.append(near[int(self.rng.random() * len(near))])
@@ -166,7 +240,7 @@ class Walks:
         self.rerouted += 1
 
     def arc(self, u: int, v: int, op: int) -> None:
-        near = self.out.setdefault(u, [])
+        near = self.out[u]
         (near.append if op > 0 else near.remove)(v)
         for w in sorted(self.at.get(u, ())):
             p = self.paths[w]
@@ -191,32 +265,31 @@ class Walks:
         return sum(map(len, self.paths))
 
 
-STATE_OUT = "method string, root long, node long, est double, res double"
-TRACE_OUT = "method string, root long, residual_updates long, push_iterations long, push_cost long, repair_abs double, entries long, rerouted long, seconds double"
+TRACE_OUT = "method string, root long, residual_updates long, push_iterations long, push_cost long, repair_abs double, entries long, rerouted long, broken long, seconds double"
+ALL_OUT = f"{TRACE_OUT}, node long, est double, res double"
+SHARDS = 2048  # tasks that roots are dealt to, if there are as many; a number given by hand is not merged at run time
 
 
 def run(initial: DataFrame, events: DataFrame, roots: DataFrame, methods: list[dict], alpha: float = 0.2, undirected: bool = True, batch: int = 1) -> tuple[DataFrame, DataFrame]:
     """Maintain every root over the events with each method; (states, trace). Counters leave out the initial run.
 
     A method: name, how (lazy, eager, reverse, rebuild_forward, rebuild_reverse, walks), rmax or r, optionally order,
-    signs and first (rebuilds only so many updates). ``batch`` updates share one push phase.
+    signs, first (rebuilds only so many updates) and check (forward only: counts updates over their cost bound as
+    broken). ``batch`` updates share one push phase. Both results come from one pass, written to the shared folder.
     """
     spark = initial.sparkSession
-    if engine.choose(initial.select("src", "dst")) != "kernel":
+    if engine.choose(initial.select("src", "dst")) != "kernel" or engine.choose(events) != "kernel":
         raise ValueError("graph over the kernel's checked bound; use operators.push and operators.repair")
-    arcs = initial.select("src", "dst").orderBy("src", "dst").toPandas().to_numpy()
-    todo = events.select("src", "dst", "op").orderBy("seq").toPandas().to_numpy() if "seq" in events.columns else events.toPandas().to_numpy()
+    arcs = initial.select("src", "dst").toPandas().to_numpy(dtype=np.int64)
+    if undirected:
+        arcs = np.concatenate([arcs, arcs[arcs[:, 0] != arcs[:, 1]][:, ::-1]])
+    todo = (events.orderBy("seq") if "seq" in events.columns else events).select("src", "dst", "op").toPandas().to_numpy()
     held = spark.sparkContext.broadcast((arcs, todo))
 
-    def one(root: int, m: dict) -> tuple[dict, pd.DataFrame]:
-        first, later = held.value
-        base = [(u, v) for u, v in first.tolist()]
-        if undirected:
-            base += [(v, u) for u, v in base if u != v]
-        both = [[(u, v, op), (v, u, op)] if undirected and u != v else [(u, v, op)] for u, v, op in later.tolist()]
+    def one(base: Frozen, both: list, root: int, m: dict) -> tuple[dict, dict, dict]:
         how, order = m["how"], m.get("order", "max_first")
         kind = "reverse" if how.endswith("reverse") else "forward"
-        row = {"residual_updates": 0, "push_iterations": 0, "push_cost": 0, "repair_abs": 0.0, "rerouted": 0}
+        row = {"residual_updates": 0, "push_iterations": 0, "push_cost": 0, "repair_abs": 0.0, "rerouted": 0, "broken": 0}
         if how == "walks":
             k = Walks(base, root, alpha, m["r"])
             t = time.perf_counter()
@@ -224,39 +297,44 @@ def run(initial: DataFrame, events: DataFrame, roots: DataFrame, methods: list[d
                 for a in arcs_of:
                     k.arc(*a)
             row |= {"seconds": time.perf_counter() - t, "rerouted": k.rerouted, "entries": k.entries()}
-            s = k.scores()
-            nodes = sorted(s)
-            return row, pd.DataFrame({"node": nodes, "est": [s[x] for x in nodes], "res": 0.0})
-        k = Local(base, root, alpha, m["rmax"], kind, order, m.get("signs", (1, -1)))
+            return row, k.scores(), {}
+        k = Local(base, root, alpha, m["rmax"], kind, order, m.get("signs", (1, -1)), ready=True)
+        u0, p0, c0 = k.updates, k.pushes, k.cost
+        t = time.perf_counter()
         if how.startswith("rebuild"):
-            edges, t = {(u, v) for u, v in base}, time.perf_counter()
             for arcs_of in both[: m.get("first", len(both))]:
                 for u, v, op in arcs_of:
-                    (edges.add if op > 0 else edges.discard)((u, v))
-                k = Local(sorted(edges), root, alpha, m["rmax"], kind, order)
-                for name, x in (("residual_updates", k.updates), ("push_iterations", k.pushes), ("push_cost", k.cost)):
-                    row[name] += x
-            row["seconds"] = time.perf_counter() - t
+                    (k.out[u].append if op > 0 else k.out[u].remove)(v)
+                    (k.into[v].append if op > 0 else k.into[v].remove)(u)
+                k.restart()
         else:
-            u0, p0, c0 = k.updates, k.pushes, k.cost
-            t = time.perf_counter()
             for lo in range(0, len(both), batch):
-                k.update([a for arcs_of in both[lo : lo + batch] for a in arcs_of], how)
-            row |= {"seconds": time.perf_counter() - t, "residual_updates": k.updates - u0, "push_iterations": k.pushes - p0, "push_cost": k.cost - c0, "repair_abs": k.repair_abs}
-        row["entries"] = k.entries()
-        nodes = sorted({*k.est, *k.res})
-        state = pd.DataFrame({"node": [*nodes, schemas.SINK], "est": [*(k.est.get(x, 0.0) for x in nodes), k.sink], "res": [*(k.res.get(x, 0.0) for x in nodes), 0.0]})
-        return row, state
-
-    def states(pdf: pd.DataFrame) -> pd.DataFrame:
-        out = [one(int(r), m)[1].assign(method=m["name"], root=int(r)) for r in pdf["root"] for m in methods]
-        return pd.concat(out)[["method", "root", "node", "est", "res"]]
-
-    def traces(pdf: pd.DataFrame) -> pd.DataFrame:
-        out = [one(int(r), m)[0] | {"method": m["name"], "root": int(r)} for r in pdf["root"] for m in methods]
-        return pd.DataFrame(out)[[c.split()[0] for c in TRACE_OUT.split(", ")]]
-
-    shards = roots.select(F.col("root").cast("long").alias("root")).withColumn("shard", F.pmod(F.xxhash64("root"), F.lit(64)))
-    return shards.groupBy("shard").applyInPandas(lambda p: states(p), STATE_OUT), shards.groupBy("shard").applyInPandas(lambda p: traces(p), TRACE_OUT)
-
-
+                now = [a for arcs_of in both[lo : lo + batch] for a in arcs_of]
+                if m.get("check"):
+                    row["broken"] += not k.checked_update(now, how)
+                else:
+                    k.update(now, how)
+        row |= {"seconds": time.perf_counter() - t, "residual_updates": k.updates - u0, "push_iterations": k.pushes - p0, "push_cost": k.cost - c0, "repair_abs": k.repair_abs, "entries": k.entries()}
+        return row, k.est | {schemas.SINK: k.sink}, k.res
+
+    def shard(parts):
+        base = None
+        for pdf in parts:
+            if base is None and len(pdf):
+                first, later = held.value
+                base = Frozen(first)
+                both = [[(u, v, op), (v, u, op)] if undirected and u != v else [(u, v, op)] for u, v, op in later.tolist()]
+            for r in pdf["root"]:
+                for m in methods:
+                    row, est, res = one(base, both, int(r), m)
+                    yield pd.DataFrame([row | {"method": m["name"], "root": int(r)}]).reindex(columns=names)
+                    nodes = sorted({*est, *res})
+                    state = {"node": nodes, "est": [est.get(x, 0.0) for x in nodes], "res": [res.get(x, 0.0) for x in nodes]}
+                    yield pd.DataFrame(state).assign(method=m["name"], root=int(r)).reindex(columns=names)
+
+    names = [c.split()[0] for c in ALL_OUT.split(", ")]
+    who = roots.select(F.col("root").cast("long").alias("root"))
+    spread = who.repartition(max(1, min(SHARDS, who.count())), "root")
+    both_kinds = engine.cut_lineage(spread.mapInPandas(shard, ALL_OUT), "kernel")
+    trace = both_kinds.where("seconds is not null").select(*[c.split()[0] for c in TRACE_OUT.split(", ")])
+    return both_kinds.where("seconds is null").select("method", "root", "node", "est", "res"), trace

@@ -87,9 +87,15 @@ def stats(arcs: DataFrame) -> DataFrame:
 
 
 def permutation(edges: DataFrame, seed: int = 1) -> DataFrame:
-    """(src, dst, pos): a reproducible random arrival order, by md5 of the pair."""
-    key = F.md5(F.concat_ws(":", F.lit(str(seed)), "src", "dst"))
-    return edges.withColumn("pos", F.row_number().over(Window.orderBy(key, "src", "dst")).cast("long")).select("src", "dst", "pos")
+    """(src, dst, pos): a reproducible random arrival order, by md5 of the pair.
+
+    Rows are ranked inside 65,536 slices of the hash, to which the rows of all earlier slices (one number each) are added.
+    """
+    keyed = edges.select("src", "dst", F.md5(F.concat_ws(":", F.lit(str(seed)), "src", "dst")).alias("key")).withColumn("slice", F.substring("key", 1, 4))
+    before = Window.orderBy("slice").rowsBetween(Window.unboundedPreceding, -1)
+    sizes = keyed.groupBy("slice").count().select("slice", F.coalesce(F.sum("count").over(before), F.lit(0)).alias("before"))
+    here = F.row_number().over(Window.partitionBy("slice").orderBy("key", "src", "dst"))
+    return keyed.withColumn("here", here).join(F.broadcast(sizes), "slice").select("src", "dst", (F.col("here") + F.col("before")).cast("long").alias("pos"))
 
 
 def sample_roots(arcs: DataFrame, k: int, seed: int = 1) -> DataFrame:
