@@ -35,12 +35,20 @@ class Frozen:
             line = np.lexsort((far, near))
             self.sides[name] = (np.searchsorted(near[line], np.arange(len(self.ids) + 1)), self.ids[far[line]])
 
-    def near(self, side: str, u: int) -> list[int]:
+    def span(self, side: str, u: int) -> tuple[int, int]:
         i = int(np.searchsorted(self.ids, u))
         if i == len(self.ids) or self.ids[i] != u:
-            return []
-        starts, far = self.sides[side]
-        return far[starts[i] : starts[i + 1]].tolist()
+            return 0, 0
+        starts = self.sides[side][0]
+        return int(starts[i]), int(starts[i + 1])
+
+    def near(self, side: str, u: int) -> list[int]:
+        lo, hi = self.span(side, u)
+        return self.sides[side][1][lo:hi].tolist()
+
+    def size(self, side: str, u: int) -> int:
+        lo, hi = self.span(side, u)
+        return hi - lo
 
     def settle(self, root: int, alpha: float, rmax: float, kind: str) -> tuple[dict, dict, float]:
         """(est, res, sink) of a push from scratch, all active vertices of a round at once."""
@@ -71,11 +79,25 @@ class Lists(dict):
     def __init__(self, base: Frozen, side: str):
         super().__init__()
         self.base, self.side = base, side
+        self.due: dict[int, list[tuple[int, int]]] = {}  # changes of lists not yet copied
 
     def __missing__(self, u: int) -> list[int]:
         self[u] = got = self.base.near(self.side, u)
+        for v, op in self.due.pop(u, ()):
+            (got.append if op > 0 else got.remove)(v)
         return got
 
+    def change(self, u: int, v: int, op: int) -> None:
+        if u in self:
+            (self[u].append if op > 0 else self[u].remove)(v)
+        else:
+            self.due.setdefault(u, []).append((v, op))
+
+    def size(self, u: int) -> int:
+        if u in self:
+            return len(self[u])
+        return self.base.size(self.side, u) + sum(op for _, op in self.due.get(u, ()))
+
 
 class Local:
     """Push state of one root over a private adjacency; kind 'forward' or 'reverse'.
@@ -103,10 +125,11 @@ class Local:
         self.drain([self.root])
 
     def limit(self, u: int) -> float:
-        return self.rmax * (max(1, len(self.out[u])) if self.kind == "forward" else 1)
+        return self.rmax * (max(1, self.out.size(u)) if self.kind == "forward" else 1)
 
     def over(self, u: int, sign: int) -> bool:
-        return self.res.get(u, 0.0) * sign > self.limit(u)
+        r = self.res.get(u, 0.0) * sign
+        return r > self.rmax and r > self.limit(u)
 
     def push(self, u: int) -> list[int]:
         a, r = self.alpha, self.res.pop(u)
@@ -120,7 +143,7 @@ class Local:
                 self.res[v] = self.res.get(v, 0.0) + share
         else:
             for v in near:
-                self.res[v] = self.res.get(v, 0.0) + (1 - a) * r / len(self.out[v])
+                self.res[v] = self.res.get(v, 0.0) + (1 - a) * r / self.out.size(v)
         self.updates += len(near)
         self.pushes += 1
         self.cost += len(near)
@@ -158,14 +181,17 @@ class Local:
 
     def arc(self, u: int, v: int, op: int, how: str) -> set[int]:
         """Change arc u -> v (op +1 or -1), repair by ``how`` (lazy, eager or reverse); which vertices were touched."""
-        a = self.alpha
-        near = self.out[u]
-        old = list(near) if how == "eager" else None
-        d = len(near)
-        (near.append if op > 0 else near.remove)(v)
-        (self.into[v].append if op > 0 else self.into[v].remove)(u)
-        new = len(near)
-        e = self.est.get(u, 0.0)
+        a, e = self.alpha, self.est.get(u, 0.0)
+        if self.kind == "reverse":
+            self.into.change(v, u, op)
+        if e == 0.0 and (self.kind == "forward" or not (u == self.root or self.res.get(u) or self.est.get(v))):
+            self.out.change(u, v, op)  # nothing to repair
+            self.updates += self.kind == "reverse"
+            return {u}
+        old = list(self.out[u]) if how == "eager" else None
+        d = self.out.size(u)
+        self.out.change(u, v, op)
+        new = d + op
         if how == "reverse":
             unit = 1.0 if u == self.root else 0.0
             r = self.res.get(u, 0.0)
@@ -173,8 +199,6 @@ class Local:
             x = (x * d + op * (1 - a) * self.est.get(v, 0.0)) / new if new else 0.0
             self.add(u, (x - e + a * unit) / a - r)
             return {u}
-        if e == 0.0:
-            return {u}
         if d == 0 or new == 0:
             self.sink -= op * (1 - a) / a * e
             self.add(v, op * (1 - a) / a * e)
@@ -304,8 +328,8 @@ def run(initial: DataFrame, events: DataFrame, roots: DataFrame, methods: list[d
         if how.startswith("rebuild"):
             for arcs_of in both[: m.get("first", len(both))]:
                 for u, v, op in arcs_of:
-                    (k.out[u].append if op > 0 else k.out[u].remove)(v)
-                    (k.into[v].append if op > 0 else k.into[v].remove)(u)
+                    k.out.change(u, v, op)
+                    k.into.change(v, u, op)
                 k.restart()
         else:
             for lo in range(0, len(both), batch):

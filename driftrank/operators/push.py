@@ -79,17 +79,32 @@ def reverse(arcs, state, alpha=0.2, rmax=1e-4, **kw) -> DataFrame:
     return push(arcs, state, alpha, rmax, "reverse", **kw)
 
 
-def power_iteration(arcs: DataFrame, roots: DataFrame, alpha: float = 0.2, rounds: int = 60, kind: str = "forward") -> DataFrame:
-    """(root, node, ppr): all residual mass is pushed ``rounds`` times; what is left is (1 - alpha) ** rounds at most."""
+def spread(arcs: DataFrame, state: DataFrame, alpha: float = 0.2, rounds: int = 60, kind: str = "forward") -> DataFrame:
+    """State after all residual mass was pushed ``rounds`` times; (1 - alpha) ** rounds of it is left at most."""
     adj = cut_lineage(lists(arcs, kind), "adjacency")
-    state = start_state(roots)
     for k in range(rounds):
         state = one_round(adj, state, alpha, 0.0, 1, kind)
         if k % 4 == 3:
             state = cut_lineage(state)
+    return state
+
+
+def power_iteration(arcs: DataFrame, roots: DataFrame, alpha: float = 0.2, rounds: int = 60, kind: str = "forward") -> DataFrame:
+    """(root, node, ppr) by ``rounds`` full pushes from every root."""
+    state = spread(arcs, start_state(roots), alpha, rounds, kind)
     return state.where(F.col("node") != SINK).select("root", "node", F.col("est").alias("ppr"))
 
 
+def potential(arcs: DataFrame, alpha: float = 0.2, rounds: int = 24) -> DataFrame:
+    """(node, phi): scores from all vertices at once, each weighted by its in-degree; the sink row is part of it.
+
+    Mass not yet settled after ``rounds`` counts where it is: on undirected graphs that is already exact.
+    """
+    start = arcs.groupBy(F.col("dst").alias("node")).agg(F.count("*").cast("double").alias("res"))
+    state = spread(arcs, start.select(F.lit(0).cast("long").alias("root"), "node", F.lit(0.0).alias("est"), "res"), alpha, rounds)
+    return state.select("node", (F.col("est") + F.col("res")).alias("phi"))
+
+
 def top_k(scores: DataFrame, k: int, score: str = "est") -> DataFrame:
     """(root, rank, node, score); ties by node id."""
     from pyspark.sql.window import Window

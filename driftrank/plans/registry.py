@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 from driftrank.functions import measures
 from driftrank.operators import kernel, push, repair
 from driftrank.plans import oracle as O
-from driftrank.plans import workloads
+from driftrank.plans import relational, workloads
 from driftrank.sources import graph as G
 
 ALPHA = 0.2
@@ -152,6 +152,32 @@ def _symmetry(spark, sf_dir):
     return measures.symmetry(near, G.degrees(arcs)).agg(F.count("*").alias("pairs"), F.count_if(F.abs(F.col("lhs") - F.col("rhs")) > 1e-5).alias("broken"))
 
 
+def _cost_bound(spark, sf_dir):
+    """Of 300 single updates, those whose push cost breaks the bound by residual mass and repair mass: none."""
+    first, later = workloads.arrivals(spark, sf_dir, "g_dense", 300)
+    methods = [{"name": h, "how": h, "rmax": 5e-5, "check": True} for h in ("lazy", "eager")]
+    _, trace = kernel.run(first, later, G.sample_roots(G.undirect(first), 4), methods)
+    return trace.groupBy("method").agg(F.sum("broken").alias("broken"))
+
+
+def _phi_sum(spark, sf_dir):
+    arcs = push.cut_lineage(G.build(spark, sf_dir, "g_next"))
+    return push.potential(arcs).agg(F.round(F.sum("phi"), 2).alias("total"))
+
+
+def _phi_is_degree(spark, sf_dir):
+    arcs = push.cut_lineage(G.undirect(G.build(spark, sf_dir, "g_geo")))
+    return push.potential(arcs).where("node <> -1").select("node", (F.round("phi", 3) + F.lit(0.0)).alias("phi"))
+
+
+def _degree_sum(spark, sf_dir):
+    """Targets of an undirected graph whose column, cut after 24 rounds (a lower bound), sums to more than their degree: none."""
+    arcs = push.cut_lineage(G.undirect(G.build(spark, sf_dir, "g_geo")))
+    column = push.power_iteration(arcs, G.sample_roots(arcs, 20), ALPHA, 24, "reverse").groupBy("root").agg(F.sum("ppr").alias("total"))
+    j = column.join(G.degrees(arcs).withColumnRenamed("node", "root"), "root")
+    return j.agg(F.count("*").alias("targets"), F.count_if(F.col("total") > F.col("d_out") * (1 + 1e-9)).alias("broken"))
+
+
 def _degree_table(spark, sf_dir):
     return G.degrees(G.undirect(G.build(spark, sf_dir, "g_dense"))).select("node", "d_out", "d_in")
 
@@ -193,6 +219,11 @@ def _pairs() -> dict:
     q["forward_defect"] = (lambda s, d: _violations(s, d, "forward"), "select 0::bigint as violations")
     q["reverse_defect"] = (lambda s, d: _violations(s, d, "reverse"), "select 0::bigint as violations")
     q["error_bounds"] = (_bounds, "select 'forward' as kind, 0::bigint as broken union all select 'reverse', 0")
+    q["cost_bound_forward"] = (_cost_bound, "select 'lazy' as method, 0::bigint as broken union all select 'eager', 0")
+    q["phi_sum"] = (_phi_sum, f"select round(count(*)::double, 2) as total from ({O.GRAPHS['g_next']})")
+    q["phi_is_degree"] = (_phi_is_degree, f"with {O.arcs('g_geo')} select node, round(d::double, 3) as phi from deg")
+    q["prop_degree_sum"] = (_degree_sum, "select 20::bigint as targets, 0::bigint as broken")
+    q |= relational.PAIRS
     q["symmetry"] = (_symmetry, None)
     q["topk_ppr"] = (_top, f"with {O.arcs('g_ps')}, {O.rounds(O.start(3), [(1, 24)], ALPHA, 1e-5, 'forward', 'x')} select root, rank, node, {_r('est', 'score')} from (select *, row_number() over (partition by root order by est desc, node) as rank from x_end) where rank <= 10")
     q["knn_edges"] = (lambda s, d: G.build(s, d, "g_knn"), None)
