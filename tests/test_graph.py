@@ -137,3 +137,23 @@ def test_streaming_maintenance(spark, tmp_path):
     nodes, pi = exact(PATH)
     got = state_of(m.state)
     assert all(abs(got[x][0] - pi[0, k]) <= 2e-4 for k, x in enumerate(nodes))
+
+
+def test_kernel_first_state_lists_and_cost_bound():
+    """A state from whole-array rounds obeys the stop rule; waiting changes reach lists and sizes; costs keep their bound."""
+    from driftrank.operators.kernel import Frozen, Lists
+
+    arcs = [(u, v) for u in range(12) for v in range(12) if u != v and (u * 7 + v * 3) % 5 < 2]
+    arcs += [(v, u) for u, v in arcs if (v, u) not in set(arcs)]
+    base = Frozen(arcs)
+    side = Lists(base, "out")
+    side.change(3, 99, 1)
+    side.change(99, 3, 1)
+    assert side.size(3) == base.size("out", 3) + 1 and side.size(99) == 1 and side.size(100) == 0
+    assert sorted(side[3]) == sorted([*base.near("out", 3), 99]) and side[99] == [3]
+    for kind in ("forward", "reverse"):
+        k = Local(base, 3, 0.2, 1e-4, kind, ready=True)
+        assert k.pushes == 0 and not any(k.over(u, s) for u in k.res for s in (1, -1))
+    for how in ("lazy", "eager"):
+        k = Local(base, 3, 0.2, 1e-4, "forward", ready=True)
+        assert all(k.checked_update([(u, 20 + i, 1), (20 + i, u, 1)], how) for i, u in enumerate((3, 4, 5, 3)))
