@@ -5,6 +5,7 @@ from __future__ import annotations
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 BROADCAST_EDGES = 40_000_000  # arcs that a local kernel may hold: 16 bytes each, 640 MB
 
@@ -24,3 +25,11 @@ def cut_lineage(df: DataFrame, name: str = "state") -> DataFrame:
 def choose(edges: DataFrame) -> str:
     """'kernel' where the whole graph fits into each worker by a checked count, else 'rounds'."""
     return "kernel" if edges.limit(BROADCAST_EDGES + 1).count() <= BROADCAST_EDGES else "rounds"
+
+
+BROADCAST_ROWS = 1_000_000  # of three numbers each: 24 MB
+
+
+def side_hint(batch: DataFrame):
+    """F.broadcast where ``batch`` is under BROADCAST_ROWS by a count, else no hint; also for what has no more rows."""
+    return F.broadcast if batch.limit(BROADCAST_ROWS + 1).count() <= BROADCAST_ROWS else lambda df: df

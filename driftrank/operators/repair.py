@@ -2,7 +2,7 @@
 
 A batch is a DataFrame (src, dst, op) of arcs, op +1 or -1, that holds each arc once. Lazy repair keeps a vertex's
 share per out-edge and touches no other neighbour; eager repair rewrites the share at every neighbour; reverse repair
-solves the changed vertex's own identity. A batch has no bound, so no side is broadcast by hint: the planner weighs sizes. Vertices without old or new out-edges follow the sink rule.
+solves the changed vertex's own identity. A batch is broadcast behind a count. Vertices without old or new out-edges follow the sink rule.
 """
 
 from __future__ import annotations
@@ -10,6 +10,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from driftrank.engine import side_hint
 from driftrank.schemas import SINK
 
 
@@ -29,13 +30,13 @@ def _merged(state: DataFrame, *deltas: DataFrame) -> DataFrame:
 
 def lazy_forward(state: DataFrame, batch: DataFrame, d_old: DataFrame, alpha: float = 0.2) -> DataFrame:
     """O(1) a root and update: only u and the heads of changed arcs get new values; no scan of the graph's edges."""
-    at_u = state.where(F.col("node") != SINK).join(_change(batch, d_old), F.col("node") == F.col("u"))
+    at_u = state.where(F.col("node") != SINK).join(side_hint(batch)(_change(batch, d_old)), F.col("node") == F.col("u"))
     normal = (F.col("d_old") > 0) & (F.col("d_new") > 0)
     rho = F.col("est") / F.col("d_old")
     moved = F.col("d_new") - F.col("d_old")
     own = at_u.where(normal).select("root", "node", (rho * moved).alias("est"), (-rho * moved / alpha).alias("res"))
     share = F.when(F.col("d_old") > 0, rho).otherwise(F.col("est") / F.col("d_new"))
-    heads = at_u.join(batch, F.col("u") == F.col("src"))
+    heads = at_u.join(side_hint(batch)(batch), F.col("u") == F.col("src"))
     heads = heads.select("root", F.col("dst").alias("node"), F.lit(0.0).alias("est"), (share * F.col("op") * (1 - alpha) / alpha).alias("res"))
     return _merged(state, own, heads, _sink_change(at_u, alpha))
 
@@ -49,7 +50,7 @@ def _sink_change(at_u: DataFrame, alpha: float) -> DataFrame:
 
 def eager_forward(state: DataFrame, batch: DataFrame, arcs_old: DataFrame, d_old: DataFrame, alpha: float = 0.2) -> DataFrame:
     """The baseline: the share at every old and new out-neighbour is rewritten; reads all arcs of changed vertices."""
-    at_u = state.where(F.col("node") != SINK).join(_change(batch, d_old), F.col("node") == F.col("u"))
+    at_u = state.where(F.col("node") != SINK).join(side_hint(batch)(_change(batch, d_old)), F.col("node") == F.col("u"))
     near = arcs_old.join(batch.select("src").distinct(), "src").select("src", "dst", F.lit(1).alias("was"), F.lit(0).alias("op"))
     both = near.union(batch.select("src", "dst", F.lit(0), "op")).groupBy("src", "dst").agg(F.sum("was").alias("was"), F.sum("op").alias("op"))
     before = F.when(F.col("was") > 0, 1 / F.col("d_old")).otherwise(0.0)
