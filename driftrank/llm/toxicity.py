@@ -10,6 +10,7 @@ from __future__ import annotations
 
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -20,7 +21,7 @@ BUCKETS, DIM, SPAN = 1 << 17, 4, 3
 GAIN, DECAY, LEAST = 20.0, 1e-5, 0.005  # scale of averages, weight decay, share of the texts an n-gram must be in
 GRAMS = (4, 5)
 SAMPLE = 2500  # most labelled rows of each class that the classifier is fitted on
-SAMPLE_WORDS = 200  # most words of each of them
+SAMPLE_WORDS = 1_000_000  # words of them all: each row may bring its even share of these
 
 
 def word_grams(vocab: list[str]) -> tuple[np.ndarray, np.ndarray]:
@@ -190,17 +191,29 @@ def calibrated(model: Model, texts: list[str], y: np.ndarray) -> Model:
 
 
 def train(documents: DataFrame, labels: DataFrame, learn) -> Model:
-    """Fit on at most SAMPLE labelled rows of each class (by hash order of doc_id), of which at most SAMPLE_WORDS words.
+    """Fit on at most SAMPLE labelled rows of each class (by hash order of doc_id), SAMPLE_WORDS words at most in all.
 
-    ``learn``: condition on doc_id of the rows that may be learnt from. Null texts, ids and labels are left out.
+    ``learn``: condition on doc_id of the rows that may be learnt from. Null texts, ids and labels are left out;
+    of a doc_id with several texts, the least one is learnt from.
     """
     tags = labels.where("doc_id is not null and toxic in (0, 1)").where(learn).groupBy("doc_id").agg(F.max("toxic").alias("toxic"))
     tags = tags.withColumn("h", F.xxhash64("doc_id"))
     picked = tags.where("toxic = 1").orderBy("h").limit(SAMPLE).union(tags.where("toxic = 0").orderBy("h").limit(SAMPLE))
+    picked = W.written(picked, "labelled")
+    share = SAMPLE_WORDS // max(1, picked.count())
     rows = documents.where("text is not null").select("doc_id", "text").join(F.broadcast(picked), "doc_id")
-    short = F.array_join(F.slice(F.split("text", r"[ \t\n\x0b\f\r]+", SAMPLE_WORDS + 2), 1, SAMPLE_WORDS), " ")
-    got = rows.select("doc_id", short.alias("text"), "toxic").toPandas().drop_duplicates().sort_values(["doc_id", "text"])
-    return fit(got["text"].tolist(), got["toxic"].tolist())
+    short = F.array_join(F.slice(F.split("text", r"[ \t\n\x0b\f\r]+", share + 2), 1, share), " ")
+
+    def run(batches):
+        # one task for the whole sample, of a documented size, so that the driver holds the fitted table alone
+        got = [b.to_pandas() for b in batches]
+        got = pd.concat(got).sort_values("doc_id") if got else pd.DataFrame({"text": [], "toxic": []})
+        m = fit(got["text"].tolist(), got["toxic"].tolist())
+        yield pa.record_batch({"bucket": pa.array([m.bucket.astype("<f4").tobytes()], pa.binary()), "bias": pa.array([m.bias], pa.float64())})
+
+    one_each = rows.groupBy("doc_id", "toxic").agg(F.min(short).alias("text"))
+    r = one_each.repartition(1).mapInArrow(run, "bucket binary, bias double").first()
+    return Model(np.frombuffer(bytes(r["bucket"]), "<f4").astype(np.float64), r["bias"]) if r else fit([], [])
 
 
 def held_out():
