@@ -213,3 +213,26 @@ def test_toxicity_learns_stems_and_handles_odd_rows(spark):
     assert toxicity.fit(["a"], [1]).scores(pa.array(["b", None])).shape == (2,)
     frame = toxicity.score(spark.createDataFrame([(1, "x", 1.0), (None, None, None)], "doc_id long, text string, c0 double"), m)
     assert frame.columns == ["doc_id", "text", "c0", "toxic_score"] and frame.count() == 2
+
+
+def test_components_of_paths_stars_and_nothing(spark):
+    from driftrank.llm.components import components
+
+    rng = np.random.default_rng(3)
+    path = [(i + 1, i) for i in range(1000, 1300)] + [(7000 - i, 7001 - i) for i in range(300)]
+    edges = path + [(5, k) for k in range(20, 60)] + [tuple(map(int, p)) for p in rng.integers(10_000, 10_400, (260, 2))] + [(9, 9), (5, 20)]
+    up = {}
+
+    def find(x):
+        while up.setdefault(x, x) != x:
+            x = up[x]
+        return x
+
+    for a, b in edges:
+        if a != b:
+            a, b = find(a), find(b)
+            up[max(a, b)] = min(a, b)
+    got = components(spark.createDataFrame(edges, "a long, b long").repartition(9))
+    assert {r["node"]: r["component"] for r in got.collect()} == {x: find(x) for x in up}
+    assert got.count() == len(up)
+    assert components(spark.createDataFrame([], "a long, b long")).count() == 0
