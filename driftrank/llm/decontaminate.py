@@ -101,13 +101,13 @@ def _scan(words: W.Words, index: Index) -> dict[tuple[int, int], tuple[float, in
         total = np.concatenate(([0], np.cumsum(hit)))
         for n in [n for n in index.sizes if min(n, SHINGLE) == k]:
             m = n - k + 1  # shingles in a window
-            least = int(np.ceil(2 * m * index.similar / (1 + index.similar) - 1e-9))
             # starts from which a window can hold a hit; texts shorter than the item are one short window
             tries = np.unique((spots[:, None] - np.arange(m)).ravel()) if m > 1 else spots
             tries = tries[tries >= 0]
             tries = tries[rows[np.minimum(tries + 0, words.n - 1)] >= 0]
             size = np.minimum(m, left[tries] - k + 1)
             short = size < m
+            least = np.ceil((m + size) * index.similar / (1 + index.similar) - 1e-9)  # overlap of bags of m and size shingles
             ok = (size > 0) & (~short | (tries == words.starts[rows[tries]])) & (total[np.minimum(tries + np.maximum(size, 0), len(g))] - total[np.minimum(tries, len(g))] >= least)
             for s, c in zip(tries[ok].tolist(), size[ok].tolist(), strict=True):
                 for a, sim in index.search(n, Counter(g[s : s + c].tolist())):
