@@ -21,7 +21,6 @@ BUCKETS, DIM, SPAN = 1 << 17, 4, 3
 GAIN, DECAY, LEAST = 20.0, 1e-5, 0.005  # scale of averages, weight decay, share of the texts an n-gram must be in
 GRAMS = (4, 5)
 SAMPLE = 2500  # most labelled rows of each class that the classifier is fitted on
-SAMPLE_WORDS = 1_000_000  # words of them all: each row may bring its even share of these
 
 
 def word_grams(vocab: list[str]) -> tuple[np.ndarray, np.ndarray]:
@@ -91,30 +90,22 @@ class Model:
 
 
 class Bags:
-    """Sparse n-gram bags of passages: bucket ids and weights that average over words and their n-grams."""
+    """N-gram bags of passages, averages over words and their known n-grams, made batch by batch from the word codes."""
 
     def __init__(self, w: W.Words, at: np.ndarray, end: np.ndarray, ids: np.ndarray, cut: np.ndarray, known: np.ndarray):
-        cols, parts, sizes = [], [], []
-        for lo in range(0, len(at), 256):
-            a, e = at[lo : lo + 256], end[lo : lo + 256]
-            size = e - a
-            codes = w.codes[np.repeat(a, size) + np.arange(size.sum()) - np.repeat(np.cumsum(size) - size, size)]
-            grams = cut[codes + 1] - cut[codes]
-            flat = ids[np.repeat(cut[codes], grams) + np.arange(grams.sum()) - np.repeat(np.cumsum(grams) - grams, grams)]
-            who = np.repeat(np.repeat(np.arange(len(a)), size), grams)
-            part = np.repeat(1 / (np.repeat(size, size) * np.maximum(grams, 1)), grams)
-            who, flat, part = who[known[flat]], flat[known[flat]], part[known[flat]]
-            key, inv = np.unique(who * BUCKETS + flat, return_inverse=True)
-            cols.append((key % BUCKETS).astype(np.int32))
-            parts.append(np.bincount(inv, part, len(key)).astype(np.float32))
-            sizes.append(np.bincount(key // BUCKETS, minlength=len(a)))
-        self.cols, self.parts = np.concatenate(cols), np.concatenate(parts)
-        self.cut = np.concatenate(([0], np.cumsum(np.concatenate(sizes)))).astype(np.int64)
-
-    def take(self, rows: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-        n = self.cut[rows + 1] - self.cut[rows]
-        at = np.repeat(self.cut[rows], n) + np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n)
-        return self.cols[at], self.parts[at], np.repeat(np.arange(len(rows)), n)
+        self.codes, self.at, self.size = w.codes, at, end - at
+        keep = known[ids]
+        self.all = np.maximum(np.diff(cut), 1)  # n-grams of a word, the unknown ones too
+        self.ids, self.cut = ids[keep], np.concatenate(([0], np.cumsum(keep)))[cut]
+
+    def take(self, rows: np.ndarray) -> tuple[np.ndarray, ...]:
+        """Of some passages: passage, word and weight of each entry; n-gram, word and weight of each word's known n-grams."""
+        n = self.size[rows]
+        codes = self.codes[np.repeat(self.at[rows], n) + np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n)]
+        words, inv = np.unique(codes, return_inverse=True)
+        k = self.cut[words + 1] - self.cut[words]
+        grams = self.ids[np.repeat(self.cut[words], k) + np.arange(k.sum()) - np.repeat(np.cumsum(k) - k, k)]
+        return np.repeat(np.arange(len(rows)), n), inv, np.repeat(1 / np.maximum(n, 1), n), grams, np.repeat(np.arange(len(words)), k), np.repeat(1 / self.all[words], k)
 
 
 def _epoch(state: dict, bags: Bags, use: np.ndarray, target: np.ndarray, rng: np.random.Generator, rate: float) -> None:
@@ -122,17 +113,20 @@ def _epoch(state: dict, bags: Bags, use: np.ndarray, target: np.ndarray, rng: np
     share = target[use].mean()
     weight = np.where(target == 1, 0.5 / max(share, 1e-9), 0.5 / max(1 - share, 1e-9))
     for rows in np.array_split(rng.permutation(use), max(1, len(use) // 256)):
-        cols, part, who = bags.take(rows)
+        who, word, part, grams, of, gram_part = bags.take(rows)
         emb, out = state["emb"], state["out"]
-        bag = np.stack([np.bincount(who, part * emb[cols, k], len(rows)) for k in range(DIM)], 1) * GAIN
+        words = int(word.max()) + 1 if len(word) else 0
+        vec = np.stack([np.bincount(of, gram_part * emb[grams, k], words) for k in range(DIM)], 1)
+        bag = np.stack([np.bincount(who, part * vec[word, k], len(rows)) for k in range(DIM)], 1) * GAIN
         z = bag @ out + state["bias"]
         p = np.exp(z - z.max(axis=1, keepdims=True))
         p /= p.sum(axis=1, keepdims=True)
         t = target[rows]
         d = (p - np.stack((1 - t, t), 1)) * weight[rows][:, None] / len(rows)
         back = (d @ out.T) * GAIN
-        ub, inv = np.unique(cols, return_inverse=True)
-        grad = np.stack([np.bincount(inv, part * back[who, k], len(ub)) for k in range(DIM)], 1) + DECAY * emb[ub]
+        ub, inv = np.unique(grams, return_inverse=True)
+        vec = np.stack([np.bincount(word, part * back[who, k], words) for k in range(DIM)], 1)
+        grad = np.stack([np.bincount(inv, gram_part * vec[of, k], len(ub)) for k in range(DIM)], 1) + DECAY * emb[ub]
         for name, at, g in (("emb", ub, grad), ("out", slice(None), bag.T @ d), ("bias", slice(None), d.sum(axis=0))):
             state["g_" + name][at] += g**2
             state[name][at] -= rate * g / np.sqrt(state["g_" + name][at])
@@ -151,12 +145,12 @@ def fit(texts: list[str], labels: list[int], seed: int = 5, whole: int = 3, part
     rng = np.random.default_rng(seed)
     w = clean(pa.array(texts, pa.large_string()))
     ids, cut = word_grams(w.vocab)
-    pairs = np.unique(w.rows() * np.int64(len(w.vocab)) + w.codes)
-    rows, codes = pairs // len(w.vocab), pairs % len(w.vocab)
-    grams = cut[codes + 1] - cut[codes]
-    flat = ids[np.repeat(cut[codes], grams) + np.arange(grams.sum()) - np.repeat(np.cumsum(grams) - grams, grams)]
-    seen = np.unique(np.repeat(rows, grams) * BUCKETS + flat) % BUCKETS
-    known = np.bincount(seen, minlength=BUCKETS) >= max(3, int(LEAST * len(y)))
+    seen = np.zeros(BUCKETS, np.int64)
+    for s, e in zip(w.starts[:-1].tolist(), w.starts[1:].tolist(), strict=True):
+        codes = np.unique(w.codes[s:e])
+        grams = cut[codes + 1] - cut[codes]
+        seen[np.unique(ids[np.repeat(cut[codes], grams) + np.arange(grams.sum()) - np.repeat(np.cumsum(grams) - grams, grams)])] += 1
+    known = seen >= max(3, int(LEAST * len(y)))
     state = {"emb": rng.normal(0, 0.02, (BUCKETS, DIM)) * known[:, None], "out": rng.normal(0, 0.3, (DIM, 2)), "bias": np.zeros(2)}
     state |= {"g_emb": np.full((BUCKETS, DIM), 1e-6), "g_out": np.full((DIM, 2), 1e-2), "g_bias": np.full(2, 1e-2)}
     bags = Bags(w, w.starts[:-1], w.starts[1:], ids, cut, known)
@@ -170,9 +164,10 @@ def fit(texts: list[str], labels: list[int], seed: int = 5, whole: int = 3, part
     bags, some = Bags(w, at, end, ids, cut, known), end > at
     for _ in range(parts):
         bucket = state["emb"] @ (state["out"][:, 1] - state["out"][:, 0]) * GAIN
-        z = np.bincount(np.repeat(np.arange(len(at)), np.diff(bags.cut)), bags.parts * bucket[bags.cols], len(at))
+        total = np.concatenate(([0.0], np.cumsum(_word_sums(bucket * known, ids, cut)[w.codes])))
+        z = (total[end] - total[at]) / np.maximum(end - at, 1)
         best = np.maximum.reduceat(z, begin[:-1])[row]
-        _epoch(state, bags, np.flatnonzero(some & ((y[row] == 0) | (z >= best))), y[row], rng, rate)
+        _epoch(state, bags, np.flatnonzero(some & ((y[row] == 0) | (z >= best - 1e-9))), y[row], rng, rate)
     bucket = state["emb"] @ (state["out"][:, 1] - state["out"][:, 0]) * GAIN
     return calibrated(Model(bucket * known, float(state["bias"][1] - state["bias"][0])), texts, y)
 
@@ -191,7 +186,7 @@ def calibrated(model: Model, texts: list[str], y: np.ndarray) -> Model:
 
 
 def train(documents: DataFrame, labels: DataFrame, learn) -> Model:
-    """Fit on at most SAMPLE labelled rows of each class (by hash order of doc_id), SAMPLE_WORDS words at most in all.
+    """Fit on the whole texts of at most SAMPLE labelled rows of each class (by hash order of doc_id).
 
     ``learn``: condition on doc_id of the rows that may be learnt from. Null texts, ids and labels are left out;
     of a doc_id with several texts, the least one is learnt from.
@@ -200,9 +195,7 @@ def train(documents: DataFrame, labels: DataFrame, learn) -> Model:
     tags = tags.withColumn("h", F.xxhash64("doc_id"))
     picked = tags.where("toxic = 1").orderBy("h").limit(SAMPLE).union(tags.where("toxic = 0").orderBy("h").limit(SAMPLE))
     picked = W.written(picked, "labelled")
-    share = SAMPLE_WORDS // max(1, picked.count())
     rows = documents.where("text is not null").select("doc_id", "text").join(F.broadcast(picked), "doc_id")
-    short = F.array_join(F.slice(F.split("text", r"[ \t\n\x0b\f\r]+", share + 2), 1, share), " ")
 
     def run(batches):
         # one task for the whole sample, of a documented size, so that the driver holds the fitted table alone
@@ -211,7 +204,7 @@ def train(documents: DataFrame, labels: DataFrame, learn) -> Model:
         m = fit(got["text"].tolist(), got["toxic"].tolist())
         yield pa.record_batch({"bucket": pa.array([m.bucket.astype("<f4").tobytes()], pa.binary()), "bias": pa.array([m.bias], pa.float64())})
 
-    one_each = rows.groupBy("doc_id", "toxic").agg(F.min(short).alias("text"))
+    one_each = rows.groupBy("doc_id", "toxic").agg(F.min("text").alias("text"))
     r = one_each.repartition(1).mapInArrow(run, "bucket binary, bias double").first()
     return Model(np.frombuffer(bytes(r["bucket"]), "<f4").astype(np.float64), r["bias"]) if r else fit([], [])
 

@@ -2,7 +2,13 @@
 
 import random
 
-from driftrank.llm import decontaminate
+import numpy as np
+import pyarrow as pa
+import pytest
+from pyspark.sql import functions as F
+
+from driftrank.llm import decontaminate, licenses, pieces, toxicity
+from driftrank.llm import words as W
 
 R = random.Random(11)
 
@@ -43,3 +49,18 @@ def test_leaks_equal_brute_force_with_texts_shorter_than_the_item(spark):
     assert got == want
     cut = rows.index(" ".join(items[1].split()[:46]))
     assert got[cut, 1] == 42 / 50
+
+
+def test_toxicity_learns_from_whole_texts(spark, monkeypatch):
+    monkeypatch.setattr(toxicity, "SAMPLE_WORDS", 3000, raising=False)  # was the words of all rows together
+    clean = ["".join(R.choice("abcdeghik") for _ in range(R.randint(2, 7))) for _ in range(300)]
+    rows, tags = [], []
+    for k in range(600):
+        w = [R.choice(clean) for _ in range(R.randint(20, 50))]
+        if k % 3 == 0:
+            w[-R.randint(1, 5)] = "vloot" + R.choice(["", "ur", "ing", "s"])
+        rows.append((k, " ".join(w)))
+        tags.append((k, int(k % 3 == 0)))
+    m = toxicity.train(spark.createDataFrame(rows, "doc_id long, text string"), spark.createDataFrame(tags, "doc_id long, toxic int"), F.col("doc_id") < 480)
+    s, y = m.scores(pa.array([t for _, t in rows[480:]])), np.array([t for _, t in tags[480:]])
+    assert np.median(s[y == 1]) > np.quantile(s[y == 0], 0.9)
