@@ -240,8 +240,10 @@ def encode_documents(frame: DataFrame, path: str | None = None) -> DataFrame:
                 cols["round_trip"].append(sp.decode(ids) == text)
                 k = int(np.argmin(loss[c])) if len(c) else -1
                 if k >= 0 and np.isfinite(loss[c[k]]):
-                    other = np.array(sp.second(vocab[c[k]])[1][1], sp.width)
                     a = int(n[:k].sum())
+                    own = ids[a : a + int(n[k])].tolist()
+                    # with ties the search may find the bulk path second: the other one it found is the alternative
+                    other = np.array(next(x for _, x in sp.second(vocab[c[k]]) if x != own), sp.width)
                     alt = np.concatenate((ids[:a], other, ids[a + int(n[k]) :]))
                     cols["second_score"].append(best - float(loss[c[k]]))
                     cols["second_crc32"].append(zlib.crc32(alt.astype("<u4").tobytes()))

@@ -51,6 +51,19 @@ def test_leaks_equal_brute_force_with_texts_shorter_than_the_item(spark):
     assert got[cut, 1] == 42 / 50
 
 
+def test_second_path_is_never_the_best_one(spark):
+    sp = pieces.pieces_of(W.tokenizer_path("piece_bpe_32k.model"))
+    words = sorted({R.choice(["un", "re", "in", "the", "an"]) + "".join(R.choice("aeinorst") for _ in range(R.randint(2, 9))) for _ in range(300)})
+    tied = [w for w in words if len(x := sp.nbest("▁" + w, 2)) > 1 and x[0][0] == x[1][0]]
+    assert tied
+    rows = words + [f"of {w} and" for w in tied]
+    got = pieces.encode_documents(spark.createDataFrame(list(enumerate(rows)), "doc_id long, text string")).collect()
+    for r in got:
+        assert r["second_crc32"] is None or r["second_crc32"] != r["ids_crc32"]
+        two = sp.text_nbest(rows[r["doc_id"]], 2)
+        assert r["score"] == pytest.approx(two[0][0]) and (len(two) < 2 or r["second_score"] == pytest.approx(two[1][0]))
+
+
 def test_toxicity_learns_from_whole_texts(spark, monkeypatch):
     monkeypatch.setattr(toxicity, "SAMPLE_WORDS", 3000, raising=False)  # was the words of all rows together
     clean = ["".join(R.choice("abcdeghik") for _ in range(R.randint(2, 7))) for _ in range(300)]
