@@ -1,12 +1,14 @@
 """License scan by sentence rules, with DataFrame functions only.
 
 Sentences are normalised (lower case, letters and digits only, single spaces) and mapped to identifiers of known licence
-sentences; a text's identifiers, in order, are matched against ordered licence rules. Sentences that are not known
-fall out, so a rule's sentences may have others between them.
+sentences, over line ends too; a text's identifiers, in order, are matched against ordered licence rules. Sentences that
+are not known fall out, so a rule's sentences may have others between them.
 """
 
 from __future__ import annotations
 
+import re
+
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -40,23 +42,23 @@ RULES = [
 PERMISSIVE = {"Apache-2.0", "MIT", "BSD-3-Clause", "CC-BY-4.0"}
 
 
-def normal(s: Column) -> Column:
-    return F.trim(F.regexp_replace(F.lower(s), r"[^\p{L}\p{N}]+", " "))
-
-
-def sentences(text: Column) -> Column:
-    """A text's sentences: cut after . ! ? : ; before white space, and at line ends."""
-    return F.filter(F.split(F.coalesce(text, F.lit("")), r"(?<=[.!?:;])[ \t]+|[\r\n]+"), lambda s: s != "")
+def pieces(text: Column) -> Column:
+    """A text normalised piece by piece, a line feed around each: cut after . ! ? : ; before white space, and at line ends."""
+    cut = F.regexp_replace(F.lower(F.coalesce(text, F.lit(""))), r"(?<=[.!?:;])[ \t]+|[\r\n]+", "\n")
+    return F.concat(F.lit("\n"), F.regexp_replace(cut, r"[^\p{L}\p{N}\n]+", " "), F.lit("\n"))
 
 
 def identifiers(text: Column) -> Column:
-    """Identifiers of the known sentences of a text, in order, as one string."""
-    import re
+    """Identifiers of the known sentences of a text, in order, as one string.
 
-    flat = [(re.sub(r"[^\w]+|_", " ", s.lower()).strip(), k) for k, v in SENTENCES.items() for s in v]
-    known = F.create_map(*(F.lit(x) for pair in flat for x in pair))
-    likely = F.filter(sentences(text), lambda s: s.rlike("(?i)licen[sc]|permi(ssion|tted)|notice|disclaimer|this program|CC BY"))
-    return F.array_join(F.transform(likely, lambda s: F.coalesce(F.try_element_at(known, normal(s)), F.lit(""))), "")
+    A known sentence is any run of whole pieces that reads like it: its own stops and wrapped lines may cut it.
+    """
+    flat = {re.sub(r"[^\w]+|_", " ", s.lower()).strip(): k for k, v in SENTENCES.items() for s in v}
+    known = F.create_map(*(F.lit(x) for pair in flat.items() for x in pair))
+    either = "|".join(s.replace(" ", r"[ \n]+") for s in sorted(flat, key=len, reverse=True))
+    runs = F.regexp_extract_all(pieces(text), F.lit(rf"(?<=\n) ?(?:{either})(?= ?\n)"), F.lit(0))
+    found = F.array_join(F.transform(runs, lambda s: F.element_at(known, F.trim(F.regexp_replace(s, r"[ \n]+", " ")))), "")
+    return F.when(text.rlike("(?i)licen[sc]|permi(ssion|tted)|notice|disclaimer"), found).otherwise("")
 
 
 def scan(frame: DataFrame) -> DataFrame:

@@ -64,6 +64,21 @@ def test_second_path_is_never_the_best_one(spark):
         assert r["score"] == pytest.approx(two[0][0]) and (len(two) < 2 or r["second_score"] == pytest.approx(two[1][0]))
 
 
+def test_every_known_sentence_and_rule_on_one_line_and_wrapped(spark):
+    rows, want = [], []
+    for k, v in licenses.SENTENCES.items():
+        for s in v:
+            w = s.split()
+            rows += [s, f"Intro. {s}\nMore", " * " + "\n * ".join(" ".join(w[i : i + 4]) for i in range(0, len(w), 4)) + "\r\n * more", "# " + "\r\n# ".join(w), f"x {s}", s.rstrip(".:;") + " not"]
+            want += [k, k, k, k, "", ""]
+    got = {r["doc_id"]: r["sentence_ids"] for r in licenses.scan(spark.createDataFrame(list(enumerate(rows)), "doc_id long, text string")).collect()}
+    assert [got[i] for i in range(len(rows))] == want
+    texts = ["\n".join(licenses.SENTENCES[k][0] for k in rule) for _, rule in licenses.RULES]
+    got = {r["doc_id"]: r for r in licenses.scan(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")).collect()}
+    for i, (name, rule) in enumerate(licenses.RULES):
+        assert got[i]["licenses"] == [name] and got[i]["sentence_ids"] == rule and got[i]["permissive"] == (name in licenses.PERMISSIVE)
+
+
 def test_toxicity_learns_from_whole_texts(spark, monkeypatch):
     monkeypatch.setattr(toxicity, "SAMPLE_WORDS", 3000, raising=False)  # was the words of all rows together
     clean = ["".join(R.choice("abcdeghik") for _ in range(R.randint(2, 7))) for _ in range(300)]
