@@ -227,10 +227,10 @@ def _pairs() -> dict:
     q["symmetry"] = (_symmetry, None)
     q["topk_ppr"] = (_top, f"with {O.arcs('g_ps')}, {O.rounds(O.start(3), [(1, 24)], ALPHA, 1e-5, 'forward', 'x')} select root, rank, node, {_r('est', 'score')} from (select *, row_number() over (partition by root order by est desc, node) as rank from x_end) where rank <= 10")
     q["knn_edges"] = (lambda s, d: G.build(s, d, "g_knn"), None)
-    q["table2_report"] = (lambda s, d: workloads.table2(s, d, roots=3, updates=30, rmax_lazy=7e-6, rmax_eager=1e-5), None)
-    q["table3_report"] = (lambda s, d: workloads.table3_4(s, d, k=50, rmax=5e-4, r=1600, roots=3, updates=30), None)
-    q["table4_report"] = (lambda s, d: workloads.table3_4(s, d, k=100, rmax=2e-4, r=2500, roots=3, updates=30), None)
-    q["figure1_report"] = (lambda s, d: workloads.figure1(s, d, roots=3, updates=30, first_rebuilds=2), None)
+    q["table2_report"] = (lambda s, d: workloads.table2(s, d), None)
+    q["table3_report"] = (lambda s, d: workloads.table3_4(s, d, k=50, rmax=5e-5, r=16000), None)
+    q["table4_report"] = (lambda s, d: workloads.table3_4(s, d, k=100, rmax=2e-5, r=25000), None)
+    q["figure1_report"] = (lambda s, d: workloads.figure1(s, d), None)
     q["toggle_report"] = (workloads.toggles, None)
     for what in ("order", "rmax", "signs"):
         q[f"sweep_{what}"] = (lambda s, d, w=what: workloads.sweep(s, d, what=w), None)

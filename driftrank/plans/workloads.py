@@ -24,7 +24,7 @@ def _tidy(graph: str, wide: DataFrame, names: list[str]) -> DataFrame:
     return wide.select(F.lit(graph).alias("graph"), "method", F.explode(pairs).alias("x")).select("graph", "method", "x.metric", "x.value")
 
 
-def table2(spark, sf_dir, graph="g_dense", roots=100, updates=300, rmax_lazy=7e-7, rmax_eager=1e-6, seconds=False) -> DataFrame:
+def table2(spark, sf_dir, graph="g_dense", roots=100, updates=None, rmax_lazy=7e-7, rmax_eager=1e-6, seconds=False) -> DataFrame:
     """Lazy against eager repair, at the published thresholds and at equal ones."""
     first, later = arrivals(spark, sf_dir, graph, updates)
     r = G.sample_roots(G.undirect(first), roots)
@@ -34,7 +34,7 @@ def table2(spark, sf_dir, graph="g_dense", roots=100, updates=300, rmax_lazy=7e-
     return _tidy(graph, measures.summary(trace), names)
 
 
-def table3_4(spark, sf_dir, graph="g_dense", k=50, rmax=5e-5, r=16000, roots=100, updates=300, seconds=False, truth=None) -> DataFrame:
+def table3_4(spark, sf_dir, graph="g_dense", k=50, rmax=5e-5, r=16000, roots=100, updates=None, seconds=False, truth=None) -> DataFrame:
     """Top k by lazily kept push states against a rerouted walk index."""
     first, later = arrivals(spark, sf_dir, graph, updates)
     n = G.stats(G.undirect(first)).first()["n"]
@@ -49,9 +49,11 @@ def table3_4(spark, sf_dir, graph="g_dense", k=50, rmax=5e-5, r=16000, roots=100
     return _tidy(graph, wide, ["accuracy", "bytes", *(["seconds"] if seconds else [])])
 
 
-def figure1(spark, sf_dir, graph="g_mid", rmax=1e-4, roots=100, updates=300, first_rebuilds=20, seconds=False) -> DataFrame:
+def figure1(spark, sf_dir, graph="g_mid", rmax=1e-4, roots=100, updates=None, first_rebuilds=1000, seconds=False) -> DataFrame:
     """Reverse repair against rebuilding from scratch after each insertion, the latter scaled from its first updates."""
     first, later = arrivals(spark, sf_dir, graph, updates)
+    updates = later.count()
+    first_rebuilds = min(first_rebuilds, updates)
     who = G.sample_roots(G.undirect(first), roots)
     methods = [{"name": "reverse", "how": "reverse", "rmax": rmax}, {"name": "rebuild", "how": "rebuild_reverse", "rmax": rmax, "first": first_rebuilds}]
     _, trace = kernel.run(first, later, who, methods)
@@ -60,16 +62,19 @@ def figure1(spark, sf_dir, graph="g_mid", rmax=1e-4, roots=100, updates=300, fir
     return _tidy(graph, wide, ["residual_updates", "push_iterations", "push_cost", *(["seconds"] if seconds else [])])
 
 
-def toggles(spark, sf_dir, rmax=1e-5, roots=8, updates=200) -> DataFrame:
+def toggles(spark, sf_dir, rmax=1e-5, roots=100, updates=None) -> DataFrame:
     """Insertions and deletions: the user-key stream from an empty graph on, lazy and reverse repair."""
-    ev = G.resolve_toggles(G.toggles(spark, sf_dir)).orderBy("ts", "seq").limit(updates).select("seq", "src", "dst", "op")
+    ev = G.resolve_toggles(G.toggles(spark, sf_dir)).select("ts", "seq", "src", "dst", "op")
+    if updates is not None:
+        ev = ev.orderBy("ts", "seq").limit(updates)
+    ev = ev.select("seq", "src", "dst", "op")
     who = ev.select(F.col("src").alias("root")).distinct().orderBy(F.md5(F.col("root").cast("string"))).limit(roots)
     methods = [{"name": h, "how": h, "rmax": rmax} for h in ("lazy", "eager", "reverse")]
     _, trace = kernel.run(ev.select("src", "dst").limit(0), ev, who, methods)
     return _tidy("g_toggle", measures.summary(trace), ["residual_updates", "push_iterations", "push_cost", "entries"])
 
 
-def sweep(spark, sf_dir, graph="g_dense", what="order", roots=4, updates=50, rmax=5e-5) -> DataFrame:
+def sweep(spark, sf_dir, graph="g_dense", what="order", roots=100, updates=None, rmax=5e-5) -> DataFrame:
     """Ablations: push order, sign phases, thresholds."""
     first, later = arrivals(spark, sf_dir, graph, updates)
     grid = {
