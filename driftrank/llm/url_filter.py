@@ -100,15 +100,14 @@ def _scored(frame: DataFrame, counts) -> DataFrame:
 def filter_urls(pages: DataFrame, id_col: str = "page_id", rules=RULES) -> DataFrame:
     """(id, host, path, rule, ratio, verdict) of each row; a verdict is the rule's, or the models'.
 
-    Null urls and urls without '://' have empty host and path and no rule; the models read them as empty texts. With
-    no ruled URL of one kind the threshold is 0. Repeated rows each get a row.
+    Null urls and urls without '://' have empty host and path and no rule. The models read whole urls, null ones as empty
+    texts. With no ruled URL of one kind the threshold is 0. Repeated rows each get a row.
     """
     host, path = parts()
-    base = pages.select(F.col(id_col).alias("k"), host.alias("host"), path.alias("path"))
+    base = pages.select(F.col(id_col).alias("k"), host.alias("host"), path.alias("path"), F.coalesce("url", F.lit("")).alias("text"))
     name, verdict = rule_of(F.col("host"), F.col("path"), rules)
     base = base.withColumns({"rule": name, "said": verdict})
-    # the models see what follows the host's public suffix-like end too: rules are learnt in their own terms
-    ruled = base.where("said is not null").select(F.concat("host", "path").alias("text"), F.when(F.col("said") == "allow", 1).otherwise(0).alias("label"))
+    ruled = base.where("said is not null").select("text", F.when(F.col("said") == "allow", 1).otherwise(0).alias("label"))
     counts = pages.sparkSession.sparkContext.broadcast(learn(ruled))
     step = F.floor((F.greatest(F.lit(-SPREAD), F.least(F.lit(SPREAD), F.col("ratio"))) + SPREAD) / (2 * SPREAD) * (BINS - 1)).cast("int")
     hist = np.zeros((BINS, 2))
@@ -118,7 +117,7 @@ def filter_urls(pages: DataFrame, id_col: str = "page_id", rules=RULES) -> DataF
     gain = tail[:, 1] - tail[:, 0]
     best = np.flatnonzero(gain >= gain.max() - 1e-12)
     cut = float((best[len(best) // 2] / (BINS - 1)) * 2 * SPREAD - SPREAD) if hist.sum(axis=0).min() > 0 else 0.0
-    scored = _scored(base.withColumn("text", F.concat("host", "path")), counts)
+    scored = _scored(base, counts)
     own = F.when(F.col("ratio") >= cut, "allow").otherwise("block")
     return scored.select(F.col("k").alias(id_col), "host", "path", "rule", "ratio", F.coalesce("said", own).alias("verdict"))
 

@@ -7,7 +7,7 @@ import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
-from driftrank.llm import decontaminate, licenses, pieces, toxicity
+from driftrank.llm import decontaminate, licenses, pieces, toxicity, url_filter
 from driftrank.llm import words as W
 
 R = random.Random(11)
@@ -92,3 +92,11 @@ def test_toxicity_learns_from_whole_texts(spark, monkeypatch):
     m = toxicity.train(spark.createDataFrame(rows, "doc_id long, text string"), spark.createDataFrame(tags, "doc_id long, toxic int"), F.col("doc_id") < 480)
     s, y = m.scores(pa.array([t for _, t in rows[480:]])), np.array([t for _, t in tags[480:]])
     assert np.median(s[y == 1]) > np.quantile(s[y == 0], 0.9)
+
+
+def test_urls_are_scored_whole(spark):
+    rows = [(k, f"http://s{k}.example.net/en/{k}?lang=de") for k in range(30)] + [(100 + k, f"http://s{k}.net/{k}?lang=fr") for k in range(30)]
+    rows += [(200, "http://x.edu/a?lang=de"), (201, "http://x.edu/a?lang=fr"), (202, "no scheme ?lang=de"), (203, "no scheme ?lang=fr"), (204, None), (205, "")]
+    got = {r["page_id"]: r for r in url_filter.filter_urls(spark.createDataFrame(rows, "page_id long, url string")).collect()}
+    assert got[200]["ratio"] > got[201]["ratio"] and got[202]["ratio"] > got[203]["ratio"]
+    assert got[204]["ratio"] == got[205]["ratio"] and got[204]["rule"] is None and (got[202]["host"], got[202]["path"]) == ("", "")
