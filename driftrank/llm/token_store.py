@@ -8,7 +8,9 @@ Parquet files, written in ascending doc_id order through Spark's committer, so a
 
 from __future__ import annotations
 
+import json
 import os
+import re
 import struct
 import uuid
 import zlib
@@ -16,6 +18,8 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
+import regex
 from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -111,32 +115,106 @@ class Codec:
 
 
 class WordIds:
-    """Token ids by white-space word, kept for words seen before (KEEP at most).
+    """Token ids of white-space words, put together from those of their pre-tokens, which are few and kept (KEEP at most).
 
-    The tokenizer drops white space and never merges across it, so a text's ids are those of its words in order.
+    The tokenizer drops white space and codes each pre-token on its own, so a text's ids are those of its words in order,
+    and a word's those of its pre-tokens. Words with ODD characters, or with what could be a special token, are
+    given to the library whole; the pre-tokens too are coded by the library.
     """
 
-    KEEP = 400_000
+    KEEP = 1_000_000
+    ODD = r"[^\x00-\x{24F}]|[\x1c-\x1f\x{85}\x{A0}]"  # characters past the Latin blocks, and white space that does not cut words here
+    PLAIN = re.compile(r"\n|'s|'t|'re|'ve|'m|'ll|'d|[a-z]+|[0-9]|[^\na-z0-9]+")
+    WIDE = regex.compile(r"\n|'s|'t|'re|'ve|'m|'ll|'d|\p{L}+|\p{N}|[^\s\p{L}\p{N}]+")
 
     def __init__(self, path: str):
         from tokenizers import Tokenizer
 
         self.tok = Tokenizer.from_file(path)
         self.vocab_size = self.tok.get_vocab_size()
-        self.known: dict[str, np.ndarray] = {}
+        self.width = np.uint16 if self.vocab_size <= 1 << 16 else np.uint32
+        ends = [i for t, i in self.tok.get_vocab().items() if t.endswith("</w>")]
+        self.ends = np.zeros(self.vocab_size, bool)
+        self.ends[ends] = True
+        self.split = self._splits()
+        self.forget()
+
+    def _splits(self) -> bool:
+        """Does the file cut words as WIDE does? Else every word goes to the library whole."""
+        own = json.loads(self.tok.to_str())
+        kinds = [x["type"] for x in own["normalizer"]["normalizers"]] if (own["normalizer"] or {}).get("type") == "Sequence" else []
+        cuts = (own["pre_tokenizer"] or {}).get("pretokenizers", [{}])[0].get("pattern", {}).get("Regex", "").replace("[\\p{L}]", "\\p{L}").replace("[\\p{N}]", "\\p{N}")
+        return kinds == ["NFC", "Replace", "Lowercase"] and "\\n|" + cuts == self.WIDE.pattern and bool(self.ends.any())
+
+    def forget(self) -> None:
+        self.known: dict[str, int] = {}
+        self.flat, self.cut = np.zeros(1 << 16, self.width), np.zeros(1 << 14, np.int64)
+        self.used = 0
+
+    def _learn(self, new: list[str]) -> None:
+        """Ids of strings not yet known, coded in one call where the ends of words tell them apart."""
+        ids = np.array(self.tok.encode(" ".join(new), add_special_tokens=False).ids, self.width) if self.split else np.zeros(0, self.width)
+        stops = np.flatnonzero(self.ends[ids]) + 1
+        if not self.split or len(stops) != len(new):
+            each = [np.array(e.ids, self.width) for e in self.tok.encode_batch_fast(new, add_special_tokens=False)]
+            ids, stops = np.concatenate(each), np.cumsum([len(e) for e in each])
+        k, n = len(self.known), len(new)
+        while self.used + len(ids) > len(self.flat):
+            self.flat = np.concatenate((self.flat, np.zeros_like(self.flat)))
+        while k + n >= len(self.cut):
+            self.cut = np.concatenate((self.cut, np.zeros_like(self.cut)))
+        self.flat[self.used : self.used + len(ids)] = ids
+        self.cut[k + 1 : k + n + 1] = self.used + stops
+        self.used += len(ids)
+        self.known.update(zip(new, range(k, k + n), strict=True))
+
+    def _places(self, parts: list[str]) -> np.ndarray:
+        get = self.known.get
+        at = np.fromiter((get(x, -1) for x in parts), np.int64, len(parts))
+        if (at < 0).any():
+            new = list(dict.fromkeys(parts[i] for i in np.flatnonzero(at < 0).tolist()))
+            for lo in range(0, len(new), 50_000):
+                self._learn(new[lo : lo + 50_000])
+            at = np.fromiter((get(x, -1) for x in parts), np.int64, len(parts))
+        return at
 
     def of(self, vocab: list[str]) -> tuple[np.ndarray, np.ndarray]:
         """Ids of all words one after another, and each word's number of ids."""
-        new = [w for w in vocab if w not in self.known]
-        if len(self.known) + len(new) > self.KEEP:
-            self.known, new = {}, vocab
-        for lo in range(0, len(new), 20_000):
-            part = new[lo : lo + 20_000]
-            for w, e in zip(part, self.tok.encode_batch_fast(part, add_special_tokens=False), strict=True):
-                self.known[w] = np.array(e.ids, np.uint16 if self.vocab_size <= 1 << 16 else np.uint32)
-        parts = [self.known[w] for w in vocab]
-        size = np.fromiter(map(len, parts), np.int64, len(parts))
-        return (np.concatenate(parts) if parts else np.zeros(0, np.uint16)), size
+        if len(self.known) > self.KEEP:
+            self.forget()
+        n = len(vocab)
+        if not n:
+            return np.zeros(0, self.width), np.zeros(0, np.int64)
+        words = pa.array(vocab, pa.large_string())
+        odd = pc.or_(pc.match_substring(words, "<|"), pc.match_substring_regex(words, self.ODD))
+        ascii_only = pc.string_is_ascii(words)
+        kinds = (pc.and_not(ascii_only, odd), pc.and_not(pc.invert(ascii_only), odd), odd)
+        plain, wide, whole = (np.flatnonzero(k.to_numpy(zero_copy_only=False)) for k in (kinds if self.split else (pc.and_not(odd, odd),) * 2 + (pc.or_(odd, pc.invert(odd)),)))
+        # without ODD characters nothing is composed anew and lower case goes character by character, as in the library
+        parts = self.PLAIN.findall("\n".join(W.strings(words.take(plain))).lower()) if len(plain) else []
+        if len(plain) and len(wide):
+            parts.append("\n")
+        parts += self.WIDE.findall("\n".join(W.strings(words.take(wide))).lower()) if len(wide) else []
+        coded = pc.dictionary_encode(pa.array(parts, pa.large_string()))
+        seen, which = W.strings(coded.dictionary), coded.indices.to_numpy(zero_copy_only=False)
+        mark = seen.index("\n") if "\n" in seen else -1
+        place = self._places([x for x in seen if x != "\n"])
+        if mark >= 0:
+            place = np.insert(place, mark, -1)
+        word = np.cumsum(which == mark) if len(which) else np.zeros(0, np.int64)
+        kept = which != mark
+        order = np.concatenate((plain, wide, whole))  # the source holds the words in this order
+        part_place, part_word = place[which[kept]], order[word[kept]]
+        each = [np.array(e.ids, self.width) for e in self.tok.encode_batch_fast(W.strings(words.take(whole)), add_special_tokens=False)] if len(whole) else []
+        length = self.cut[part_place + 1] - self.cut[part_place]
+        extra = np.fromiter(map(len, each), np.int64, len(each))
+        size = np.bincount(part_word, length, n).astype(np.int64)
+        size[whole] = extra
+        own = self.flat[W.runs(self.cut[part_place], length)]
+        source = np.concatenate([own, *each]) if each else own
+        begin = np.zeros(n, np.int64)
+        begin[order] = np.cumsum(size[order]) - size[order]
+        return source[W.runs(begin, size)], size
 
 
 _open: dict[str, WordIds] = {}
@@ -151,58 +229,87 @@ def _words_of(path: str) -> WordIds:
 def encoded_slice(w: W.Words, words: WordIds, end_id: int) -> tuple[np.ndarray, np.ndarray]:
     """Ids of all rows of a slice, ``end_id`` after each row, and each row's number of ids."""
     flat, size = words.of(w.vocab)
-    begin = np.cumsum(size) - size
+    begin = (np.cumsum(size) - size).astype(np.int64)
     per = size[w.codes]
-    ids = flat[np.repeat(begin[w.codes], per) + np.arange(per.sum()) - np.repeat(np.cumsum(per) - per, per)]
     total = np.concatenate(([0], np.cumsum(per)))
     row_ends = total[w.starts[1:]]
     n = np.diff(total[w.starts]) + 1
-    return np.insert(ids.astype(np.uint32), row_ends, end_id), n
+    ids = flat[W.runs(begin[w.codes], per)]
+    kind = words.width if end_id <= np.iinfo(words.width).max else np.uint32
+    return np.insert(ids.astype(kind, copy=False), row_ends, end_id), n
 
 
-def token_counts(frame: DataFrame, path: str, end_id: int = END_ID) -> np.ndarray:
-    """How often each id occurs in all texts, end ids included."""
-    size = max(WordIds(path).vocab_size, end_id + 1)
+def encoded(frame: DataFrame, path: str, end_id: int) -> DataFrame:
+    """(doc_id, th, ids): each row's ids, packed with 16 bits an id where the vocabulary allows, else 32. Texts are coded once, here."""
 
-    def fill(mine, b):
-        w = W.Words(b.column(b.schema.get_field_index("text")))
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         words = _words_of(path)
-        flat, per = words.of(w.vocab)
-        times = np.repeat(np.bincount(w.codes, minlength=len(w.vocab)), per)
-        mine += np.bincount(flat, times, minlength=size).astype(np.int64)
-        mine[end_id] += len(w.starts) - 1
+        for b in W.slices(batches, limit=4 * W.SLICE_BYTES):
+            ids, n = encoded_slice(W.Words(b.column(1)), words, end_id)
+            ids = ids.astype(id_type(words.vocab_size, end_id), copy=False)
+            ends = np.concatenate(([0], np.cumsum(n))) * ids.itemsize
+            body = pa.Array.from_buffers(pa.large_binary(), len(n), [None, pa.py_buffer(ends.astype(np.int64)), pa.py_buffer(np.ascontiguousarray(ids))])
+            yield pa.record_batch({"doc_id": b.column(0), "th": b.column(2), "ids": body.cast(pa.binary())})
+
+    rows = frame.select(F.col("doc_id").cast("long").alias("doc_id"), "text").withColumn("th", F.xxhash64(F.coalesce("text", F.lit(""))))
+    return rows.mapInArrow(run, "doc_id long, th long, ids binary")
+
+
+def id_type(vocab_size: int, end_id: int) -> type:
+    return np.uint16 if max(vocab_size, end_id + 1) <= 1 << 16 else np.uint32
+
 
-    return W.summed_sketch(frame.select("text"), size, fill)
+def _flat(col: pa.Array, kind: type) -> tuple[np.ndarray, np.ndarray]:
+    """All ids of a column of packed ids, and the number of ids of each row."""
+    offs = np.frombuffer(col.buffers()[1], np.int32)[col.offset : col.offset + len(col) + 1].astype(np.int64)
+    return np.frombuffer(col.buffers()[2], np.uint8)[offs[0] : offs[-1]].view(kind), np.diff(offs) // np.dtype(kind).itemsize
+
+
+def token_counts(coded: DataFrame, size: int, kind: type) -> np.ndarray:
+    """How often each id occurs in all rows of ``coded``."""
+
+    def fill(mine, b):
+        mine += np.bincount(_flat(b.column(0), kind)[0], minlength=size)
+
+    return W.summed_sketch(coded.select("ids"), size, fill, text="ids")
 
 
 def write_tokens(frame: DataFrame, folder: str, path: str | None = None, end_id: int = END_ID) -> None:
     """Write the token ids of all rows of (doc_id, text) into ``folder``, ascending by doc_id (null first; ties by text hash).
 
     Null texts are empty; each document ends with ``end_id``. ``folder``/blocks has (part, block, start, docs, sizes,
-    payload), ``folder``/table the frequency table.
+    payload), ``folder``/table the frequency table. The coded rows wait in the shared folder and go when the blocks are written.
     """
     path = W.tokenizer_path("word_bpe_49k.json", path)
-    freq = Codec.table(token_counts(frame, path, end_id))
+    size = max(WordIds(path).vocab_size, end_id + 1)
+    kind = id_type(size, end_id)
     spark = frame.sparkSession
+    coded = W.written(encoded(frame, path, end_id), "ids")
+    freq = Codec.table(token_counts(coded, size, kind))
     spark.createDataFrame([(freq.astype("<u4").tobytes(),)], "freq binary").coalesce(1).write.parquet(f"{folder}/table")
     table = spark.sparkContext.broadcast(freq)
-    ordered = frame.select(F.col("doc_id").cast("long").alias("doc_id"), "text").withColumn("th", F.xxhash64(F.coalesce("text", F.lit(""))))
-    ordered = ordered.repartitionByRange(W.partitions(spark), "doc_id").sortWithinPartitions("doc_id", "th").select("doc_id", "text")
+    ordered = coded.repartitionByRange(W.partitions(spark), "doc_id").sortWithinPartitions("doc_id", "th").select("doc_id", "ids")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        codec, words, part, k, start = Codec(table.value), _words_of(path), TaskContext.get().partitionId(), 0, 0
-        for b in W.slices(batches):
-            ids, n = encoded_slice(W.Words(b.column(1)), words, end_id)
+        codec, part, k, start = Codec(table.value), TaskContext.get().partitionId(), 0, 0
+        for b in batches:
+            if not b.num_rows:
+                continue
+            ids, n = _flat(b.column(1), kind)
             ends = np.cumsum(n)
             at = 0
             while at < len(n):
                 base = int(ends[at - 1]) if at else 0
                 to = max(at + 1, int(np.searchsorted(ends, base + BLOCK, side="right")))
-                mine = ids[base : int(ends[to - 1])]
-                yield pa.record_batch({"part": pa.array([part], pa.int32()), "block": pa.array([k], pa.int64()), "start": pa.array([start], pa.int64()), "n_ids": pa.array([len(mine)], pa.int64()), "docs": pa.array([b.column(0).slice(at, to - at).to_pylist()], pa.list_(pa.int64())), "sizes": pa.array([n[at:to].tolist()], pa.list_(pa.int64())), "payload": pa.array([codec.encode(mine)], pa.binary())})
+                mine = ids[base : int(ends[to - 1])].astype(np.uint32)
+                row = {"part": pa.array([part], pa.int32()), "block": pa.array([k], pa.int64()), "start": pa.array([start], pa.int64()), "n_ids": pa.array([len(mine)], pa.int64())}
+                row["docs"] = pa.array([b.column(0).slice(at, to - at).to_pylist()], pa.list_(pa.int64()))
+                row["sizes"] = pa.array([n[at:to].tolist()], pa.list_(pa.int64()))
+                yield pa.record_batch(row | {"payload": pa.array([codec.encode(mine)], pa.binary())})
                 at, k, start = to, k + 1, start + len(mine)
 
     ordered.mapInArrow(run, "part int, block long, start long, n_ids long, docs array<long>, sizes array<long>, payload binary").write.parquet(f"{folder}/blocks")
+    W.dropped(coded)
 
 
 def read_tokens(spark, folder: str, with_ids: bool = True) -> DataFrame:

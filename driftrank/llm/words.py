@@ -46,6 +46,11 @@ def slices(batches: Iterator[pa.RecordBatch], text: str = "text", limit: int = S
             at, base = to, int(ends[to - 1])
 
 
+def strings(col: pa.Array) -> list[str]:
+    """The column as Python strings; to_pylist() takes some ten times as long."""
+    return col.to_numpy(zero_copy_only=False).tolist()
+
+
 class Words:
     """The words of one slice: ``vocab`` (distinct), ``codes`` (one per word) and ``starts`` (row offsets)."""
 
@@ -59,14 +64,15 @@ class Words:
             offs = np.concatenate(([0], np.cumsum(full)))[offs]
             flat = flat.filter(pa.array(full))
         coded = pc.dictionary_encode(flat)
-        self.vocab: list[str] = coded.dictionary.to_pylist()
+        self.vocab: list[str] = strings(coded.dictionary)
         self.codes = coded.indices.to_numpy(zero_copy_only=False).astype(np.int64)
         if lower:  # A-Z alone, and on the distinct words only
             again = pc.dictionary_encode(pa.array([w.lower() if w.isascii() else w.translate(_LOWER) for w in self.vocab], pa.large_string()))
-            self.vocab = again.dictionary.to_pylist()
+            self.vocab = strings(again.dictionary)
             self.codes = again.indices.to_numpy(zero_copy_only=False).astype(np.int64)[self.codes]
         self.starts = offs.astype(np.int64)
         self.n = len(self.codes)
+        self.hashed: dict[int, np.ndarray] = {}
 
     def rows(self) -> np.ndarray:
         return np.repeat(np.arange(len(self.starts) - 1), np.diff(self.starts))
@@ -76,7 +82,9 @@ class Words:
         return np.repeat(self.starts[1:], np.diff(self.starts)) - np.arange(self.n)
 
     def hashes(self, seed: int = 0) -> np.ndarray:
-        h = np.fromiter((xxhash.xxh3_64_intdigest(w, seed) for w in self.vocab), np.uint64, len(self.vocab))
+        if seed not in self.hashed:
+            self.hashed[seed] = np.fromiter((xxhash.xxh3_64_intdigest(w, seed) for w in self.vocab), np.uint64, len(self.vocab))
+        h = self.hashed[seed]
         return h[self.codes] if len(h) else np.zeros(0, np.uint64)
 
 
@@ -151,6 +159,28 @@ def written(df: DataFrame, name: str) -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
+def dropped(*tables: DataFrame) -> None:
+    """Delete tables that written() made, once nothing will read them again."""
+    for t in tables:
+        for f in {f.rsplit("/", 1)[0] for f in t.inputFiles()}:
+            path = t.sparkSession._jvm.org.apache.hadoop.fs.Path(f)
+            path.getFileSystem(t.sparkSession._jsc.hadoopConfiguration()).delete(path, True)
+
+
+def runs(begin: np.ndarray, size: np.ndarray) -> np.ndarray:
+    """begin[0] .. begin[0] + size[0] - 1, then the same of each following pair."""
+    total = int(size.sum())
+    step = np.ones(total, np.int64)
+    full = np.flatnonzero(size)
+    if not total:
+        return step
+    b, n = begin[full], size[full]
+    at = np.cumsum(n)[:-1]
+    step[0] = b[0]
+    step[at] = b[1:] - b[:-1] - n[:-1] + 1
+    return np.cumsum(step)
+
+
 def partitions(spark: SparkSession) -> int:
     return int(spark.conf.get("spark.sql.shuffle.partitions"))
 
