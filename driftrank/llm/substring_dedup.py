@@ -2,7 +2,9 @@
 
 A window of 35 words that repeats carries its least 8-word gram along, so that gram repeats as well. Each partition
 counts its selected grams in a sketch of fixed width; merged, the counters never lie under a window's true count.
-A second pass groups exactly, by 128-bit hashes, only the windows whose gram is estimated to repeat.
+A second pass groups exactly, by 96 bits of hash under the 64 bits of their least gram, only the windows whose gram is
+estimated to repeat. Neighbouring windows with one least gram travel as one row, dealt and sorted by that gram, and are
+grouped as they stream by, so a task holds one batch and one gram's distinct windows.
 """
 
 from __future__ import annotations
@@ -11,8 +13,8 @@ import hashlib
 from collections.abc import Iterator
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -21,8 +23,9 @@ from driftrank.llm import words as W
 WINDOW, GRAM = 35, 8
 WIDTH = 1 << 27  # counters of each of the sketch's two rows, whatever the input
 SLAB = 1 << 20
-_ENTRY = np.dtype([("h1", "<u8"), ("h2", "<u8"), ("doc", "<u4"), ("pos", "<u4")])
-_KNOWN = np.uint32(1 << 31)
+_HASH = np.dtype([("h1", "<u8"), ("h2", "<u4")])
+_ENTRY = np.dtype([("g", "<i8"), ("h1", "<u8"), ("h2", "<u4"), ("known", "?"), ("dk", "<i8"), ("th", "<i8"), ("pos", "<i4")])
+SPOTS = "dk long, th long, pos int, n int"
 
 
 def _grams(words: W.Words, window: int, gram: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -67,17 +70,28 @@ def sketch(frame: DataFrame, window: int, gram: int) -> np.ndarray:
         if n:
             yield from flush()
 
-    def merge(pdf: pd.DataFrame) -> pd.DataFrame:
-        seen = np.zeros(SLAB, np.uint8)
-        for body in pdf["body"]:
-            x = np.frombuffer(body, np.uint32)
-            at = x >> np.uint32(1)
-            seen[at] = np.minimum(seen[at] + 1 + (x & np.uint32(1)).astype(np.uint8), 2)
-        return pd.DataFrame({"slab": [int(pdf["slab"].iloc[0])], "body": [np.packbits(seen > 1, bitorder="little").tobytes()]})
+    def merge(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        seen, own = np.zeros(SLAB, np.uint8), None
+
+        def done():
+            return pa.record_batch({"slab": pa.array([own], pa.int64()), "body": pa.array([np.packbits(seen > 1, bitorder="little").tobytes()], pa.binary())})
+
+        for b in batches:  # sorted by slab, so one slab's counters are held at a time
+            for k, body in zip(b.column(0).to_pylist(), b.column(1), strict=True):
+                if k != own:
+                    if own is not None:
+                        yield done()
+                    own, seen[:] = k, 0
+                x = np.frombuffer(body.as_buffer(), np.uint32)
+                at = x >> np.uint32(1)
+                seen[at] = np.minimum(seen[at] + 1 + (x & np.uint32(1)).astype(np.uint8), 2)
+        if own is not None:
+            yield done()
 
     schema = "slab long, body binary"
     bits = np.zeros(2 * WIDTH // 8, np.uint8)
-    for r in frame.select("text").mapInArrow(part, schema).groupBy("slab").applyInPandas(merge, schema).toLocalIterator():
+    merged = frame.select("text").mapInArrow(part, schema).repartition("slab").sortWithinPartitions("slab").mapInArrow(merge, schema)
+    for r in merged.toLocalIterator():
         at = r["slab"] * (SLAB // 8)
         bits[at : at + SLAB // 8] = np.frombuffer(bytes(r["body"]), np.uint8)
     return bits
@@ -90,97 +104,110 @@ def _set(bits: np.ndarray, g: np.ndarray) -> np.ndarray:
     return one & ((bits[b >> 3] >> (b & 7).astype(np.uint8)) & 1).astype(bool)
 
 
+def _differ(e: np.ndarray, *columns: str) -> np.ndarray:
+    """Per entry: does it differ from the one before in any of the columns?"""
+    new = np.ones(len(e), bool)
+    if len(e):
+        new[1:] = np.logical_or.reduce([e[c][1:] != e[c][:-1] for c in columns])
+    return new
+
+
+def _settled(e: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Which entries are of windows that occur twice or more in ``e`` and not known to repeat yet; one of each distinct window, marked."""
+    key = np.ascontiguousarray(e["h1"])
+    by = np.argsort(key, kind="stable")
+    s = e[by]
+    if (_differ(s, "g", "h1", "h2") != _differ(s, "h1")).any():  # one hash, several windows
+        by = np.lexsort((e["h2"], e["h1"], e["g"]))
+        s = e[by]
+    begin = np.flatnonzero(_differ(s, "g", "h1", "h2"))
+    size = np.diff(np.append(begin, len(s)))
+    hits = np.sort(by[np.repeat(size > 1, size) & ~s["known"]])
+    first = by[begin]
+    e["known"][first] |= size > 1
+    return hits, np.sort(first)
+
+
+def _stretches(e: np.ndarray, *same: str) -> tuple[np.ndarray, np.ndarray]:
+    """Begins and lengths of runs of neighbouring starts of one document that agree in ``same``."""
+    new = _differ(e, "dk", "th", *same)
+    new[1:] |= e["pos"][1:] != e["pos"][:-1] + 1
+    begin = np.flatnonzero(new)
+    return begin, np.diff(np.append(begin, len(e)))
+
+
+def _spots(hits: np.ndarray) -> dict[str, pa.Array]:
+    """Columns of SPOTS."""
+    begin, n = _stretches(hits)
+    return {"dk": pa.array(hits["dk"][begin]), "th": pa.array(hits["th"][begin]), "pos": pa.array(hits["pos"][begin]), "n": pa.array(n.astype(np.int32))}
+
+
 def repeated_windows(keys: DataFrame, window: int, gram: int = GRAM) -> DataFrame:
-    """(dk, th, spots): starts of windows that also start anywhere else, as packed uint32, several rows per key."""
-    spark = keys.sparkSession
-    bits = spark.sparkContext.broadcast(sketch(keys, window, gram))
-    shards = 2 * W.partitions(spark)
-    table = np.dtype([("dk", "<i8"), ("th", "<i8")])
-    schema = "shard int, docs binary, entries binary"
+    """(dk, th, pos, n): runs of ``n`` window starts from ``pos`` on that also start anywhere else."""
+    bits = keys.sparkSession.sparkContext.broadcast(sketch(keys, window, gram))
 
     def part(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in W.slices(batches, limit=4 * W.SLICE_BYTES):
             words = W.Words(b.column(0))
-            g, low, ok = _grams(words, window, gram)
-            del g
+            _, low, ok = _grams(words, window, gram)
             pos = np.flatnonzero(ok)
             pos = pos[_set(bits.value, low[pos])]
             if not len(pos):
                 continue
-            del low
-            h1 = W.rolling(words.hashes(11), window)[pos]
-            h2 = W.rolling(words.hashes(12), window, 0xD6E8FEB86659FD93)[pos]
-            at = W.mix(h1 ^ (h2 >> np.uint64(7)))
-            by = np.lexsort((h2, h1))
-            e = np.zeros(len(pos), _ENTRY)
             row = words.rows()[pos]
-            e["h1"], e["h2"], e["doc"], e["pos"] = h1[by], h2[by], row[by], (pos - words.starts[row])[by]
-            new = np.ones(len(e), bool)
-            new[1:] = (e["h1"][1:] != e["h1"][:-1]) | (e["h2"][1:] != e["h2"][:-1])
-            size = np.diff(np.append(np.flatnonzero(new), len(e)))
-            many = np.repeat(size > 1, size)
-            ids = np.zeros(b.num_rows, table)
-            ids["dk"], ids["th"] = b.column(1).to_numpy(), b.column(2).to_numpy()
-            # what repeats within the slice is settled here; one flagged entry tells the others
-            out_s, out_d, out_e = [], [], []
-            done = e[many]
-            done = done[np.argsort(done["doc"], kind="stable")]
-            u, first = np.unique(done["doc"], return_index=True)
-            for d, x in zip(u, np.split(done["pos"], first[1:]) if len(u) else [], strict=True):
-                out_s.append(int(ids["th"][d]) % shards)
-                out_d.append(ids[d : d + 1].tobytes())
-                out_e.append(x.astype("<u4").tobytes())
-            ship = e[new]
-            ship["pos"] |= np.where(size > 1, _KNOWN, np.uint32(0))
-            where = (at[by][new] % np.uint64(shards)).astype(np.int64)
-            cut = np.argsort(where, kind="stable")
-            ship, where = ship[cut], where[cut]
-            u, first = np.unique(where, return_index=True)
-            for s, x in zip(u, np.split(ship, first[1:]), strict=True):
-                used, to = np.unique(x["doc"], return_inverse=True)
-                x["doc"] = to
-                out_s.append(int(s))
-                out_d.append(ids[used].tobytes())
-                out_e.append(b"w" + x.tobytes())
-            yield pa.record_batch({"shard": pa.array(out_s, pa.int32()), "docs": pa.array(out_d, pa.binary()), "entries": pa.array(out_e, pa.binary())})
-
-    def resolve(pdf: pd.DataFrame) -> pd.DataFrame:
-        found: dict[tuple[int, int], list[bytes]] = {}
-        parts, owners, base = [], [], 0
-        for docs, body in zip(pdf["docs"], pdf["entries"], strict=True):
-            ids = np.frombuffer(docs, table)
-            if len(body) % 4 == 0:
-                found.setdefault(ids[0].item(), []).append(body)
+            e = np.zeros(len(pos), _ENTRY)
+            e["g"] = low[pos].view(np.int64)
+            del low
+            e["h1"] = W.rolling(words.hashes(11), window)[pos]
+            e["h2"] = W.rolling(words.hashes(12), window, 0xD6E8FEB86659FD93)[pos] >> np.uint64(32)
+            e["dk"], e["th"], e["pos"] = b.column(1).to_numpy()[row], b.column(2).to_numpy()[row], pos - words.starts[row]
+            # what repeats within the slice is settled here; one entry marked as known tells the others
+            hits, left = _settled(e)
+            own = _spots(e[hits])
+            k = len(own["dk"])
+            deal = W.mix(own["dk"].to_numpy().view(np.uint64) + own["pos"].to_numpy().astype(np.uint64)).view(np.int64)
+            yield pa.record_batch({"g": pa.array(deal), "known": pa.nulls(k, pa.bool_()), **own, "body": pa.nulls(k, pa.binary())})
+            left = e[left]
+            begin, n = _stretches(left, "g", "known")
+            ends = (np.append(begin, len(left)) * _HASH.itemsize).astype(np.int32)
+            packed = np.empty(len(left), _HASH)
+            packed["h1"], packed["h2"] = left["h1"], left["h2"]
+            body = pa.Array.from_buffers(pa.binary(), len(n), [None, pa.py_buffer(ends), pa.py_buffer(packed)])
+            first = left[begin]
+            yield pa.record_batch({**{c: pa.array(first[c]) for c in ("g", "known", "dk", "th", "pos")}, "n": pa.array(n.astype(np.int32)), "body": body})
+
+    def resolve(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        carry = np.zeros(0, _ENTRY)
+        for b in batches:
+            settled = b.column(6).is_null()
+            yield pa.record_batch({c: b.column(2 + k) for k, c in enumerate(("dk", "th", "pos", "n"))}).filter(settled)
+            b = b.filter(pc.invert(settled))
+            if not b.num_rows:
                 continue
-            x = np.frombuffer(body, _ENTRY, offset=1).copy()
-            x["doc"] += base
-            base += len(ids)
-            owners.append(ids)
-            parts.append(x)
-        if parts:
-            e, ids = np.concatenate(parts), np.concatenate(owners)
-            e = e[np.lexsort((e["h2"], e["h1"]))]
-            new = np.ones(len(e), bool)
-            new[1:] = (e["h1"][1:] != e["h1"][:-1]) | (e["h2"][1:] != e["h2"][:-1])
-            size = np.diff(np.append(np.flatnonzero(new), len(e)))
-            hit = e[np.repeat(size > 1, size) & (e["pos"] < _KNOWN)]
-            hit = hit[np.argsort(hit["doc"], kind="stable")]
-            u, first = np.unique(hit["doc"], return_index=True)
-            for d, x in zip(u, np.split(hit["pos"], first[1:]) if len(u) else [], strict=True):
-                found.setdefault(ids[d].item(), []).append(x.astype("<u4").tobytes())
-        return pd.DataFrame({"dk": [k[0] for k in found], "th": [k[1] for k in found], "spots": [b"".join(v) for v in found.values()]})
-
-    flagged = keys.select("text", "dk", "th").mapInArrow(part, schema)
-    return flagged.groupBy("shard").applyInPandas(resolve, "dk long, th long, spots binary")
-
-
-def kept_words(words: list[bytes], spots: list[bytes] | None, window: int) -> list[bytes]:
-    if not spots:
-        return words
+            n = b.column(5).to_numpy()
+            e = np.zeros(int(n.sum()), _ENTRY)
+            packed = np.frombuffer(b"".join(x.as_buffer() for x in b.column(6)), _HASH)
+            e["h1"], e["h2"] = packed["h1"], packed["h2"]
+            for c, k in (("g", 0), ("dk", 2), ("th", 3)):
+                e[c] = np.repeat(b.column(k).to_numpy(), n)
+            e["known"] = np.repeat(b.column(1).to_numpy(zero_copy_only=False), n)
+            e["pos"] = W.runs(b.column(4).to_numpy().astype(np.int64), n.astype(np.int64))
+            last = e["g"][-1]
+            e = np.concatenate((carry, e))
+            hits, left = _settled(e)
+            if len(hits):
+                yield pa.record_batch(_spots(e[hits]))
+            carry = e[left][e["g"][left] == last]  # rows come by gram: only the last one may go on
+
+    flagged = keys.select("text", "dk", "th").mapInArrow(part, "g long, known boolean, dk long, th long, pos int, n int, body binary")
+    return flagged.repartition("g").sortWithinPartitions("g").mapInArrow(resolve, SPOTS)
+
+
+def kept_words(words: list[bytes], pos: np.ndarray, n: np.ndarray, window: int) -> list[bytes]:
+    """The words that no window covers, of those that start in the runs (pos, n)."""
     step = np.zeros(len(words) + 1, np.int64)
-    at = np.unique(np.frombuffer(b"".join(spots), np.uint32).astype(np.int64))
-    np.add.at(step, at, 1)
-    np.add.at(step, at + window, -1)
+    np.add.at(step, pos, 1)
+    np.add.at(step, pos + n + window - 1, -1)
     return [words[i] for i in np.flatnonzero(np.cumsum(step[:-1]) == 0).tolist()]
 
 
@@ -188,11 +215,14 @@ def dedup_substrings(frame: DataFrame, window: int = WINDOW, carry: list[str] |
     """Each row of ``frame`` (doc_id, text, ``carry``) with n_words, n_removed, kept_sha256 and kept (its remaining text).
 
     Every word covered by a window of ``window`` words that also starts anywhere else (same text included) goes.
-    ``kept`` is null where nothing was removed. Null texts have no words; repeated rows repeat each other.
+    ``kept`` is null where nothing was removed. Null texts have no words; repeated rows repeat each other. Of an empty
+    frame nothing comes back. ``carry`` may not name one of the columns made here.
     """
     carry = carry or []
+    if {"doc_id", "n_words", "n_removed", "kept_sha256", "kept"} & set(carry):
+        raise ValueError("a carried column has the name of a result")
     keys = W.keyed(frame)
-    hits = repeated_windows(keys, window).groupBy("dk", "th").agg(F.collect_list("spots").alias("spots"))
+    hits = repeated_windows(keys, window).groupBy("dk", "th").agg(F.collect_set(F.struct("pos", "n")).alias("spots"))
     own = frame.select(*(F.col(c).alias(f"c{i}") for i, c in enumerate(carry)), "doc_id", "text")
     own = own.withColumns({"dk": F.coalesce("doc_id", F.lit(W.NO_ID)).cast("long"), "th": F.xxhash64(F.coalesce("text", F.lit("")))})
     joined = own.join(hits, ["dk", "th"], "left")
@@ -203,10 +233,13 @@ def dedup_substrings(frame: DataFrame, window: int = WINDOW, carry: list[str] |
         for b in W.slices(batches):
             n, gone, sha, kept = [], [], [], []
             texts, spots = b.column(b.schema.get_field_index("text")), b.column(b.schema.get_field_index("spots"))
-            for t, s in zip(texts, spots, strict=True):
+            pos, runs = (x.to_numpy().astype(np.int64) for x in spots.flatten().flatten())
+            cut = np.concatenate(([0], np.cumsum(pc.fill_null(pc.list_value_length(spots), 0).to_numpy())))
+            for r, t in enumerate(texts):
                 raw = t.as_buffer()
                 words = raw.to_pybytes().split() if raw is not None else []
-                left = kept_words(words, s.as_py(), window)
+                lo, hi = cut[r], cut[r + 1]
+                left = kept_words(words, pos[lo:hi], runs[lo:hi], window) if hi > lo else words
                 body = b" ".join(left)
                 n.append(len(words))
                 gone.append(len(words) - len(left))
@@ -221,5 +254,3 @@ def dedup_substrings(frame: DataFrame, window: int = WINDOW, carry: list[str] |
 
 def op4_substring_dedup(spark, sf_dir) -> DataFrame:
     return dedup_substrings(W.docs(spark, sf_dir)).drop("kept")
-
-
