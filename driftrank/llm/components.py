@@ -12,7 +12,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from driftrank.llm.words import written
+from driftrank.llm.words import dropped, written
 
 LOCAL = 1 << 20
 
@@ -79,9 +79,10 @@ def components(edges: DataFrame, a: str = "a", b: str = "b", max_rounds: int = 6
     e = written(_contracted(e), "cc")
     for _ in range(max_rounds):
         # read again, small files share a task, so a contraction sees more than the one before
-        e = written(_contracted(e), "cc")
+        last, e = e, written(_contracted(e), "cc")
         before = _sums(e)
-        e = written(_star(_star(e, True), False), "cc")
+        older, e = e, written(_star(_star(e, True), False), "cc")
+        dropped(last, older)
         if _sums(e) == before:
             break
     else:
