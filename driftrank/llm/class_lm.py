@@ -1,11 +1,12 @@
 """Class-based bigram language model: exchange clustering, class transitions and word emissions.
 
-Words and their counts come from all training texts. The ``CLUSTERED`` most frequent words are put into ``CLASSES``
-classes by the exchange algorithm; the other words of the shared table into classes by count band; all rarer words (those seen once always),
-unknown ones included, into one class. The shared table holds words of at least N / TABLE tokens (2 at least), so never more than
-TABLE of them; the counts of all others are joined. P(word | previous word) =
-LAMBDA * P(class | previous class) * P(word | class) + (1 - LAMBDA) * add-one unigram; it sums to 1 over the known words
-and one unknown word.
+Texts are coded once, slice by slice: word numbers and the slice's distinct words by 64-bit hash. The CORE most frequent
+words are put into CLASSES classes by the exchange algorithm, word after word until none moves. Every other word that
+occurs LEAST times or more then moves to the class that the exchange criterion prefers, given the core's classes and its
+own neighbours over all texts; rarer words and unknown ones share the class RARE. The word table (hash, count, class)
+grows with the corpus, is never broadcast and never reaches the driver: it is joined with each slice's distinct words.
+P(word | previous word) = LAMBDA * P(class | previous class) * P(word | class) + (1 - LAMBDA) * add-one unigram; it sums
+to 1 over the known words and one unknown word.
 """
 
 from __future__ import annotations
@@ -13,41 +14,82 @@ from __future__ import annotations
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame
+from pyspark import TaskContext
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from driftrank.llm import words as W
 
-CLUSTERED, CLASSES, TABLE = 1500, 48, 1 << 22
-LAMBDA, STRENGTH, BANDS = 0.95, 5.0, 4
-END, RARE = 0, 1  # classes; exchange classes and bands follow
+CORE, CLASSES, LEAST, SWEEPS = 1500, 48, 2, 20
+LAMBDA, STRENGTH = 0.95, 5.0
+END, RARE = 0, 1  # classes; exchange classes follow
+KINDS = 2 + CLASSES
+SMALL = 16  # neighbour counts whose gains are tabled
 
 
 def _hash(vocab: list[str]) -> np.ndarray:
     return np.fromiter((xxhash.xxh3_64_intdigest(v, 3) for v in vocab), np.uint64, len(vocab)).view(np.int64)
 
 
-def word_counts(train: DataFrame) -> DataFrame:
-    """(h, c) over all training texts, the end token not included; h is a word's 64-bit hash."""
+def _packed(x: np.ndarray, kind: str) -> pa.Array:
+    return pa.array([x.astype(kind).tobytes()], pa.binary())
+
+
+def _unpacked(b: pa.RecordBatch, name: str, r: int, kind: str) -> np.ndarray:
+    return np.frombuffer(b.column(b.schema.get_field_index(name))[r].as_buffer(), kind)
+
+
+def coded(documents: DataFrame, learn: Column) -> DataFrame:
+    """One row a slice of (doc_id, text) rows: slice, ids, learn, starts, codes (word numbers), hashes (of the distinct words).
+
+    ``learn`` says which rows may be learnt from; null counts as no. Null texts have no words.
+    """
+    kind = documents.schema["doc_id"].dataType.simpleString()
 
     def run(batches):
-        for b in W.slices(batches, limit=4 * W.SLICE_BYTES):
-            w = W.Words(b.column(0), lower=True)
-            if w.n:
-                yield pa.record_batch({"h": pa.array(_hash(w.vocab)), "c": pa.array(np.bincount(w.codes, minlength=len(w.vocab)))})
+        at = TaskContext.get().partitionId() << 32
+        for b in W.slices(batches, limit=2 * W.SLICE_BYTES):
+            w = W.Words(b.column(1), lower=True)
+            row = {"slice": pa.array([at], pa.int64()), "ids": pa.ListArray.from_arrays(pa.array([0, b.num_rows], pa.int32()), b.column(0)), "learn": _packed(b.column(2).to_numpy(zero_copy_only=False), "?")}
+            yield pa.record_batch(row | {"starts": _packed(w.starts, "<i8"), "codes": _packed(w.codes, "<u4"), "hashes": _packed(_hash(w.vocab), "<i8")})
+            at += 1
+
+    rows = documents.select("doc_id", "text", F.coalesce(learn, F.lit(False)).alias("learn"))
+    return rows.mapInArrow(run, f"slice long, ids array<{kind}>, learn binary, starts binary, codes binary, hashes binary")
+
+
+def _sequence(b: pa.RecordBatch, r: int) -> tuple[np.ndarray, np.ndarray]:
+    """Word codes of a slice's learnt rows with -1 (an end) before each row and after the last, and the slice's hashes."""
+    starts, codes, learn = _unpacked(b, "starts", r, "<i8"), _unpacked(b, "codes", r, "<u4"), _unpacked(b, "learn", r, "?")
+    size = np.where(learn, np.diff(starts), 0)
+    own = codes[W.runs(starts[:-1][learn], np.diff(starts)[learn])].astype(np.int64)
+    seq = np.full(len(own) + int(learn.sum()) + 1, -1)
+    seq[np.arange(len(own)) + np.repeat(np.arange(int(learn.sum())), size[learn]) + 1] = own
+    return seq, _unpacked(b, "hashes", r, "<i8")
 
-    return train.select("text").mapInArrow(run, "h long, c long").groupBy("h").agg(F.sum("c").alias("c"))
+
+def word_counts(slices: DataFrame) -> DataFrame:
+    """(h, c) of all words of the learnt rows, the end token not included."""
+
+    def run(batches):
+        for b in batches:
+            for r in range(b.num_rows):
+                seq, h = _sequence(b, r)
+                n = np.bincount(seq[seq >= 0], minlength=len(h))
+                yield pa.record_batch({"h": pa.array(h[n > 0]), "c": pa.array(n[n > 0])})
+
+    return slices.mapInArrow(run, "h long, c long").groupBy("h").agg(F.sum("c").alias("c"))
 
 
 def _f(x: np.ndarray) -> np.ndarray:
     return x * np.log(np.maximum(x, 1))
 
 
-def exchange(pairs: np.ndarray, fixed: np.ndarray, classes: int, sweeps: int = 4) -> np.ndarray:
+def exchange(pairs: np.ndarray, fixed: np.ndarray, classes: int, sweeps: int = SWEEPS) -> np.ndarray:
     """Class of each symbol, from bigram counts; ``fixed`` >= 0 pins a symbol. Maximises the class bigram likelihood.
 
     Movable symbols start in round-robin order (given by falling count) and move, one after another, to the class that
-    raises sum f(class pair count) - 2 * sum f(class count) most, f(x) = x log x, until a sweep changes nothing.
+    raises sum f(class pair count) - 2 * sum f(class count) most, f(x) = x log x, until a sweep changes nothing (or ``sweeps`` are over).
     """
     n = len(pairs)
     pinned = int(fixed.max()) + 1 if (fixed >= 0).any() else 0
@@ -91,122 +133,247 @@ def exchange(pairs: np.ndarray, fixed: np.ndarray, classes: int, sweeps: int = 4
     return cls
 
 
+def _core_symbols(h: np.ndarray, known: np.ndarray, values: np.ndarray, other: int) -> np.ndarray:
+    """``values`` of the hashes found in ``known`` (ascending), ``other`` for all others."""
+    if not len(known):
+        return np.full(len(h), other)
+    at = np.minimum(np.searchsorted(known, h), len(known) - 1)
+    return np.where(known[at] == h, values[at], other)
+
+
+def class_pairs(slices: DataFrame, known, cells: int, end: int, other: int) -> np.ndarray:
+    """Counts of neighbouring symbols, ``cells`` square; ``known`` broadcasts (hashes, symbols) of a bounded number of words."""
+
+    def fill(mine, b):
+        for r in range(b.num_rows):
+            seq, h = _sequence(b, r)
+            s = np.append(_core_symbols(h, *known.value, other), end)[seq]
+            mine += np.bincount(s[:-1] * cells + s[1:], minlength=cells * cells)
+
+    return W.summed_sketch(slices, cells * cells, fill, text="codes").reshape(cells, cells)
+
+
+class Gains:
+    """The exchange criterion for words outside the core, from the class pair counts ``g`` of the core."""
+
+    def __init__(self, g: np.ndarray):
+        self.g, self.out, self.into = g, g.sum(1), g.sum(0)
+        x = np.arange(SMALL)[:, None, None]
+        # by count, neighbour class and own class: what f(pair count) gains
+        self.right = (_f(g.T[None] + x) - _f(g.T[None])).transpose(0, 1, 2)
+        self.left = _f(g[None] + x) - _f(g[None])
+
+    def best(self, word: np.ndarray, side: np.ndarray, near: np.ndarray, n: np.ndarray, c: np.ndarray) -> np.ndarray:
+        """The best class of each word: entries (word, side, neighbour class, count) come sorted by word; ``c``: counts of words."""
+        gain = np.empty((len(word), KINDS))
+        small = n < SMALL
+        for s, table, g in ((0, self.left, self.g), (1, self.right, self.g.T)):
+            at = np.flatnonzero(small & (side == s))
+            gain[at] = table[n[at], near[at]]
+            at = np.flatnonzero(~small & (side == s))
+            gain[at] = _f(g[near[at]] + n[at, None]) - _f(g[near[at]])
+        total = np.add.reduceat(gain, np.searchsorted(word, np.arange(len(c)))) if len(c) else gain[:0]
+        x = c[:, None]
+        total = total - (_f(self.out + x) - _f(self.out)) - (_f(self.into + x) - _f(self.into))
+        return total[:, 2:].argmax(axis=1) + 2
+
+
+def moved_words(slices: DataFrame, core, g: np.ndarray) -> DataFrame:
+    """(h, c, cls) of all learnt words outside the core, by the classes of their neighbours in all texts.
+
+    A word's neighbours come as one byte each; neighbours outside the core count as RARE. Rows are dealt and sorted by
+    word, so a task holds a batch and one word's sums.
+    """
+    gains = slices.sparkSession.sparkContext.broadcast(Gains(g.astype(np.float64)))
+
+    def part(batches):
+        for b in batches:
+            for r in range(b.num_rows):
+                seq, h = _sequence(b, r)
+                known, cls = core.value
+                k = np.append(_core_symbols(h, known, cls, RARE), END).astype(np.uint8)[seq]
+                mid = np.flatnonzero((seq >= 0) & (k == RARE))
+                mid = mid[np.argsort(seq[mid], kind="stable")]
+                near = np.stack((k[mid - 1], k[mid + 1]), 1)
+                n = np.bincount(seq[mid], minlength=len(h))
+                own = np.flatnonzero(n)
+                cut = np.concatenate(([0], np.cumsum(2 * n[own]))).astype(np.int32)
+                yield pa.record_batch({"h": pa.array(h[own]), "near": pa.Array.from_buffers(pa.binary(), len(own), [None, pa.py_buffer(cut), pa.py_buffer(np.ascontiguousarray(near))])})
+
+    def sums(batches):
+        last, held = None, np.zeros(2 * KINDS, np.int64)
+
+        def told(h, cells):
+            """Rows of words ``h`` from (word, side and class, count)."""
+            word, cell, n = cells
+            c = np.bincount(word[cell < KINDS], n[cell < KINDS], len(h)).astype(np.int64)
+            cls = gains.value.best(word, cell // KINDS, cell % KINDS, n, c.astype(np.float64))
+            return pa.record_batch({"h": pa.array(h), "c": pa.array(c), "cls": pa.array(np.where(c >= LEAST, cls, RARE).astype(np.int32))})
+
+        for b in batches:
+            if not b.num_rows:
+                continue
+            h = b.column(0).to_numpy()
+            offs = np.frombuffer(b.column(1).buffers()[1], np.int32)[b.column(1).offset : b.column(1).offset + len(h) + 1].astype(np.int64)
+            near = np.frombuffer(b.column(1).buffers()[2], np.uint8)[offs[0] : offs[-1]].astype(np.int64)
+            near[1::2] += KINDS
+            words, of = np.unique(h, return_inverse=True)  # ascending, as the rows are
+            key, n = np.unique(np.repeat(of, np.diff(offs)) * (2 * KINDS) + near, return_counts=True)
+            word, cell = key // (2 * KINDS), key % (2 * KINDS)
+            if last is not None and last != words[0]:
+                at = np.flatnonzero(held)
+                yield told(np.array([last]), (np.zeros(len(at), np.int64), at, held[at]))
+                held[:] = 0
+            elif last is not None:
+                own = word == 0
+                held[cell[own]] += n[own]
+            if last is None or last != words[0]:
+                held[:] = 0
+                held[cell[word == 0]] = n[word == 0]
+            if len(words) > 1:  # the first word is whole now, the last one may go on
+                at = np.flatnonzero(held)
+                yield told(words[:1], (np.zeros(len(at), np.int64), at, held[at]))
+                own = (word > 0) & (word < len(words) - 1)
+                if own.any():
+                    yield told(words[1:-1], (word[own] - 1, cell[own], n[own]))
+                held[:] = 0
+                held[cell[word == len(words) - 1]] = n[word == len(words) - 1]
+            last = words[-1]
+        if last is not None:
+            at = np.flatnonzero(held)
+            yield told(np.array([last]), (np.zeros(len(at), np.int64), at, held[at]))
+
+    return slices.mapInArrow(part, "h long, near binary").repartition("h").sortWithinPartitions("h").mapInArrow(sums, "h long, c long, cls int")
+
+
 class ClassModel:
-    """``h``, ``c``, ``cls``: the shared table, by ascending hash. ``trans``: P(class | previous class)."""
+    """``words``: table (h, c, cls) of all learnt words. ``trans``: P(class | previous class). ``size``, ``kinds``: tokens and distinct
+    words of each class. ``n``, ``v``: tokens and distinct tokens, end tokens included."""
+
+    def __init__(self, words: DataFrame, trans, size, kinds, n: int, v: int):
+        self.words, self.trans, self.size, self.kinds, self.n, self.v = words, trans, size, kinds, n, v
+
+
+def looked_up(slices: DataFrame, words: DataFrame) -> DataFrame:
+    """``slices`` with the count and class of each distinct word (0 and RARE for unknown ones) as packed columns c and cls."""
 
-    def __init__(self, h, c, cls, trans, size, kinds, n, v):
-        self.h, self.c, self.cls, self.trans, self.size, self.kinds, self.n, self.v = h, c, cls, trans, size, kinds, n, v
+    def names(batches):
+        for b in batches:
+            for r in range(b.num_rows):
+                h = _unpacked(b, "hashes", r, "<i8")
+                yield pa.record_batch({"slice": pa.array(np.full(len(h), b.column(0)[r].as_py())), "k": pa.array(np.arange(len(h), dtype=np.int32)), "h": pa.array(h)})
 
-    def look(self, h: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        if not len(self.h):
-            return np.full(len(h), RARE), np.full(len(h), -1)
-        at = np.minimum(np.searchsorted(self.h, h), len(self.h) - 1)
-        ok = self.h[at] == h
-        return np.where(ok, self.cls[at], RARE), np.where(ok, self.c[at], -1)
+    def packed(batches):
+        last, c, cls = None, [], []
 
+        def row():
+            return pa.record_batch({"slice": pa.array([last], pa.int64()), "c": _packed(np.concatenate(c), "<i8"), "cls": _packed(np.concatenate(cls), "u1")})
 
-def train(documents: DataFrame) -> tuple[ClassModel, DataFrame]:
-    """The model and the full count table (h, c) of (doc_id, text) rows. Null texts count as one end token each."""
+        for b in batches:
+            s = b.column(0).to_numpy()
+            for lo, hi in zip(cut := np.flatnonzero(np.append(True, s[1:] != s[:-1])) if len(s) else [], [*cut[1:], len(s)], strict=True):
+                if s[lo] != last:
+                    if last is not None:
+                        yield row()
+                    last, c, cls = int(s[lo]), [], []
+                c.append(b.column(1).to_numpy()[lo:hi])
+                cls.append(b.column(2).to_numpy()[lo:hi])
+        if last is not None:
+            yield row()
+
+    found = slices.select("slice", "hashes").mapInArrow(names, "slice long, k int, h long").join(words, "h", "left")
+    found = found.select("slice", "k", F.coalesce("c", F.lit(0)).alias("c"), F.coalesce("cls", F.lit(RARE)).alias("cls"))
+    replies = found.repartition("slice").sortWithinPartitions("slice", "k").select("slice", "c", "cls").mapInArrow(packed, "slice long, c binary, cls binary")
+    return slices.join(replies, "slice", "left")  # a slice without words has no reply
+
+
+def train(documents: DataFrame, learn: Column | None = None) -> tuple[ClassModel, DataFrame]:
+    """The model of the rows of (doc_id, text) that ``learn`` names (all, if none), and all rows coded with their words' entries.
+
+    Null texts count as one end token each; of an empty frame the model knows nothing.
+    """
     spark = documents.sparkSession
-    counts = W.written(word_counts(documents), "counts")
-    ends = documents.count()
+    slices = W.written(coded(documents, F.lit(True) if learn is None else learn), "coded")
+    counts = W.written(word_counts(slices), "counts")
     s = counts.agg(F.coalesce(F.sum("c"), F.lit(0)), F.count("*")).first()
-    n, v = int(s[0]) + ends, int(s[1]) + (ends > 0)
-    top = counts.where(F.col("c") >= max(2, -(-n // TABLE))).toPandas().sort_values("h")
-    h, c = top["h"].to_numpy(np.int64), top["c"].to_numpy(np.int64)
-    order = np.lexsort((h, -c))
-    symbol = np.full(len(h), -1)
-    symbol[order[:CLUSTERED]] = np.arange(min(CLUSTERED, len(h)))
-    rest = symbol < 0
-    band = np.zeros(len(h), np.int64)
-    if rest.any():
-        x = np.log(c[rest])
-        band[rest] = np.minimum(((x - x.min()) / max(x.max() - x.min(), 1e-9) * BANDS).astype(np.int64), BANDS - 1)
-    m = min(CLUSTERED, len(h))
-    sym = np.where(rest, m + 2 + band, symbol)  # symbols: clustered words, end, rare, bands
-    width = m + 2 + BANDS
-    held = spark.sparkContext.broadcast((h, sym))
+    top = counts.orderBy(F.col("c").desc(), "h").limit(CORE).toPandas()  # CORE rows at most
+    m = len(top)
+    order = np.argsort(top["h"].to_numpy(np.int64))
+    known = top["h"].to_numpy(np.int64)[order]
+    pairs = class_pairs(slices, spark.sparkContext.broadcast((known, order)), m + 2, m, m + 1)
+    fixed = np.full(m + 2, -1)
+    fixed[m], fixed[m + 1] = END, RARE
+    cls = exchange(pairs, fixed, CLASSES)
+    g = np.zeros((KINDS, KINDS))
+    np.add.at(g, (np.repeat(cls, m + 2), np.tile(cls, m + 2)), pairs.ravel())
+    core = spark.sparkContext.broadcast((known, cls[:m][order]))
+    own = spark.createDataFrame([(int(h), int(c), int(k)) for h, c, k in zip(top["h"], top["c"], cls[:m], strict=True)], "h long, c long, cls int")
+    words = W.written(own.union(moved_words(slices, core, g)), "words")
+    ready = W.written(looked_up(slices, words), "ready")
+    ends = int(spark_ends(ready))
+    W.dropped(slices, counts)
 
     def fill(mine, b):
-        hs, syms = held.value
-        w = W.Words(b.column(b.schema.get_field_index("text")), lower=True)
-        s = np.full(len(w.vocab), m + 1)
-        if len(hs) and w.n:
-            vh = _hash(w.vocab)
-            at = np.minimum(np.searchsorted(hs, vh), len(hs) - 1)
-            s = np.where(hs[at] == vh, syms[at], m + 1)
-        seq = np.full(w.n + len(w.starts), m)  # an end before each row and after the last
-        seq[np.arange(w.n) + w.rows() + 1] = s[w.codes]
-        mine += np.bincount(seq[:-1] * width + seq[1:], minlength=width * width)
-
-    pairs = W.summed_sketch(documents.select("text"), width * width, fill).reshape(width, width)
-    fixed = np.full(width, -1)
-    fixed[m], fixed[m + 1], fixed[m + 2 :] = END, RARE, 2 + np.arange(BANDS)
-    cls = exchange(pairs, fixed, CLASSES) if m else np.where(fixed < 0, RARE, fixed)
-    total = 2 + BANDS + CLASSES
-    g = np.zeros((total, total))
-    np.add.at(g, (np.repeat(cls, width), np.tile(cls, width)), pairs.ravel())
-    prior = (g.sum(0) + 0.5) / (g.sum() + 0.5 * total)
+        for r in range(b.num_rows):
+            seq, h = _sequence(b, r)
+            k = np.append(_unpacked(b, "cls", r, "u1") if len(h) else np.zeros(0, np.uint8), END).astype(np.int64)[seq]
+            mine += np.bincount(k[:-1] * KINDS + k[1:], minlength=KINDS * KINDS)
+
+    g = W.summed_sketch(ready, KINDS * KINDS, fill, text="codes").reshape(KINDS, KINDS)
+    prior = (g.sum(0) + 0.5) / (g.sum() + 0.5 * KINDS)
     trans = (g + STRENGTH * prior) / (g.sum(1, keepdims=True) + STRENGTH)
-    word_cls = cls[sym] if len(h) else np.zeros(0, np.int64)
-    size, kinds = np.bincount(word_cls, c, total), np.bincount(word_cls, minlength=total)
+    size, kinds = np.zeros(KINDS), np.zeros(KINDS)
+    for r in words.groupBy("cls").agg(F.sum("c").alias("c"), F.count("*").alias("k")).collect():  # KINDS rows at most
+        size[r["cls"]], kinds[r["cls"]] = r["c"], r["k"]
     size[END], kinds[END] = ends, 1
-    size[RARE], kinds[RARE] = n - size.sum() + size[RARE], v - kinds.sum() + kinds[RARE]
-    return ClassModel(h, c, word_cls, trans, size, kinds, n, v), counts
+    return ClassModel(words, trans, size, kinds, int(s[0]) + ends, int(s[1]) + (ends > 0)), ready
 
 
-def score(documents: DataFrame, model: ClassModel, counts: DataFrame) -> DataFrame:
-    """(doc_id, n_tokens, n_known, base_score, score) for each row; a null text is one end token.
+def spark_ends(ready: DataFrame) -> int:
+    """How many rows are learnt from."""
 
-    log10 of each probability is log10(c + 1) or a part that the shared table settles, plus a part without c, so the
-    counts of rare words are added by a join that never meets a text.
-    """
-    keys = W.keyed(documents)
-    held = documents.sparkSession.sparkContext.broadcast(model)
+    def fill(mine, b):
+        mine[0] += sum(int(_unpacked(b, "learn", r, "?").sum()) for r in range(b.num_rows))
 
-    def run(batches):
-        m = held.value
-        base_d = m.n + m.v + 1
-        for b in W.slices(batches, limit=4 * W.SLICE_BYTES):
-            w = W.Words(b.column(0), lower=True)
-            vh = _hash(w.vocab)
-            cls, c = m.look(vh)
-            k = len(w.starts) - 1
-            seq = np.full(w.n + k + 1, END)
-            at = np.arange(w.n) + w.rows() + 1
-            seq[at] = cls[w.codes]
-            count = np.full(w.n + k + 1, m.size[END] if m.size[END] else 0.0)
-            known = c[w.codes] >= 0
-            count[at] = np.where(known, c[w.codes], 0)
-            t = m.trans[seq[:-1], seq[1:]]
-            cl = seq[1:]
-            # rare words: add-one inside their class, with one place for the unknown word
-            emit = np.where(cl == RARE, 1 / (m.size[RARE] + m.kinds[RARE] + 1), count[1:] / np.maximum(m.size[cl], 1))
-            unit = np.where(cl == RARE, 1.0, count[1:] + 1)
-            logs = np.log10(LAMBDA * t * emit + (1 - LAMBDA) * unit / base_d)
-            plain = np.log10(unit / base_d)
-            begin = w.starts[:-1] + np.arange(k)
-            rare = np.flatnonzero(~known)
-            row = w.rows()[rare]
-            key, cnt = np.unique(row * np.int64(max(1, len(w.vocab))) + w.codes[rare], return_counts=True)
-            cut = np.searchsorted(key // max(1, len(w.vocab)), np.arange(k + 1)).astype(np.int32)
-            n_tok = np.diff(w.starts) + 1
-            good = np.bincount(w.rows()[known], minlength=k) + (m.size[END] > 0)
-            yield pa.record_batch({
-                "doc_id": b.column(1), "dk": b.column(2), "th": b.column(3), "n_tokens": pa.array(n_tok), "n_sure": pa.array(good.astype(np.int64)),
-                "b0": pa.array(np.add.reduceat(plain, begin)), "s0": pa.array(np.add.reduceat(logs, begin)),
-                "hs": pa.ListArray.from_arrays(pa.array(cut), pa.array(vh[key % max(1, len(w.vocab))])), "cs": pa.ListArray.from_arrays(pa.array(cut), pa.array(cnt)),
-            })
+    return W.summed_sketch(ready.select("learn"), 1, fill, text="learn")[0]
 
-    kind = documents.schema["doc_id"].dataType.simpleString()
-    schema = f"doc_id {kind}, dk long, th long, n_tokens long, n_sure long, b0 double, s0 double, hs array<long>, cs array<long>"
-    part = W.written(keys.select("text", "doc_id", "dk", "th").mapInArrow(run, schema), "scores")
-    tail = part.select("dk", "th", F.explode(F.arrays_zip("hs", "cs")).alias("x")).select("dk", "th", F.col("x.hs").alias("h"), F.col("x.cs").alias("k"))
-    tail = tail.groupBy("dk", "th", "h").agg(F.max("k").alias("k"))  # repeated rows have the same words
-    tail = tail.join(counts, "h").groupBy("dk", "th").agg(F.sum(F.col("k") * F.log10(F.col("c") + 1)).alias("x"), F.sum("k").alias("k"))
-    out = part.drop("hs", "cs").join(tail, ["dk", "th"], "left")
-    more = F.coalesce("x", F.lit(0.0))
-    return out.select("doc_id", "n_tokens", (F.col("n_sure") + F.coalesce("k", F.lit(0))).alias("n_known"), (F.col("b0") + more).alias("base_score"), (F.col("s0") + more).alias("score"))
+
+def score(ready: DataFrame, model: ClassModel) -> DataFrame:
+    """(doc_id, n_tokens, n_known, base_score, score) of each row coded in ``ready``; a null text is one end token."""
+    m = (model.trans, model.size, model.kinds, model.n + model.v + 1)
+    held = ready.sparkSession.sparkContext.broadcast(m)
+
+    def run(batches):
+        trans, size, kinds, base_d = held.value
+        for b in batches:
+            for r in range(b.num_rows):
+                starts, codes = _unpacked(b, "starts", r, "<i8"), _unpacked(b, "codes", r, "<u4").astype(np.int64)
+                k, n = len(starts) - 1, len(codes)
+                c_of, cls_of = (_unpacked(b, "c", r, "<i8"), _unpacked(b, "cls", r, "u1")) if n else (np.zeros(0, np.int64), np.zeros(0, np.uint8))
+                seq, count = np.full(n + k + 1, END), np.full(n + k + 1, size[END])
+                rows = np.repeat(np.arange(k), np.diff(starts))
+                at = np.arange(n) + rows + 1
+                seq[at], count[at] = cls_of[codes], c_of[codes]
+                cl, count = seq[1:], count[1:]
+                # rare words: add-one inside their class, with one place for the unknown word
+                emit = np.where(cl == RARE, (count + 1) / (size[RARE] + kinds[RARE] + 1), count / np.maximum(size[cl], 1))
+                plain = (count + 1) / base_d
+                logs = np.log10(LAMBDA * trans[seq[:-1], cl] * emit + (1 - LAMBDA) * plain)
+                begin = starts[:-1] + np.arange(k)
+                known = np.bincount(rows, c_of[codes] > 0, k).astype(np.int64) + (size[END] > 0)
+                yield pa.record_batch({
+                    "doc_id": b.column(b.schema.get_field_index("ids"))[r].values, "n_tokens": pa.array(np.diff(starts) + 1), "n_known": pa.array(known),
+                    "base_score": pa.array(np.add.reduceat(np.log10(plain), begin)), "score": pa.array(np.add.reduceat(logs, begin)),
+                })
+
+    kind = ready.schema["ids"].dataType.elementType.simpleString()
+    return ready.mapInArrow(run, f"doc_id {kind}, n_tokens long, n_known long, base_score double, score double")
+
+
+def score_documents(documents: DataFrame, model: ClassModel) -> DataFrame:
+    """score() of rows of (doc_id, text) that the model was not made with."""
+    slices = W.written(coded(documents, F.lit(False)), "coded")
+    return score(looked_up(slices, model.words), model)
 
 
 def perplexity(scores: DataFrame) -> DataFrame:
@@ -218,6 +385,6 @@ def perplexity(scores: DataFrame) -> DataFrame:
 def op3_class_lm(spark, sf_dir) -> DataFrame:
     documents = W.docs(spark, sf_dir).select("doc_id", "text")
     held = F.coalesce(F.crc32(F.col("doc_id").cast("string")) % 7 == 2, F.lit(False))
-    model, counts = train(documents.where(~held))
-    out = score(documents, model, counts)
+    model, ready = train(documents, ~held)
+    out = score(ready, model)
     return out.select("doc_id", held.alias("held_out"), "n_tokens", "n_known", F.lit(model.n).cast("long").alias("train_tokens"), "base_score", "score")

@@ -8,6 +8,7 @@ import zlib
 import numpy as np
 import pyarrow as pa
 import pytest
+from pyspark.sql import functions as F
 
 from driftrank.llm import class_lm, decontaminate, fingerprint, jaccard_join, licenses, pieces, substring_dedup, token_store, toxicity, url_filter
 from driftrank.llm import words as W
@@ -86,10 +87,12 @@ def test_substrings(docs):
     assert got == sorted(want)
 
 
-def test_language_model(docs):
-    model, counts = class_lm.train(docs.where("doc_id % 7 <> 2"))
-    out = class_lm.score(docs, model, counts).collect()
-    assert len(out) == len(ROWS) and all(r["score"] < 0 or r["n_tokens"] == 1 for r in out)
+def test_language_model(docs, monkeypatch):
+    """Base and class scores against plain sums over the word table; probabilities over all words and one unknown word sum to 1."""
+    monkeypatch.setattr(class_lm, "CORE", 40)
+    learn = "coalesce(doc_id % 7 <> 2, false)"
+    model, ready = class_lm.train(docs, F.expr(learn))
+    out = class_lm.score(ready, model).collect()
     train = [t for i, t in ROWS if i is not None and i % 7 != 2]
     c = {}
     for t in train:
@@ -97,15 +100,49 @@ def test_language_model(docs):
             c[w] = c.get(w, 0) + 1
     n, v = sum(c.values()), len(c)
     assert (model.n, model.v) == (n, v)
-    want = sorted(round(sum(np.log10((c.get(w, 0) + 1) / (n + v + 1)) for w in [*low(t), b"\n"]), 6) for _, t in ROWS)
-    assert sorted(round(r["base_score"], 6) for r in out) == pytest.approx(want, abs=1e-5)
-    # the probabilities of all known words and one unknown word after any class sum to 1
-    for prev in range(len(model.trans)):
-        total = 0.0
-        for k in range(len(model.trans)):
-            own = model.size[k] + model.kinds[k]
-            total += model.trans[prev, k] * (1.0 if k == class_lm.RARE or model.size[k] else 0.0) if own or k == class_lm.RARE else 0.0
-        assert total <= 1 + 1e-9
+    table = {r["h"]: (r["c"], r["cls"]) for r in model.words.collect()}
+    words = {w: table[class_lm._hash([w.decode()])[0]] for w in c if w != b"\n"}
+    assert len(words) == len(table) and all(words[w][0] == c[w] for w in words)
+    assert all((k == class_lm.RARE) == (x < class_lm.LEAST) for x, k in words.values()) and len({k for _, k in words.values()}) > 5
+    size, kinds, pairs = np.zeros(class_lm.KINDS), np.zeros(class_lm.KINDS), np.zeros((class_lm.KINDS,) * 2)
+    for x, k in words.values():
+        size[k], kinds[k] = size[k] + x, kinds[k] + 1
+    size[0], kinds[0] = c[b"\n"], 1
+
+    def classes(t):
+        return [0, *(words.get(w, (0, class_lm.RARE))[1] for w in low(t)), 0]
+
+    for t in train:
+        k = classes(t)
+        for a, b in zip(k, k[1:]):
+            pairs[a, b] += 1
+    prior = (pairs.sum(0) + 0.5) / (pairs.sum() + 0.5 * class_lm.KINDS)
+    trans = (pairs + class_lm.STRENGTH * prior) / (pairs.sum(1, keepdims=True) + class_lm.STRENGTH)
+    assert np.allclose(trans, model.trans) and np.allclose(size, model.size)
+
+    def emit(w, k):
+        return (c.get(w, 0) + 1) / (size[1] + kinds[1] + 1) if k == 1 else c[w] / size[k]
+
+    def p(w, k, before):
+        return class_lm.LAMBDA * trans[before, k] * emit(w, k) + (1 - class_lm.LAMBDA) * (c.get(w, 0) + 1) / (n + v + 1)
+
+    want = []
+    for i, t in ROWS:
+        k, w = classes(t), [*low(t), b"\n"]
+        base = sum(np.log10((c.get(x, 0) + 1) / (n + v + 1)) for x in w)
+        want.append((i or -1, len(w), sum(x in c for x in w), round(base, 4), round(sum(np.log10(p(x, b, a)) for x, a, b in zip(w, k, k[1:])), 4)))
+    got = sorted((r["doc_id"] or -1, r["n_tokens"], r["n_known"], round(r["base_score"], 4), round(r["score"], 4)) for r in out)
+    assert [g[:3] for g in got] == [x[:3] for x in sorted(want)]
+    assert np.allclose([g[3:] for g in got], [x[3:] for x in sorted(want)], atol=2e-4)
+    for before in range(class_lm.KINDS):
+        if kinds[before]:
+            missing = trans[before][kinds == 0].sum()  # classes without words keep some mass
+            total = sum(p(w, k, before) for w, (_, k) in words.items()) + p(b"\n", 0, before) + p(b"never seen", 1, before)
+            assert total == pytest.approx(1 - class_lm.LAMBDA * (missing if kinds[1] else missing - trans[before][1]), abs=1e-9)
+    again = class_lm.score_documents(docs, model).collect()
+    assert sorted(r["score"] for r in again) == pytest.approx(sorted(r["score"] for r in out))
+    empty, ready = class_lm.train(docs.limit(0))
+    assert empty.n == 0 and class_lm.score(ready, empty).count() == 0
 
 
 def test_tokens_round_trip(docs, tmp_path):
