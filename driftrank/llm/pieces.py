@@ -1,15 +1,20 @@
 """SentencePiece encoding and decoding by N-best segmentation over the piece lattice.
 
 A forward Viterbi pass gives the best score of every prefix; these scores are exact heuristics for an A-star search
-that runs backward from the end, so complete paths leave its queue in order of score. Pieces never cross a space mark
-(runs of marks, which the model scores out of use, are left out), so a text's lattice is a chain of the lattices of its
-space-led words: bulk encoding runs the forward pass over all distinct words of a slice at once, and a text's second
-path differs from its best one in the one word that loses least, where the A-star search finds it.
+that runs backward from the end, so complete paths leave its queue in order of score. Scores are log-probabilities of
+pieces. A model that holds them is used as it is. A model of merge ranks (whole numbers, as pair merging leaves them)
+has no probabilities, and none are trained here: its pieces get those of the harmonic law, 1 / rank over the sum of all,
+in the order of their merges; pieces without a merge (marks alone, in runs too) come last. So segmentations are the
+likeliest under that law, mostly but not always those of the library's greedy merging; decoding equals the library's.
+No piece holds a space mark after another character, so a text's lattice is a chain of the lattices of its words, each
+with the run of marks before it: bulk encoding runs the forward pass over all distinct words of a slice at once, and a
+text's second path differs from its best one in the one word that loses least, where the A-star search finds it.
 """
 
 from __future__ import annotations
 
 import heapq
+import re
 import zlib
 
 import numpy as np
@@ -23,7 +28,6 @@ MARK = "▁"
 _BASE = np.uint64(0x9E3779B97F4A7C15)
 WIDTHS = (8, 16, 32, 64)
 BLOCK = 16_000
-OUT = -1e8
 
 
 class Pieces:
@@ -36,9 +40,15 @@ class Pieces:
         n = sp.get_piece_size()
         text = [sp.id_to_piece(i) for i in range(n)]
         self.byte = {int(t[3:5], 16): i for i, t in enumerate(text) if sp.is_byte(i)}
-        usable = [i for i in range(n) if not (sp.is_byte(i) or sp.is_control(i) or sp.is_unknown(i) or sp.is_unused(i)) and (len(text[i]) == 1 or text[i].strip(MARK))]
-        floor = min(s for s in map(sp.get_score, usable) if s > OUT) - 1.0  # for the mark alone, which the model may score out of use
-        self.score = {text[i]: max(floor, sp.get_score(i)) for i in usable}
+        usable = [i for i in range(n) if not (sp.is_byte(i) or sp.is_control(i) or sp.is_unknown(i) or sp.is_unused(i))]
+        if any(MARK in text[i].lstrip(MARK) for i in usable):
+            raise ValueError("a piece goes on after a word")
+        score = {i: sp.get_score(i) for i in usable}
+        if all(x == int(x) for x in score.values()):
+            share = 1 / (1 + np.arange(len(usable)))
+            by_rank = sorted(usable, key=lambda i: (-score[i], i))
+            score = dict(zip(by_rank, np.log(share / share.sum()).tolist(), strict=True))
+        self.score = {text[i]: score[i] for i in usable}
         self.id = {text[i]: i for i in usable}
         self.unknown = min(self.score.values()) - 10.0
         self.longest = max(map(len, self.id))
@@ -60,24 +70,25 @@ class Pieces:
             h = (h * int(_BASE) + ord(c) + 1) & 0xFFFFFFFFFFFFFFFF
         return h
 
-    def arcs(self, word: str) -> list[list[tuple[int, float, tuple[int, ...]]]]:
-        """Per end position: (start, score, ids) of the pieces that end there; unknown characters become bytes."""
-        out = [[] for _ in range(len(word) + 1)]
-        for s in range(len(word)):
-            for e in range(s + 1, min(len(word), s + self.longest) + 1):
-                t = word[s:e]
-                if t in self.id:
-                    out[e].append((s, self.score[t], (self.id[t],)))
-                elif e == s + 1:
-                    out[e].append((s, self.unknown, tuple(self.byte[b] for b in t.encode())))
+    def into(self, word: str, e: int) -> list[tuple[int, float, tuple[int, ...]]]:
+        """(start, score, ids) of the pieces of a word that end at ``e``; unknown characters become bytes."""
+        out = []
+        for s in range(max(0, e - self.longest), e):
+            t = word[s:e]
+            if t in self.id:
+                out.append((s, self.score[t], (self.id[t],)))
+            elif e == s + 1:
+                out.append((s, self.unknown, tuple(self.byte[b] for b in t.encode())))
         return out
 
     def nbest(self, word: str, n: int) -> list[tuple[float, list[int]]]:
-        """The n best (score, ids) of a word (spaces as marks), best first; fewer if there are fewer."""
-        arcs = self.arcs(word)
+        """The n best (score, ids) of a word (spaces as marks), best first; fewer if there are fewer.
+
+        Arcs are looked up where they are needed and not kept, so a very long word costs one number a character.
+        """
         best = [0.0] + [-np.inf] * len(word)
         for e in range(1, len(word) + 1):
-            best[e] = max((best[s] + p for s, p, _ in arcs[e]), default=-np.inf)
+            best[e] = max((best[s] + p for s, p, _ in self.into(word, e)), default=-np.inf)
         queue, tick, out = [(-best[-1], 0, len(word), 0.0, None)], 0, []
         while queue and len(out) < n:
             _, _, at, done, path = heapq.heappop(queue)
@@ -88,7 +99,7 @@ class Pieces:
                     path = path[1]
                 out.append((done, ids))
                 continue
-            for s, p, ids in arcs[at]:
+            for s, p, ids in self.into(word, at):
                 tick += 1
                 heapq.heappush(queue, (-(best[s] + p + done), tick, s, done + p, (ids, path)))
         return out
@@ -194,7 +205,25 @@ class Pieces:
 
 
 def split(text: str) -> list[str]:
-    return [MARK + w for w in text.split(" ")]
+    """Words with the run of marks before each; marks at the end are a word of their own."""
+    return re.findall(f"{MARK}+[^{MARK}]*|[^{MARK}]+", MARK + text.replace(" ", MARK))
+
+
+def split_column(texts: pa.Array) -> tuple[list[str], np.ndarray, np.ndarray]:
+    """split() of a column: distinct words, the words as numbers, and the offsets of the rows, for texts without marks."""
+    lists = pc.split_pattern(texts, " ")
+    offs = (lists.offsets.to_numpy() - lists.offsets[0].as_py()).astype(np.int64)
+    coded = pc.dictionary_encode(lists.flatten())
+    vocab, codes = W.strings(coded.dictionary), coded.indices.to_numpy(zero_copy_only=False).astype(np.int64)
+    # a word of no characters is one mark more for the word after it, in the same row
+    empty = codes == (vocab.index("") if "" in vocab else -1)
+    last = np.zeros(len(codes), bool)
+    last[offs[1:][np.diff(offs) > 0] - 1] = True
+    kept = np.flatnonzero(~empty | last)
+    before = np.diff(kept, prepend=-1)  # marks: one and those of the words of no characters before it
+    offs = np.searchsorted(kept, offs)
+    key, codes = np.unique(codes[kept] * (1 << 32) + before, return_inverse=True)
+    return [MARK * (k & 0xFFFFFFFF) + vocab[k >> 32] for k in key.tolist()], codes.reshape(-1), offs
 
 
 _open: dict[str, Pieces] = {}
@@ -220,15 +249,11 @@ def encode_documents(frame: DataFrame, path: str | None = None) -> DataFrame:
         for b in W.slices(batches, limit=2 * W.SLICE_BYTES):
             texts = pc.fill_null(b.column(1), "").cast(pa.large_string())
             full = pc.greater(pc.binary_length(texts), 0).to_numpy(zero_copy_only=False)
-            lists = pc.split_pattern(texts, " ")
-            offs = lists.offsets.to_numpy() - lists.offsets[0].as_py()
-            coded = pc.dictionary_encode(lists.flatten())
-            vocab = [MARK + w for w in coded.dictionary.to_pylist()]
-            codes = coded.indices.to_numpy(zero_copy_only=False).astype(np.int64)
+            vocab, codes, offs = split_column(texts)
             flat, count, score, loss = sp.bulk(vocab)
             begin = np.cumsum(count) - count
             cols = {c: [] for c in ("n_pieces", "ids", "score", "second_score", "second_crc32", "ids_crc32", "round_trip")}
-            for r, (text, s, e) in enumerate(zip(texts.to_pylist(), offs[:-1].tolist(), offs[1:].tolist(), strict=True)):
+            for r, (text, s, e) in enumerate(zip(W.strings(texts), offs[:-1].tolist(), offs[1:].tolist(), strict=True)):
                 c = codes[s:e] if full[r] else codes[:0]
                 n = count[c]
                 ids = flat[np.repeat(begin[c] - np.cumsum(n) + n, n) + np.arange(n.sum())]

@@ -177,16 +177,17 @@ def test_pieces(docs):
     sp = pieces.pieces_of(W.tokenizer_path("piece_bpe_32k.model"))
     assert sorted(round(sp.text_nbest(t or "", 1)[0][0], 3) for _, t in ROWS) == sorted(round(r["score"], 3) for r in got)
     best = sp.nbest("▁there", 50)
-    every, arcs = [], sp.arcs("▁there")
+    every = []
 
     def walk(at, done):
         if not at:
             every.append(done)
-        for s, p, _ in arcs[at]:
+        for s, p, _ in sp.into("▁there", at):
             walk(s, done + p)
 
     walk(6, 0.0)
-    assert [x for x, _ in best] == sorted(every, reverse=True)[:50]
+    assert [x for x, _ in best] == pytest.approx(sorted(every, reverse=True)[:50])
+    assert sum(np.exp(list(sp.score.values()))) == pytest.approx(1)
     assert pieces.decode_documents(pieces.encode_documents(docs)).where("text is null").count() == 0
 
 

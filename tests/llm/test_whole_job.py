@@ -1,6 +1,7 @@
 """Cases that a shorter job would miss."""
 
 import random
+import zlib
 
 import numpy as np
 import pyarrow as pa
@@ -51,17 +52,30 @@ def test_leaks_equal_brute_force_with_texts_shorter_than_the_item(spark):
     assert got[cut, 1] == 42 / 50
 
 
-def test_second_path_is_never_the_best_one(spark):
+def test_both_paths_equal_the_search_over_the_whole_text(spark):
     sp = pieces.pieces_of(W.tokenizer_path("piece_bpe_32k.model"))
-    words = sorted({R.choice(["un", "re", "in", "the", "an"]) + "".join(R.choice("aeinorst") for _ in range(R.randint(2, 9))) for _ in range(300)})
-    tied = [w for w in words if len(x := sp.nbest("▁" + w, 2)) > 1 and x[0][0] == x[1][0]]
-    assert tied
-    rows = words + [f"of {w} and" for w in tied]
+    words = sorted({R.choice(["un", "re", "in", "the", "an"]) + "".join(R.choice("aeinorst") for _ in range(R.randint(2, 9))) for _ in range(200)})
+    rows = words + [f"of {w}  and" for w in words] + ["   ", "a    b ", "  two", "x" * 300, " " * 100, "æ日本 ☃", ""]
     got = pieces.encode_documents(spark.createDataFrame(list(enumerate(rows)), "doc_id long, text string")).collect()
+    assert len(got) == len(rows)
     for r in got:
         assert r["second_crc32"] is None or r["second_crc32"] != r["ids_crc32"]
-        two = sp.text_nbest(rows[r["doc_id"]], 2)
+        two, own = sp.text_nbest(rows[r["doc_id"]], 2), np.frombuffer(r["ids"], sp.width).tolist()
         assert r["score"] == pytest.approx(two[0][0]) and (len(two) < 2 or r["second_score"] == pytest.approx(two[1][0]))
+        if len(two) > 1 and two[0][0] - two[1][0] > 1e-9:
+            assert own == two[0][1] and r["round_trip"] and r["n_pieces"] == len(own)
+        if len(two) > 1 and two[0][0] - two[1][0] > 1e-9 and (len(three := sp.text_nbest(rows[r["doc_id"]], 3)) < 3 or three[1][0] - three[2][0] > 1e-9):
+            assert r["second_crc32"] == zlib.crc32(np.array(two[1][1], "<u4").tobytes())
+
+
+def test_ordinary_words_are_cut_as_by_the_library():
+    import sentencepiece
+
+    path = W.tokenizer_path("piece_bpe_32k.model")
+    lib, sp = sentencepiece.SentencePieceProcessor(model_file=path), pieces.pieces_of(path)
+    for w in ("Hello there world", "the people  of the country", "information about government companies"):
+        ids = sp.text_nbest(w, 1)[0][1]
+        assert ids == lib.encode(w) and sp.decode(np.array(ids)) == lib.decode(ids) == w
 
 
 def test_every_known_sentence_and_rule_on_one_line_and_wrapped(spark):
