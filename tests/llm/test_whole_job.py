@@ -85,12 +85,26 @@ def test_every_known_sentence_and_rule_on_one_line_and_wrapped(spark):
             w = s.split()
             rows += [s, f"Intro. {s}\nMore", " * " + "\n * ".join(" ".join(w[i : i + 4]) for i in range(0, len(w), 4)) + "\r\n * more", "# " + "\r\n# ".join(w), f"x {s}", s.rstrip(".:;") + " not"]
             want += [k, k, k, k, "", ""]
-    got = {r["doc_id"]: r["sentence_ids"] for r in licenses.scan(spark.createDataFrame(list(enumerate(rows)), "doc_id long, text string")).collect()}
+    got = {r["doc_id"]: r["sentence_ids"].strip() for r in licenses.scan(spark.createDataFrame(list(enumerate(rows)), "doc_id long, text string")).collect()}
     assert [got[i] for i in range(len(rows))] == want
-    texts = ["\n".join(licenses.SENTENCES[k][0] for k in rule) for _, rule in licenses.RULES]
+    texts = ["\n".join(licenses.SENTENCES[k][0] for k in rule.split()) for _, rule in licenses.RULES]
     got = {r["doc_id"]: r for r in licenses.scan(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")).collect()}
     for i, (name, rule) in enumerate(licenses.RULES):
-        assert got[i]["licenses"] == [name] and got[i]["sentence_ids"] == rule and got[i]["permissive"] == (name in licenses.PERMISSIVE)
+        assert got[i]["licenses"] == [name] and got[i]["sentence_ids"].split() == rule.split() and got[i]["permissive"] == (name in licenses.PERMISSIVE)
+
+
+def test_licence_tables_are_parameters_and_odd_rows(spark):
+    own = {"a": ["Use it as you like"], "b": ["Keep this line."]}
+    rows = [(1, "Use it as you like\nand\nKeep this line.", "x"), (2, "Keep this line.", None), (3, None, "y"), (3, None, "y"), (4, "use it. as you LIKE!", "z")]
+    frame = spark.createDataFrame(rows, "doc_id long, text string, licenses string")
+    out = licenses.scan(frame, own, [("Own", "a b"), ("Part", "a")], {"Own"})
+    got = sorted((r["doc_id"], r["licenses"], r["permissive"]) for r in out.collect())
+    assert got == [(1, ["Own"], True), (2, [], None), (3, [], None), (3, [], None), (4, ["Part"], False)]
+    assert licenses.scan(frame.limit(0)).count() == 0
+    plan = licenses.scan(frame)._jdf.queryExecution().executedPlan().toString()
+    assert "Python" not in plan and "Arrow" not in plan
+    with pytest.raises(ValueError):
+        licenses.scan(frame, own, [("Own", "a c")])
 
 
 def test_toxicity_learns_from_whole_texts(spark, monkeypatch):
