@@ -15,6 +15,7 @@ import pyarrow as pa
 import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.pandas.types import to_arrow_type
 
 from driftrank.llm import words as W
 
@@ -104,7 +105,6 @@ def _scan(words: W.Words, index: Index) -> dict[tuple[int, int], tuple[float, in
             # starts from which a window can hold a hit; texts shorter than the item are one short window
             tries = np.unique((spots[:, None] - np.arange(m)).ravel()) if m > 1 else spots
             tries = tries[tries >= 0]
-            tries = tries[rows[np.minimum(tries + 0, words.n - 1)] >= 0]
             size = np.minimum(m, left[tries] - k + 1)
             short = size < m
             least = np.ceil((m + size) * index.similar / (1 + index.similar) - 1e-9)  # overlap of bags of m and size shingles
@@ -126,6 +126,7 @@ def find_leaks(frame: DataFrame, benchmark: DataFrame, similar: float = 0.8) ->
     spark = frame.sparkSession
     kind = frame.schema["doc_id"].dataType.simpleString()
     item_kind = benchmark.schema["item_id"].dataType.simpleString()
+    id_type = to_arrow_type(benchmark.schema["item_id"].dataType)
     items = benchmark.select("item_id", F.col("text").alias("t")).where("t is not null").distinct()
     passes = max(1, -(-items.count() // ITEMS))
     out = None
@@ -138,7 +139,7 @@ def find_leaks(frame: DataFrame, benchmark: DataFrame, similar: float = 0.8) ->
                 best = _scan(normal_words(b.column(1)), index.value)
                 if best:
                     keys = sorted(best)
-                    yield pa.record_batch({"doc_id": b.column(0).take(pa.array([r for r, _ in keys])), "item_id": pa.array([index.value.items[a][0] for _, a in keys], pa.int64()), "start_word": pa.array([best[k][1] for k in keys], pa.int64()), "similarity": pa.array([best[k][0] for k in keys], pa.float64())})
+                    yield pa.record_batch({"doc_id": b.column(0).take(pa.array([r for r, _ in keys])), "item_id": pa.array([index.value.items[a][0] for _, a in keys], id_type), "start_word": pa.array([best[k][1] for k in keys], pa.int64()), "similarity": pa.array([best[k][0] for k in keys], pa.float64())})
 
         found = frame.select("doc_id", "text").mapInArrow(run, f"doc_id {kind}, item_id {item_kind}, start_word long, similarity double")
         out = found if out is None else out.union(found)

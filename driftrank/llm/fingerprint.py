@@ -94,13 +94,18 @@ def fingerprints(frame: DataFrame) -> DataFrame:
     return frame.withColumn("fingerprint", fingerprint(F.col("text")))
 
 
-def with_next(frame: DataFrame, pieces: int) -> DataFrame:
+RANGE = 50_000  # rows of one range of ids, about
+
+
+def with_next(frame: DataFrame, pieces: int | None = None) -> DataFrame:
     """(doc_id, text, fingerprint, next_text, next_fingerprint): the next row by descending doc_id (ties by text hash); after the last, the first.
 
-    Rows are dealt into ``pieces`` ranges of doc_id at approximate quantiles; a copy of each range's first row is put at
+    Rows are dealt into ``pieces`` ranges of doc_id at approximate quantiles (RANGE rows each, at least two a shuffle
+    partition and at most 10,000, the exactness of the quantiles); rows without an id are a range of their own. A copy of each range's first row is put at
     the end of the range above, so one exchange and windows inside ranges are enough.
     """
     base = frame.select("doc_id", F.coalesce("text", F.lit("")).alias("text")).withColumn("th", F.xxhash64("text"))
+    pieces = pieces or min(10_000, max(2 * W.partitions(frame.sparkSession), frame.count() // RANGE))
     cuts = base.agg(F.percentile_approx("doc_id", [k / pieces for k in range(1, pieces)] or [0.5], 10000).alias("q")).first()["q"] or []
     cuts = sorted(set(cuts))
     bounds = F.array(*map(F.lit, cuts)) if cuts else F.array().cast("array<long>")
@@ -121,7 +126,7 @@ def with_next(frame: DataFrame, pieces: int) -> DataFrame:
 
 
 def op8_fingerprint(spark, sf_dir) -> DataFrame:
-    pairs = with_next(W.docs(spark, sf_dir).select("doc_id", "text"), 2 * W.partitions(spark))
+    pairs = with_next(W.docs(spark, sf_dir).select("doc_id", "text"))
     n = F.length("text")
     cut = F.floor(n / 3).cast("int")
     pairs = pairs.withColumn("edited", F.concat(F.substring(F.col("text"), F.lit(1), n - cut), F.substring(F.col("next_text"), F.lit(1), cut)))

@@ -1,7 +1,8 @@
 """URL filter: rules by host and path, and a ratio of two character models for what no rule settles.
 
 Two smoothed variable-order Markov models are learnt from the URLs that the rules accept and reject. A URL's score is
-the log-likelihood difference per character; the threshold is calibrated on all ruled URLs.
+the log-likelihood difference per character; the threshold is calibrated on ruled URLs that the models have not learnt
+from (those whose hash falls into one of FOLDS folds; equal URLs fall into one fold).
 """
 
 from __future__ import annotations
@@ -14,7 +15,7 @@ from pyspark.sql import functions as F
 from driftrank.llm import words as W
 
 RULES = (("block", "net/"), ("allow", "example.net/en/"), ("block", "example.com/de/"), ("allow", "org/fr/"))
-ORDER, CELLS, PRIOR = 4, 1 << 19, 3.0
+ORDER, CELLS, PRIOR, FOLDS = 4, 1 << 19, 3.0, 5
 BINS, SPREAD = 2001, 4.0  # histogram of scores from -SPREAD to SPREAD for the threshold
 
 
@@ -41,7 +42,7 @@ def rule_of(host: Column, path: Column, rules=RULES) -> tuple[Column, Column]:
 
 def _contexts(texts: pa.Array) -> tuple[list[np.ndarray], np.ndarray, np.ndarray]:
     """Per order 0..ORDER the hashed cells of (context, character); those of contexts; row offsets. An end mark closes a row."""
-    values = [(t or "") + "\x03" for t in texts.to_pylist()]
+    values = [(t or "") + "\x03" for t in W.strings(texts)]
     size = np.fromiter(map(len, values), np.int64, len(values))
     starts = np.concatenate(([0], np.cumsum(size)))
     x = np.frombuffer("".join(values).encode("utf-32-le", "surrogatepass"), np.uint32).astype(np.uint64)
@@ -101,17 +102,18 @@ def filter_urls(pages: DataFrame, id_col: str = "page_id", rules=RULES) -> DataF
     """(id, host, path, rule, ratio, verdict) of each row; a verdict is the rule's, or the models'.
 
     Null urls and urls without '://' have empty host and path and no rule. The models read whole urls, null ones as empty
-    texts. With no ruled URL of one kind the threshold is 0. Repeated rows each get a row.
+    texts. With no held-out ruled URL of one kind the threshold is 0. Repeated rows each get a row.
     """
     host, path = parts()
     base = pages.select(F.col(id_col).alias("k"), host.alias("host"), path.alias("path"), F.coalesce("url", F.lit("")).alias("text"))
     name, verdict = rule_of(F.col("host"), F.col("path"), rules)
     base = base.withColumns({"rule": name, "said": verdict})
     ruled = base.where("said is not null").select("text", F.when(F.col("said") == "allow", 1).otherwise(0).alias("label"))
-    counts = pages.sparkSession.sparkContext.broadcast(learn(ruled))
+    fold = F.pmod(F.xxhash64("text"), F.lit(FOLDS))
+    counts = pages.sparkSession.sparkContext.broadcast(learn(ruled.where(fold != 0)))
     step = F.floor((F.greatest(F.lit(-SPREAD), F.least(F.lit(SPREAD), F.col("ratio"))) + SPREAD) / (2 * SPREAD) * (BINS - 1)).cast("int")
     hist = np.zeros((BINS, 2))
-    for r in _scored(ruled, counts).groupBy(step.alias("bin"), "label").count().collect():  # 2 * BINS rows at most
+    for r in _scored(ruled.where(fold == 0), counts).groupBy(step.alias("bin"), "label").count().collect():  # 2 * BINS rows at most
         hist[r["bin"], r["label"]] = r["count"]
     tail = hist[::-1].cumsum(axis=0)[::-1] / np.maximum(hist.sum(axis=0), 1)
     gain = tail[:, 1] - tail[:, 0]

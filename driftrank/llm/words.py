@@ -7,6 +7,7 @@ Everything here works on one bounded slice of a record batch, so memory does not
 from __future__ import annotations
 
 import os
+import re
 import uuid
 from collections.abc import Callable, Iterator
 
@@ -144,10 +145,12 @@ def docs(spark: SparkSession, sf_dir: str, table: str = "documents") -> DataFram
 
 
 def shared(spark: SparkSession) -> str:
-    """The folder that all executors share: spark.checkpoint.dir, or one of our own where it is unset."""
+    """The folder that all executors share: spark.checkpoint.dir. A local master, as in tests, may do without one."""
     root = spark.conf.get("spark.checkpoint.dir", None)
     if not root:
         found = spark.sparkContext._jsc.sc().getCheckpointDir()
+        if not found.isDefined() and not re.match(r"local(\[|$)", spark.sparkContext.master):
+            raise ValueError("spark.checkpoint.dir has to name a folder that all executors share")
         root = found.get() if found.isDefined() else "/tmp/checkpoints"
     return root.rstrip("/")
 
