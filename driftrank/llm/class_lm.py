@@ -36,11 +36,21 @@ def _packed(x: np.ndarray, kind: str) -> pa.Array:
 
 
 def _unpacked(b: pa.RecordBatch, name: str, r: int, kind: str) -> np.ndarray:
-    return np.frombuffer(b.column(b.schema.get_field_index(name))[r].as_buffer(), kind)
+    raw = b.column(b.schema.get_field_index(name))[r].as_buffer()
+    return np.frombuffer(raw if raw is not None else b"", kind)
+
+
+def _planes(codes: np.ndarray) -> dict[str, pa.Array]:
+    """Word numbers as low and high halves: frequent words come early, so the high halves are mostly 0 and pack well."""
+    return {"low": _packed(codes & 0xFFFF, "<u2"), "high": _packed(codes >> 16, "<u2")}
+
+
+def _codes(b: pa.RecordBatch, r: int) -> np.ndarray:
+    return _unpacked(b, "low", r, "<u2").astype(np.int64) | _unpacked(b, "high", r, "<u2").astype(np.int64) << 16
 
 
 def coded(documents: DataFrame, learn: Column) -> DataFrame:
-    """One row a slice of (doc_id, text) rows: slice, ids, learn, starts, codes (word numbers), hashes (of the distinct words).
+    """One row a slice of (doc_id, text) rows: slice, ids, learn, starts, low and high (word numbers), hashes (of the distinct words).
 
     ``learn`` says which rows may be learnt from; null counts as no. Null texts have no words.
     """
@@ -48,24 +58,24 @@ def coded(documents: DataFrame, learn: Column) -> DataFrame:
 
     def run(batches):
         at = TaskContext.get().partitionId() << 32
-        for b in W.slices(batches, limit=2 * W.SLICE_BYTES):
+        for b in W.slices(batches, limit=4 * W.SLICE_BYTES):
             w = W.Words(b.column(1), lower=True)
             row = {"slice": pa.array([at], pa.int64()), "ids": pa.ListArray.from_arrays(pa.array([0, b.num_rows], pa.int32()), b.column(0)), "learn": _packed(b.column(2).to_numpy(zero_copy_only=False), "?")}
-            yield pa.record_batch(row | {"starts": _packed(w.starts, "<i8"), "codes": _packed(w.codes, "<u4"), "hashes": _packed(_hash(w.vocab), "<i8")})
+            yield pa.record_batch(row | {"starts": _packed(w.starts, "<i8"), **_planes(w.codes), "hashes": _packed(_hash(w.vocab), "<i8")})
             at += 1
 
     rows = documents.select("doc_id", "text", F.coalesce(learn, F.lit(False)).alias("learn"))
-    return rows.mapInArrow(run, f"slice long, ids array<{kind}>, learn binary, starts binary, codes binary, hashes binary")
+    return rows.mapInArrow(run, f"slice long, ids array<{kind}>, learn binary, starts binary, low binary, high binary, hashes binary")
 
 
-def _sequence(b: pa.RecordBatch, r: int) -> tuple[np.ndarray, np.ndarray]:
-    """Word codes of a slice's learnt rows with -1 (an end) before each row and after the last, and the slice's hashes."""
-    starts, codes, learn = _unpacked(b, "starts", r, "<i8"), _unpacked(b, "codes", r, "<u4"), _unpacked(b, "learn", r, "?")
+def _sequence(b: pa.RecordBatch, r: int, of: str = "hashes", kind: str = "<i8") -> tuple[np.ndarray, np.ndarray]:
+    """Word codes of a slice's learnt rows with -1 (an end) before each row and after the last, and a column of its words."""
+    starts, codes, learn = _unpacked(b, "starts", r, "<i8"), _codes(b, r), _unpacked(b, "learn", r, "?")
     size = np.where(learn, np.diff(starts), 0)
-    own = codes[W.runs(starts[:-1][learn], np.diff(starts)[learn])].astype(np.int64)
+    own = codes[W.runs(starts[:-1][learn], np.diff(starts)[learn])]
     seq = np.full(len(own) + int(learn.sum()) + 1, -1)
     seq[np.arange(len(own)) + np.repeat(np.arange(int(learn.sum())), size[learn]) + 1] = own
-    return seq, _unpacked(b, "hashes", r, "<i8")
+    return seq, _unpacked(b, of, r, kind)
 
 
 def word_counts(slices: DataFrame) -> DataFrame:
@@ -150,7 +160,7 @@ def class_pairs(slices: DataFrame, known, cells: int, end: int, other: int) -> n
             s = np.append(_core_symbols(h, *known.value, other), end)[seq]
             mine += np.bincount(s[:-1] * cells + s[1:], minlength=cells * cells)
 
-    return W.summed_sketch(slices, cells * cells, fill, text="codes").reshape(cells, cells)
+    return W.summed_sketch(slices, cells * cells, fill, text="low").reshape(cells, cells)
 
 
 class Gains:
@@ -267,7 +277,7 @@ def looked_up(slices: DataFrame, words: DataFrame) -> DataFrame:
         last, c, cls = None, [], []
 
         def row():
-            return pa.record_batch({"slice": pa.array([last], pa.int64()), "c": _packed(np.concatenate(c), "<i8"), "cls": _packed(np.concatenate(cls), "u1")})
+            return pa.record_batch({"slice": pa.array([last], pa.int64()), "c": _packed(np.concatenate(c), "<i8" if max(map(np.max, c)) >= 1 << 32 else "<u4"), "cls": _packed(np.concatenate(cls), "u1")})
 
         for b in batches:
             s = b.column(0).to_numpy()
@@ -284,7 +294,7 @@ def looked_up(slices: DataFrame, words: DataFrame) -> DataFrame:
     found = slices.select("slice", "hashes").mapInArrow(names, "slice long, k int, h long").join(words, "h", "left")
     found = found.select("slice", "k", F.coalesce("c", F.lit(0)).alias("c"), F.coalesce("cls", F.lit(RARE)).alias("cls"))
     replies = found.repartition("slice").sortWithinPartitions("slice", "k").select("slice", "c", "cls").mapInArrow(packed, "slice long, c binary, cls binary")
-    return slices.join(replies, "slice", "left")  # a slice without words has no reply
+    return slices.drop("hashes").join(replies, "slice", "left")  # a slice without words has no reply
 
 
 def train(documents: DataFrame, learn: Column | None = None) -> tuple[ClassModel, DataFrame]:
@@ -309,17 +319,18 @@ def train(documents: DataFrame, learn: Column | None = None) -> tuple[ClassModel
     core = spark.sparkContext.broadcast((known, cls[:m][order]))
     own = spark.createDataFrame([(int(h), int(c), int(k)) for h, c, k in zip(top["h"], top["c"], cls[:m], strict=True)], "h long, c long, cls int")
     words = W.written(own.union(moved_words(slices, core, g)), "words")
+    W.dropped(counts)
     ready = W.written(looked_up(slices, words), "ready")
-    ends = int(spark_ends(ready))
-    W.dropped(slices, counts)
+    W.dropped(slices)
+    ends = learnt_rows(ready)
 
     def fill(mine, b):
         for r in range(b.num_rows):
-            seq, h = _sequence(b, r)
-            k = np.append(_unpacked(b, "cls", r, "u1") if len(h) else np.zeros(0, np.uint8), END).astype(np.int64)[seq]
+            seq, cls = _sequence(b, r, "cls", "u1")
+            k = np.append(cls, END).astype(np.int64)[seq]
             mine += np.bincount(k[:-1] * KINDS + k[1:], minlength=KINDS * KINDS)
 
-    g = W.summed_sketch(ready, KINDS * KINDS, fill, text="codes").reshape(KINDS, KINDS)
+    g = W.summed_sketch(ready, KINDS * KINDS, fill, text="low").reshape(KINDS, KINDS)
     prior = (g.sum(0) + 0.5) / (g.sum() + 0.5 * KINDS)
     trans = (g + STRENGTH * prior) / (g.sum(1, keepdims=True) + STRENGTH)
     size, kinds = np.zeros(KINDS), np.zeros(KINDS)
@@ -329,13 +340,13 @@ def train(documents: DataFrame, learn: Column | None = None) -> tuple[ClassModel
     return ClassModel(words, trans, size, kinds, int(s[0]) + ends, int(s[1]) + (ends > 0)), ready
 
 
-def spark_ends(ready: DataFrame) -> int:
+def learnt_rows(ready: DataFrame) -> int:
     """How many rows are learnt from."""
 
     def fill(mine, b):
         mine[0] += sum(int(_unpacked(b, "learn", r, "?").sum()) for r in range(b.num_rows))
 
-    return W.summed_sketch(ready.select("learn"), 1, fill, text="learn")[0]
+    return int(W.summed_sketch(ready.select("learn"), 1, fill, text="learn")[0])
 
 
 def score(ready: DataFrame, model: ClassModel) -> DataFrame:
@@ -347,9 +358,11 @@ def score(ready: DataFrame, model: ClassModel) -> DataFrame:
         trans, size, kinds, base_d = held.value
         for b in batches:
             for r in range(b.num_rows):
-                starts, codes = _unpacked(b, "starts", r, "<i8"), _unpacked(b, "codes", r, "<u4").astype(np.int64)
+                starts, codes = _unpacked(b, "starts", r, "<i8"), _codes(b, r)
                 k, n = len(starts) - 1, len(codes)
-                c_of, cls_of = (_unpacked(b, "c", r, "<i8"), _unpacked(b, "cls", r, "u1")) if n else (np.zeros(0, np.int64), np.zeros(0, np.uint8))
+                cls_of = _unpacked(b, "cls", r, "u1")
+                raw = _unpacked(b, "c", r, "u1")
+                c_of = raw.view("<u4" if len(raw) == 4 * len(cls_of) else "<i8").astype(np.int64)
                 seq, count = np.full(n + k + 1, END), np.full(n + k + 1, size[END])
                 rows = np.repeat(np.arange(k), np.diff(starts))
                 at = np.arange(n) + rows + 1

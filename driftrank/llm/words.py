@@ -163,11 +163,13 @@ def written(df: DataFrame, name: str) -> DataFrame:
 
 
 def dropped(*tables: DataFrame) -> None:
-    """Delete tables that written() made, once nothing will read them again."""
+    """Delete tables that written() made, once nothing will read them again, and let the driver find shuffles that are done with."""
     for t in tables:
         for f in {f.rsplit("/", 1)[0] for f in t.inputFiles()}:
             path = t.sparkSession._jvm.org.apache.hadoop.fs.Path(f)
             path.getFileSystem(t.sparkSession._jsc.hadoopConfiguration()).delete(path, True)
+    if tables:
+        tables[0].sparkSession._jvm.System.gc()
 
 
 def runs(begin: np.ndarray, size: np.ndarray) -> np.ndarray:
