@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import re
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
@@ -11,8 +12,14 @@ BROADCAST_EDGES = 40_000_000  # arcs that a local kernel may hold: 16 bytes each
 
 
 def shared_folder(spark: SparkSession) -> str:
+    """The folder that all executors share: spark.checkpoint.dir. A local master, as in tests, may do without one."""
     root = spark.conf.get("spark.checkpoint.dir", None)
-    return (root or "/tmp/checkpoints").rstrip("/")
+    if not root:
+        found = spark.sparkContext._jsc.sc().getCheckpointDir()
+        if not found.isDefined() and not re.match(r"local(\[|$)", spark.sparkContext.master):
+            raise ValueError("spark.checkpoint.dir has to name a folder that all executors share")
+        root = found.get() if found.isDefined() else "/tmp/checkpoints"
+    return root.rstrip("/")
 
 
 def cut_lineage(df: DataFrame, name: str = "state") -> DataFrame:
@@ -24,7 +31,7 @@ def cut_lineage(df: DataFrame, name: str = "state") -> DataFrame:
 
 def choose(edges: DataFrame) -> str:
     """'kernel' where the whole graph fits into each worker by a checked count, else 'rounds'."""
-    return "kernel" if edges.limit(BROADCAST_EDGES + 1).count() <= BROADCAST_EDGES else "rounds"
+    return "kernel" if edges.count() <= BROADCAST_EDGES else "rounds"
 
 
 BROADCAST_ROWS = 1_000_000  # of three numbers each: 24 MB
@@ -32,4 +39,4 @@ BROADCAST_ROWS = 1_000_000  # of three numbers each: 24 MB
 
 def side_hint(batch: DataFrame):
     """F.broadcast where ``batch`` is under BROADCAST_ROWS by a count, else no hint; also for what has no more rows."""
-    return F.broadcast if batch.limit(BROADCAST_ROWS + 1).count() <= BROADCAST_ROWS else lambda df: df
+    return F.broadcast if batch.count() <= BROADCAST_ROWS else lambda df: df
