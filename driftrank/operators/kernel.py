@@ -21,6 +21,29 @@ from driftrank import engine, schemas
 from driftrank.functions import measures
 
 
+def settle(src: np.ndarray, dst: np.ndarray, n: int, root: int, alpha: float, rmax: float, kind: str) -> tuple[np.ndarray, np.ndarray, float, np.ndarray]:
+    """(est, res, sink, counts) of a push from scratch over arrays of arcs, all active vertices of a round at once.
+
+    counts: residual updates, push iterations.
+    """
+    est, res, sink, counts = np.zeros(n), np.zeros(n), 0.0, np.zeros(2, np.int64)
+    res[root] = 1.0
+    deg = np.bincount(src, minlength=n)
+    unit = np.maximum(deg, 1)
+    limit = rmax * unit if kind == "forward" else np.full(n, rmax)
+    frm, to = (src, dst) if kind == "forward" else (dst, src)
+    while (on := res > limit).any():
+        sent = np.where(on, res, 0.0)
+        est += alpha * sent
+        used = on[frm]
+        weight = sent[frm[used]] / unit[src[used]]
+        res = np.where(on, 0.0, res) + (1 - alpha) * np.bincount(to[used], weight, n)
+        counts += int(used.sum()), int(on.sum())
+        if kind == "forward":
+            sink += (1 - alpha) * float(sent[deg == 0].sum())
+    return est, res, sink, counts
+
+
 class Frozen:
     """Arcs (m, 2) as arrays: vertex ids, and the far ends of each vertex's arcs in both directions."""
 
@@ -55,20 +78,7 @@ class Frozen:
         i = int(np.searchsorted(self.ids, root))
         if i == len(self.ids) or self.ids[i] != root:
             return {}, {root: 1.0}, 0.0
-        n, sink = len(self.ids), 0.0
-        est, res = np.zeros(n), np.zeros(n)
-        res[i] = 1.0
-        unit = np.maximum(self.deg, 1)
-        limit = rmax * unit if kind == "forward" else np.full(n, rmax)
-        frm, to = (self.src, self.dst) if kind == "forward" else (self.dst, self.src)
-        while (on := res > limit).any():
-            sent = np.where(on, res, 0.0)
-            est += alpha * sent
-            used = on[frm]
-            weight = sent[frm[used]] / unit[self.src[used]]
-            res = np.where(on, 0.0, res) + (1 - alpha) * np.bincount(to[used], weight, n)
-            if kind == "forward":
-                sink += (1 - alpha) * float(sent[self.deg == 0].sum())
+        est, res, sink, _ = settle(self.src, self.dst, len(self.ids), i, alpha, rmax, kind)
         pick = lambda x: dict(zip(self.ids[x != 0].tolist(), x[x != 0].tolist()))
         return pick(est), pick(res), sink
 
@@ -186,7 +196,6 @@ class Local:
             self.into.change(v, u, op)
         if e == 0.0 and (self.kind == "forward" or not (u == self.root or self.res.get(u) or self.est.get(v))):
             self.out.change(u, v, op)  # nothing to repair
-            self.updates += self.kind == "reverse"
             return {u}
         old = list(self.out[u]) if how == "eager" else None
         d = self.out.size(u)
@@ -326,11 +335,21 @@ def run(initial: DataFrame, events: DataFrame, roots: DataFrame, methods: list[d
         u0, p0, c0 = k.updates, k.pushes, k.cost
         t = time.perf_counter()
         if how.startswith("rebuild"):
+            # whole-array rounds over the arcs alive after each update: as quick as a rebuild gets here
+            ids = np.unique(np.concatenate([base.ids, [root], np.array([x for a in both for u, v, _ in a for x in (u, v)], np.int64)]))
+            place = lambda x: int(np.searchsorted(ids, x))
+            src, dst = (np.searchsorted(ids, base.ids[x]) for x in (base.src, base.dst))
+            est = res = np.zeros(len(ids))
             for arcs_of in both[: m.get("first", len(both))]:
                 for u, v, op in arcs_of:
-                    k.out.change(u, v, op)
-                    k.into.change(v, u, op)
-                k.restart()
+                    if op > 0:
+                        src, dst = np.append(src, place(u)), np.append(dst, place(v))
+                    else:
+                        at = np.flatnonzero((src == place(u)) & (dst == place(v)))[0]
+                        src, dst = np.delete(src, at), np.delete(dst, at)
+                est, res, _, counts = settle(src, dst, len(ids), place(root), alpha, m["rmax"], kind)
+                k.updates, k.cost, k.pushes = k.updates + int(counts[0]), k.cost + int(counts[0]), k.pushes + int(counts[1])
+            k.est, k.res = ({int(ids[x]): float(a[x]) for x in np.flatnonzero(a)} for a in (est, res))
         else:
             for lo in range(0, len(both), batch):
                 now = [a for arcs_of in both[lo : lo + batch] for a in arcs_of]

@@ -40,14 +40,19 @@ def active(sign: int, rmax: float) -> Column:
     return (F.col("res") * sign > rmax * F.coalesce("thr", F.lit(1.0))) & (F.col("node") != SINK)
 
 
-def one_round(adj: DataFrame, state: DataFrame, alpha: float, rmax: float, sign: int, kind: str) -> DataFrame:
-    on = active(sign, rmax)
-    j = state.join(adj, "node", "left").withColumn("on", on)
+def one_round(adj: DataFrame, state: DataFrame, alpha: float, rmax: float, sign: int, kind: str, dangling: str = "sink") -> DataFrame:
+    # lists join active rows only, so a round moves the lists of its frontier and not those of the whole state
+    thr = adj.where("chunk = 0").select("node", "thr")
+    known = state.join(thr, "node", "left").withColumn("on", active(sign, rmax))
+    near = adj.select(F.col("node").alias("at"), "chunk", "nbrs")
+    j = known.join(near, (F.col("node") == F.col("at")) & F.col("on"), "left")
     zero = F.lit(0.0)
     keep = F.array(F.struct(F.col("node"), (F.col("est") + F.when(F.col("on"), F.col("res") * alpha).otherwise(zero)).alias("est"), F.when(F.col("on"), zero).otherwise(F.col("res")).alias("res")))
     none = F.array().cast("array<struct<node:bigint,est:double,res:double>>")
     give = F.transform("nbrs", lambda x: F.struct(x["node"].alias("node"), zero.alias("est"), (x["w"] * F.col("res") * (1 - alpha)).alias("res")))
-    if kind == "forward":  # mass that cannot leave collects in the sink; reverse: nobody reaches a vertex without in-edges
+    if kind == "forward" and dangling == "root":  # as if each vertex without heads had an arc to the root
+        stuck = F.array(F.struct(F.col("root").alias("node"), zero.alias("est"), (F.col("res") * (1 - alpha)).alias("res")))
+    elif kind == "forward":  # mass that cannot leave collects in the sink; reverse: nobody reaches a vertex without in-edges
         stuck = F.array(F.struct(F.lit(SINK).cast("long").alias("node"), (F.col("res") * (1 - alpha)).alias("est"), zero.alias("res")))
     else:
         stuck = none
@@ -56,16 +61,24 @@ def one_round(adj: DataFrame, state: DataFrame, alpha: float, rmax: float, sign:
     return out.groupBy("root", "node").agg(F.sum("est").alias("est"), F.sum("res").alias("res"))
 
 
-def push(arcs: DataFrame, state: DataFrame, alpha: float = 0.2, rmax: float = 1e-4, kind: str = "forward", signs=(1, -1), cut: int = 4, max_rounds: int = 400) -> DataFrame:
-    """Drain positive residuals until none is over the threshold, then negative ones. State in, state out."""
+def push(arcs: DataFrame, state: DataFrame, alpha: float = 0.2, rmax: float = 1e-4, kind: str = "forward", signs=(1, -1), cut: int = 4, max_rounds: int = 400, dangling: str = "sink") -> DataFrame:
+    """Drain positive residuals until none is over the threshold, then negative ones. State in, state out.
+
+    Raises if a sign takes over ``max_rounds`` rounds: a state that is handed out obeys its threshold. ``dangling``: where
+    forward mass goes that cannot leave a vertex: to the sink, back to the root ("root"), or nowhere ("error" raises).
+    """
+    if dangling == "error" and not arcs.select(F.col("dst").alias("src")).join(arcs, "src", "left_anti").isEmpty():
+        raise ValueError("a vertex has no out-edge")
     adj = cut_lineage(lists(arcs, kind), "adjacency")
     thr = adj.where("chunk = 0").select("node", "thr")
     state = state.select("root", "node", "est", "res")
     for sign in signs:
         done = 0
-        while done < max_rounds and not state.join(thr, "node", "left").where(active(sign, rmax)).isEmpty():
+        while not state.join(thr, "node", "left").where(active(sign, rmax)).isEmpty():
+            if done >= max_rounds:
+                raise RuntimeError(f"residuals over {rmax} are left after {done} rounds")
             for _ in range(cut):
-                state = one_round(adj, state, alpha, rmax, sign, kind)
+                state = one_round(adj, state, alpha, rmax, sign, kind, dangling)
             done += cut
             state = cut_lineage(state)
     return state

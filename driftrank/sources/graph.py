@@ -2,10 +2,14 @@
 
 from __future__ import annotations
 
+import numpy as np
+import pandas as pd
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
+from driftrank.engine import cut_lineage
+
 KINDS = {"path": 0, "order": 1, "part": 2, "customer": 3, "supplier": 4, "user": 5, "key": 6, "page": 7}
 
 
@@ -36,8 +40,8 @@ def build(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
         e = t("events").select(k.alias("k"), F.lead(k).over(w).alias("n")).where("n is not null").select(vid("k", "key").alias("src"), vid("n", "key").alias("dst"))
     elif name == "g_web":
         links = t("pages").select("page_id", F.explode(F.regexp_extract_all("html", F.lit('href="([^"]+)"'), 1)).alias("link")).distinct()
-        rank = links.select("link").distinct().withColumn("r", F.dense_rank().over(Window.orderBy("link")))
-        e = links.join(rank, "link").select(vid("page_id", "page").alias("src"), vid("r", "path").alias("dst"))
+        key = F.conv(F.substring(F.md5("link"), 1, 12), 16, 10).cast("long")  # 48 bits of the link's hash: no ranking in one task
+        e = links.select(vid("page_id", "page").alias("src"), vid(key, "path").alias("dst"))
     elif name == "g_geo":
         at = lambda key, kind: F.col(key).cast("long") * 8 + kind
         e = t("nation").select(at("n_nationkey", 1).alias("src"), at("n_regionkey", 0).alias("dst"))
@@ -46,23 +50,52 @@ def build(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
         e = knn(t("embeddings"), 5)
     else:
         raise ValueError(f"no graph {name}")
-    return e.distinct()
+    return e.where("src is not null and dst is not null").distinct()
+
 
+def knn(vectors: DataFrame, k: int, block: int = 1024) -> DataFrame:
+    """(src, dst): each vector's k nearest by cosine (9 digits; ties by id). All rows are the stated queries.
 
-def knn(vectors: DataFrame, k: int) -> DataFrame:
-    """Each vector's k nearest by cosine; every vector is a stated query against all rows, dealt by row."""
-    dot = lambda a, b: F.aggregate(F.zip_with(a, b, lambda x, y: x.cast("double") * y.cast("double")), F.lit(0.0), lambda s, x: s + x)
-    v = vectors.select("vec_id", "embedding", F.sqrt(dot(F.col("embedding"), F.col("embedding"))).alias("len"))
-    q = v.select(F.col("vec_id").alias("src"), F.col("embedding").alias("e"), F.col("len").alias("l"))
-    s = q.join(v, F.col("src") != F.col("vec_id")).select("src", F.col("vec_id").alias("dst"), F.round(dot(F.col("e"), F.col("embedding")) / (F.col("l") * F.col("len")), 9).alias("s"))
+    Vectors are packed into blocks; a pair of blocks is one matrix product, which hands on k rows a query and no more.
+    """
+    near = "src long, dst long, s double"
+
+    def pack(pdf):
+        return pd.DataFrame({"b": [int(pdf["b"].iloc[0])], "ids": [pdf["vec_id"].tolist()], "body": [np.stack(pdf["embedding"]).astype("<f8").tobytes()]})
+
+    def pairs(batches):
+        for pdf in batches:
+            for r in pdf.itertuples():
+                q, v = (np.frombuffer(x).reshape(len(i), -1) for x, i in ((r.qbody, r.qids), (r.body, r.ids)))
+                norm = lambda x: np.sqrt((x * x).sum(axis=1))
+                s = np.round(q @ v.T / np.outer(norm(q), norm(v)), 9)
+                qi, vi = np.asarray(r.qids), np.asarray(r.ids)
+                s[qi[:, None] == vi[None]] = -np.inf
+                order = np.stack([np.lexsort((vi, -row))[:k] for row in s])
+                best = np.take_along_axis(s, order, 1)
+                out = pd.DataFrame({"src": np.repeat(qi, order.shape[1]), "dst": vi[order].ravel(), "s": best.ravel()})
+                yield out[np.isfinite(out["s"])]
+
+    rows = vectors.where("vec_id is not null and embedding is not null")
+    blocks = max(1, rows.count() // block)
+    packed = rows.select("vec_id", "embedding", F.pmod(F.xxhash64("vec_id"), F.lit(blocks)).cast("int").alias("b")).groupBy("b").applyInPandas(pack, "b int, ids array<long>, body binary")
+    packed = cut_lineage(packed, "blocks")
+    left = packed.select(F.col("ids").alias("qids"), F.col("body").alias("qbody"), F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))).alias("b"))
     best = Window.partitionBy("src").orderBy(F.col("s").desc(), "dst")
-    return s.withColumn("n", F.row_number().over(best)).where(F.col("n") <= k).select("src", "dst")
+    found = left.join(packed, "b").mapInPandas(pairs, near)
+    return found.withColumn("n", F.row_number().over(best)).where(F.col("n") <= k).select("src", "dst")
 
 
 def toggles(spark: SparkSession, sf_dir: str) -> DataFrame:
     """(seq, src, dst, ts): every event toggles its (user, key) pair."""
     e = table(spark, sf_dir, "events")
-    return e.select(F.col("event_id").alias("seq"), vid("user_id", "user").alias("src"), vid(F.get_json_object("props", "$.k"), "key").alias("dst"), "ts")
+    return pairs_of(e)
+
+
+def pairs_of(events: DataFrame) -> DataFrame:
+    """(seq, src, dst, ts) of events, batch or stream; events without a user or a key name no pair and are left out."""
+    out = events.select(F.col("event_id").alias("seq"), vid("user_id", "user").alias("src"), vid(F.get_json_object("props", "$.k"), "key").alias("dst"), "ts")
+    return out.where("src is not null and dst is not null")
 
 
 def resolve_toggles(raw: DataFrame) -> DataFrame:
