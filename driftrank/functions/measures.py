@@ -70,3 +70,13 @@ def reverse_total_bound(n: int, m: int, updates: int, alpha: float, rmax: float,
     """All targets of an undirected graph: static cost, repairs, and drift of the potential (n times if per_target)."""
     drift = 2 * updates / alpha * (n if per_target else 1)
     return m / (alpha * rmax) + updates * (4 * n / alpha**2 + 4 / (alpha**2 * rmax)) + drift
+
+
+def pair_score(forward: DataFrame, reverse: DataFrame) -> DataFrame:
+    """(s, t, score): a forward state of s and a reverse state of t joined; reverse estimate at s plus forward estimates times reverse residuals."""
+    f, r = (x.where(F.col("node") != SINK) for x in (forward, reverse))
+    both = f.select(F.col("root").alias("s"), "node", F.col("est").alias("a")).join(r.select(F.col("root").alias("t"), "node", F.col("res").alias("b")), "node")
+    own = f.select(F.col("root").alias("s")).distinct().join(r.select(F.col("root").alias("t"), F.col("node").alias("s"), F.col("est").alias("v")), "s")
+    parts = both.select("s", "t", (F.col("a") * F.col("b")).alias("v")).union(own.select("s", "t", "v"))
+    every = f.select(F.col("root").alias("s")).distinct().crossJoin(F.broadcast(r.select(F.col("root").alias("t")).distinct()))  # roots, not rows
+    return every.join(parts.groupBy("s", "t").agg(F.sum("v").alias("v")), ["s", "t"], "left").select("s", "t", F.coalesce("v", F.lit(0.0)).alias("score"))

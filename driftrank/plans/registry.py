@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 from driftrank.functions import measures
 from driftrank.operators import kernel, push, repair
 from driftrank.plans import oracle as O
-from driftrank.plans import relational, workloads
+from driftrank.plans import methods, relational, workloads
 from driftrank.sources import graph as G
 
 ALPHA = 0.2
@@ -105,14 +105,6 @@ def _exact(graph: str, kind: str, k: int = 2):
     return query, sql
 
 
-def _violations(spark, sf_dir, kind):
-    """Defects over 1e-12 after a push on a directed graph with vertices that cannot be left: none."""
-    arcs = push.cut_lineage(G.build(spark, sf_dir, "g_web"))
-    state = push.push(arcs, push.start_state(G.sample_roots(arcs, 3)), ALPHA, 1e-4, kind)
-    d = repair.forward_defect(arcs, state) if kind == "forward" else repair.reverse_defect(arcs, state)
-    return d.agg(F.count_if(F.abs("defect") > 1e-12).alias("violations"))
-
-
 def _per_edge(spark, sf_dir, how):
     """Every update on its own in the local kernel; estimates of the end state."""
     first, later = workloads.arrivals(spark, sf_dir, "g_geo", 30)
@@ -131,27 +123,6 @@ def _per_edge_sql(how):
     {O.rounds('select root, root as node, 0.0::double as est, 1.0::double as res from r0', [(1, 60)], ALPHA, 0.0, kind, 'x', 'arcs2', 'deg2')} select root, node, {_r('est', 'est', 4)} from x_end where round(est, 4) > 0"""
 
 
-def _bounds(spark, sf_dir):
-    """Stop rules and error guarantees on g_ps: how many roots break one; none does."""
-    arcs = push.cut_lineage(G.undirect(G.build(spark, sf_dir, "g_ps")))
-    who, d = G.sample_roots(arcs, 3), G.degrees(arcs)
-    out = []
-    for kind, col in (("forward", "max_by_degree"), ("reverse", "max_abs")):
-        truth = push.cut_lineage(push.power_iteration(arcs, who, ALPHA, 60, kind))
-        state = push.push(arcs, push.start_state(who), ALPHA, 1e-4, kind)
-        e = measures.errors(state, truth, d).join(measures.certificate(state, d, kind), "root")
-        out.append(e.agg(F.lit(kind).alias("kind"), F.count_if((F.col(col) > 1e-4) | (F.col("bound") > 1e-4)).alias("broken")))
-    return out[0].union(out[1])
-
-
-def _symmetry(spark, sf_dir):
-    arcs = push.cut_lineage(G.undirect(G.build(spark, sf_dir, "g_ps")))
-    who = push.cut_lineage(G.sample_roots(arcs, 6), "roots")
-    ppr = push.cut_lineage(push.power_iteration(arcs, who, ALPHA, 60))
-    near = ppr.join(who.withColumnRenamed("root", "node"), "node", "left_semi")
-    return measures.symmetry(near, G.degrees(arcs)).agg(F.count("*").alias("pairs"), F.count_if(F.abs(F.col("lhs") - F.col("rhs")) > 1e-5).alias("broken"))
-
-
 def _cost_bound(spark, sf_dir):
     """Of 300 single updates, those whose push cost breaks the bound by residual mass and repair mass: none."""
     first, later = workloads.arrivals(spark, sf_dir, "g_dense", 300)
@@ -170,14 +141,6 @@ def _phi_is_degree(spark, sf_dir):
     return push.potential(arcs).where("node <> -1").select("node", (F.round("phi", 3) + F.lit(0.0)).alias("phi"))
 
 
-def _degree_sum(spark, sf_dir):
-    """Targets of an undirected graph whose column, cut after 24 rounds (a lower bound), sums to more than their degree: none."""
-    arcs = push.cut_lineage(G.undirect(G.build(spark, sf_dir, "g_geo")))
-    column = push.power_iteration(arcs, G.sample_roots(arcs, 20), ALPHA, 24, "reverse").groupBy("root").agg(F.sum("ppr").alias("total"))
-    j = column.join(G.degrees(arcs).withColumnRenamed("node", "root"), "root")
-    return j.agg(F.count("*").alias("targets"), F.count_if(F.col("total") > F.col("d_out") * (1 + 1e-9)).alias("broken"))
-
-
 def _degree_table(spark, sf_dir):
     return G.degrees(G.undirect(G.build(spark, sf_dir, "g_dense"))).select("node", "d_out", "d_in")
 
@@ -216,17 +179,11 @@ def _pairs() -> dict:
         q[f"repair_{how}"] = _maintained(how, "g_dense", r, again=False)
         q[f"maintain_{how}_batch"] = _maintained(how, "g_dense", r)
         q[f"maintain_{how}_per_edge"] = (lambda s, d, h=how: _per_edge(s, d, h), _per_edge_sql(how))
-    q["forward_defect"] = (lambda s, d: _violations(s, d, "forward"), "select 0::bigint as violations")
-    q["reverse_defect"] = (lambda s, d: _violations(s, d, "reverse"), "select 0::bigint as violations")
-    q["error_bounds"] = (_bounds, "select 'forward' as kind, 0::bigint as broken union all select 'reverse', 0")
     q["cost_bound_forward"] = (_cost_bound, "select 'lazy' as method, 0::bigint as broken union all select 'eager', 0")
     q["phi_sum"] = (_phi_sum, f"select round(count(*)::double, 2) as total from ({O.GRAPHS['g_next']})")
     q["phi_is_degree"] = (_phi_is_degree, f"with {O.arcs('g_geo')} select node, round(d::double, 3) as phi from deg")
-    q["prop_degree_sum"] = (_degree_sum, "select 20::bigint as targets, 0::bigint as broken")
-    q |= relational.PAIRS
-    q["symmetry"] = (_symmetry, None)
+    q |= relational.PAIRS | methods.pairs()
     q["topk_ppr"] = (_top, f"with {O.arcs('g_ps')}, {O.rounds(O.start(3), [(1, 24)], ALPHA, 1e-5, 'forward', 'x')} select root, rank, node, {_r('est', 'score')} from (select *, row_number() over (partition by root order by est desc, node) as rank from x_end) where rank <= 10")
-    q["knn_edges"] = (lambda s, d: G.build(s, d, "g_knn"), None)
     q["table2_report"] = (lambda s, d: workloads.table2(s, d), None)
     q["table3_report"] = (lambda s, d: workloads.table3_4(s, d, k=50, rmax=5e-5, r=16000), None)
     q["table4_report"] = (lambda s, d: workloads.table3_4(s, d, k=100, rmax=2e-5, r=25000), None)
