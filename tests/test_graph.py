@@ -127,16 +127,98 @@ def test_lazy_repair_reads_no_edges(spark):
     assert "CartesianProduct" not in plan and "BroadcastHashJoin" in plan
 
 
-def test_streaming_maintenance(spark, tmp_path):
-    from driftrank.streaming.edges import Maintained
-
-    m = Maintained(spark, spark.createDataFrame([(1, 2), (2, 3)], "src long, dst long"), spark.createDataFrame([(1,)], "root long"), rmax=1e-4)
-    for k, b in enumerate([[(1, 3)], [(2, 3), (2, 3)], [(1, 3)]]):
-        m.update(spark.createDataFrame(b, "src long, dst long"), k)
-    m.update(spark.createDataFrame([(1, 3)], "src long, dst long"), 2)
-    nodes, pi = exact(PATH)
-    got = state_of(m.state)
-    assert all(abs(got[x][0] - pi[0, k]) <= 2e-4 for k, x in enumerate(nodes))
+def test_streaming_maintenance_goes_on_after_a_restart(spark, tmp_path):
+    """A file stream with reversed pairs, a loop and nulls, in two runs: the state fits the edges after each, and nothing is applied twice."""
+    import datetime
+
+    from driftrank import schemas
+    from driftrank.streaming import edges as E
+
+    def put(name, pairs):
+        ts = datetime.datetime(2024, 1, 1)
+        rows = [(k, ts, u, "x", 1.0, None if v is None else f'{{"k": {v}}}') for k, (u, v) in enumerate(pairs)]
+        spark.createDataFrame(rows, schemas.EVENTS).coalesce(1).write.parquet(f"{tmp_path}/in/{name}")
+
+    first = spark.createDataFrame([(13, 22), (22, 13), (21, 21)], "src long, dst long")
+    roots = spark.createDataFrame([(13,)], "root long")
+    keeper = lambda: E.Maintained(spark, first, roots, f"{tmp_path}/state", rmax=1e-5)
+    k = keeper()
+    assert {tuple(r) for r in k.edges.collect()} == {(13, 22), (21, 21)} and k.defect() < 1e-12
+    for b, rows in enumerate([[(22, 13), (21, 21)], [(13, 30), (30, 13)], [(30, 13), (None, 5), (13, 22), (30, 30)]]):
+        k.update(spark.createDataFrame(rows, "src long, dst long"), b)
+        assert k.defect() < 1e-12
+    want = {(13, 30), (13, 22), (30, 30)}
+    assert {tuple(r) for r in k.edges.collect()} == want
+    k = keeper()  # the process is gone; its versions are not
+    assert k.last == 2 and {tuple(r) for r in k.edges.collect()} == want
+    k.update(spark.createDataFrame([(13, 30)], "src long, dst long"), 2)
+    assert {tuple(r) for r in k.edges.collect()} == want and len(k.versions()) == 2
+    # a real stream, stopped and started again
+    put("a", [(1, 2), (3, 2), (None, 1), (4, None)])
+    folder, state = f"{tmp_path}/in/*", f"{tmp_path}/stream"
+    for run in range(2):
+        k = E.Maintained(spark, first.limit(0), roots, state, rmax=1e-5)
+        E.maintain_stream(spark, E.read_events(spark, folder), k, f"{tmp_path}/ck")
+        assert k.defect() < 1e-12
+        if not run:
+            assert {tuple(r) for r in k.edges.collect()} == {(13, 22), (22, 29)}
+            put("b", [(1, 2), (5, 6)])
+    assert {tuple(r) for r in k.edges.collect()} == {(22, 29), (45, 54)}
+
+
+def test_rates_of_a_stream(spark, tmp_path):
+    import datetime
+
+    from driftrank import schemas
+    from driftrank.streaming import edges as E
+
+    rows = [(k, datetime.datetime(2024, 1, 1, k // 3), 1, "x", 1.0, "{}") for k in range(12)]
+    spark.createDataFrame(rows, schemas.EVENTS).coalesce(1).write.parquet(f"{tmp_path}/in/a")
+    q = E.rates(E.read_events(spark, f"{tmp_path}/in/*")).writeStream.format("memory").queryName("rates").outputMode("append").option("checkpointLocation", f"{tmp_path}/ck").trigger(availableNow=True).start()
+    q.awaitTermination()
+    assert [r["toggles"] for r in spark.table("rates").collect()] and all(r["toggles"] == 3 for r in spark.table("rates").collect())
+
+
+def test_push_raises_where_it_does_not_settle_and_on_dangling_vertices(spark):
+    roots = spark.createDataFrame([(1,)], "root long")
+    with pytest.raises(RuntimeError):
+        push.push(frame(spark, PATH), push.start_state(roots), 0.2, 1e-12, max_rounds=8)
+    with pytest.raises(ValueError):
+        push.push(frame(spark, [(1, 2)]), push.start_state(roots), 0.2, 0.1, dangling="error")
+    got = state_of(push.push(frame(spark, [(1, 2)]), push.start_state(roots), 0.2, 1e-9, dangling="root"))
+    _, pi = exact([(1, 2), (2, 1)])
+    assert got[1][0] == pytest.approx(pi[0, 0], abs=1e-7) and got[2][0] == pytest.approx(pi[0, 1], abs=1e-7)
+
+
+def test_walks_as_rounds(spark):
+    """Stop and visit estimates near the exact scores, before and after an edge comes and goes again; walks without a way on are stuck."""
+    from driftrank.operators import walks as W
+
+    roots, r = spark.createDataFrame([(1,)], "root long"), 1000
+    near = lambda w, how, arcs: max(abs(x["ppr"] - exact(arcs)[1][0, exact(arcs)[0].index(x["node"])]) for x in W.estimate(w, r, how).collect())
+    w = W.generate(frame(spark, PATH), roots, r)
+    assert near(w, "stop", PATH) < 0.06 and near(w, "visit", PATH) < 0.06 and w.where("stuck").isEmpty()
+    more = frame(spark, [(1, 3), (3, 1)])
+    w2 = W.reroute_insert(w, more, frame(spark, TRIANGLE))
+    assert w2.count() == r and near(w2, "stop", TRIANGLE) < 0.06
+    w3 = W.reroute_delete(w2, more, frame(spark, PATH), epoch=2)
+    assert w3.count() == r and near(w3, "stop", PATH) < 0.06
+    gone = W.reroute_delete(w3, frame(spark, [(2, 1), (2, 3)]), frame(spark, [(1, 2), (3, 2)]), epoch=3)
+    assert gone.where("stuck").count() > 0 and gone.where("stuck and element_at(path, -1) <> 2").isEmpty()
+
+
+def test_rebuild_over_arrays_equals_a_push_from_scratch(spark):
+    from driftrank.operators import kernel
+
+    first, events = frame(spark, [(1, 2), (2, 3)]), spark.createDataFrame([(1, 1, 3, 1), (2, 3, 4, 1), (3, 1, 2, -1)], "seq long, src long, dst long, op int")
+    end = [(2, 3), (3, 2), (1, 3), (3, 1), (3, 4), (4, 3)]
+    for how in ("forward", "reverse"):
+        got, trace = kernel.run(first, events, spark.createDataFrame([(2,)], "root long"), [{"name": "a", "how": f"rebuild_{how}", "rmax": 1e-6}])
+        got = state_of(got.where("node <> -1"))
+        nodes, pi = exact(end)
+        for k, x in enumerate(nodes):
+            assert got[x][0] == pytest.approx(pi[nodes.index(2), k] if how == "forward" else pi[k, nodes.index(2)], abs=2e-5)
+        assert trace.first()["push_iterations"] > 0
 
 
 def test_kernel_first_state_lists_and_cost_bound():
