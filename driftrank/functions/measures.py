@@ -57,6 +57,34 @@ def symmetry(ppr: DataFrame, degrees: DataFrame) -> DataFrame:
     return x.join(x.select(F.col("b").alias("a"), F.col("a").alias("b"), F.col("lhs").alias("rhs")), ["a", "b"])
 
 
+def static_mass(state: DataFrame, degrees: DataFrame, kind: str) -> DataFrame:
+    """(root, mass): alpha * rmax * the cost bound of a push from scratch. Forward: residual mass spent; reverse, on undirected
+    graphs: the target's degree less the residuals' mass by degree (the potential is the degree there)."""
+    j = state.where(F.col("node") != SINK).join(degrees.select("node", "d_out"), "node", "left")
+    d = F.coalesce("d_out", F.lit(0))
+    mass = 1 - F.sum("res") if kind == "forward" else F.max(F.when(F.col("node") == F.col("root"), d)) - F.sum(d * F.col("res"))
+    return j.groupBy("root").agg(mass.alias("mass"))
+
+
+def drift(old: DataFrame, new: DataFrame, at: DataFrame, degrees: DataFrame, alpha: float = 0.2) -> DataFrame:
+    """(root, l1, bound, kept): change of each root's scores by one new arc out of the vertex in ``at`` (src, one row), and its bound."""
+    gap = F.abs(F.coalesce("ppr", F.lit(0.0)) - F.coalesce("ppr2", F.lit(0.0)))
+    l1 = old.join(new.withColumnRenamed("ppr", "ppr2"), ["root", "node"], "full").groupBy("root").agg(F.sum(gap).alias("l1"))
+    here = old.join(at.select(F.col("src").alias("node")), "node").join(degrees.select("node", "d_out"), "node")
+    bound = here.select("root", (2 * F.col("ppr") / (alpha * F.col("d_out"))).alias("bound"))
+    j = l1.join(bound, "root", "left").na.fill(0.0, ["bound"])
+    return j.select("root", "l1", "bound", (F.col("l1") <= F.col("bound") + 1e-12).alias("kept"))
+
+
+def repair_mass(old: DataFrame, new: DataFrame, batch: DataFrame, degrees: DataFrame, n: int, alpha: float, rmax: float) -> DataFrame:
+    """(node, mass, bound, kept): residual that a reverse repair changed at each source of ``batch`` (new arcs) over all n targets."""
+    ends = batch.groupBy(F.col("src").alias("node")).agg(F.count("*").alias("k")).join(degrees.select("node", "d_out"), "node", "left")
+    both = old.select("root", "node", (-F.col("res")).alias("x")).union(new.select("root", "node", "res")).join(ends.select("node"), "node", "left_semi")
+    mass = both.groupBy("root", "node").agg(F.sum("x").alias("x")).groupBy("node").agg(F.sum(F.abs("x")).alias("mass"))
+    bound = (2 * n * rmax + 2) / (alpha * (F.col("k") + F.coalesce("d_out", F.lit(0))))
+    return mass.join(ends, "node").select("node", "mass", bound.alias("bound"), (F.col("mass") <= bound + 1e-9).alias("kept"))
+
+
 def forward_static_bound(alpha: float, rmax: float) -> float:
     return 1 / (alpha * rmax)
 

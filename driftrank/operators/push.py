@@ -84,6 +84,26 @@ def push(arcs: DataFrame, state: DataFrame, alpha: float = 0.2, rmax: float = 1e
     return state
 
 
+def counted(arcs: DataFrame, state: DataFrame, alpha: float = 0.2, rmax: float = 1e-4, kind: str = "forward", max_rounds: int = 400) -> tuple[DataFrame, DataFrame]:
+    """Positive rounds one by one: (state, (root, pushes, cost)); the cost of a push is the number of neighbours it reaches."""
+    adj = cut_lineage(lists(arcs, kind), "adjacency")
+    reach = cut_lineage(adj.groupBy("node").agg(F.min("thr").alias("thr"), F.sum(F.size("nbrs")).alias("reach")), "reach")
+    seen = []
+    for _ in range(max_rounds):
+        on = state.join(reach, "node", "left").where(active(1, rmax))
+        step = cut_lineage(on.groupBy("root").agg(F.count("*").alias("pushes"), F.sum(F.coalesce("reach", F.lit(0))).alias("cost")), "cost")
+        if step.isEmpty():
+            break
+        seen.append(step)
+        state = cut_lineage(one_round(adj, state, alpha, rmax, 1, kind))
+    else:
+        raise RuntimeError(f"residuals over {rmax} are left after {max_rounds} rounds")
+    every = step
+    for s in seen:
+        every = every.union(s)
+    return state, every.groupBy("root").agg(F.sum("pushes").alias("pushes"), F.sum("cost").cast("long").alias("cost"))
+
+
 def forward(arcs, state, alpha=0.2, rmax=1e-4, **kw) -> DataFrame:
     return push(arcs, state, alpha, rmax, "forward", **kw)
 

@@ -99,12 +99,16 @@ def _of_walks(fn, sql: str, graph: str = "g_ps", undirected: bool = True):
     return (lambda s, d: fn(_walked(s, d, graph, undirected=undirected)[1])), f"{setup} {sql}"
 
 
-def _rerouted(how: str):
+def rerouted(how: str, graph: str = "g_dense", last: int = 400, k: int = 3, r: int = R, told=None, told_sql: str | None = None):
+    """Walks of ``k`` roots rerouted over a batch. ``told`` (walks before, after, batch, arcs after) and ``told_sql`` (CTEs paths, vis,
+    cuts) state another result than the walks."""
+
     def query(spark, sf_dir):
-        first, whole, late = snapshots(spark, sf_dir, "g_dense", 400)
+        first, whole, late = snapshots(spark, sf_dir, graph, last)
         before, after = (first, whole) if how == "insert" else (whole, first)
-        w = walks.generate(before, G.sample_roots(before, 3), R, ALPHA)
-        return as_text(walks.reroute_insert(w, late, after, ALPHA) if how == "insert" else walks.reroute_delete(w, late, after, ALPHA))
+        w = walks.generate(before, G.sample_roots(before, k), r, ALPHA)
+        new = walks.reroute_insert(w, late, after, ALPHA) if how == "insert" else walks.reroute_delete(w, late, after, ALPHA)
+        return told(w, new, late, after) if told else as_text(new)
 
     a, b = ("", "2") if how == "insert" else ("2", "")
     visits = "select root, walk_id, stuck, len(path) as n, unnest(path) as node, generate_subscripts(path, 1) - 1 as pos from paths"
@@ -116,8 +120,11 @@ def _rerouted(how: str):
         u = uniform_sql("d1.", "v.root", "v.walk_id", "v.pos")
         cuts = f"""select x.root, x.walk_id, x.pos, h.head, h.head is null as halt from (select v.root, v.walk_id, v.pos, v.node, floor({u} * q.d) as k from vis v join vis t on t.root = v.root and t.walk_id = v.walk_id and t.pos = v.pos + 1
             join bat on bat.src = v.node and bat.dst = t.node left join deg{b} q on q.node = v.node) x left join heads{b} h on h.node = x.node and h.k = x.k"""
-    sql = f"""with recursive {snapshots_sql('g_dense', 400)}, {walk_sql('walk', _start_sql(3, arcs=f'arcs{a}'), a)}, paths as materialized (select root, walk_id, path, fin = 2 as stuck from walk where fin > 0), vis as materialized ({visits}),
-        cuts as materialized (select * from ({cuts}) qualify row_number() over (partition by root, walk_id order by pos) = 1),
+    sql = f"""with recursive {snapshots_sql(graph, last)}, {walk_sql('walk', _start_sql(k, r, f'arcs{a}'), a)}, paths as materialized (select root, walk_id, path, fin = 2 as stuck from walk where fin > 0), vis as materialized ({visits}),
+        cuts as materialized (select * from ({cuts}) qualify row_number() over (partition by root, walk_id order by pos) = 1)"""
+    if told_sql:
+        return query, f"{sql} {told_sql}"
+    sql += f""",
         {walk_sql('more', "select root, walk_id, list_append(path[1:pos + 1], head) as path from paths join cuts using (root, walk_id) where not halt", b, 1)}
         select root, walk_id, array_to_string(path, ',') as path, stuck from paths where not exists (select 1 from cuts c where c.root = paths.root and c.walk_id = paths.walk_id)
         union all select root, walk_id, array_to_string(path[1:pos + 1], ','), true from paths join cuts using (root, walk_id) where halt union all {PATHS.format('more')}"""
@@ -319,8 +326,8 @@ def pairs() -> dict:
         "visit_count_map": _of_walks(lambda w: walks.index(w).groupBy("root", "node").agg(F.count("*").alias("n")).groupBy("root").agg(F.map_from_entries(F.collect_list(F.struct("node", "n"))).alias("m")).select("root", F.explode("m").alias("node", "visits")), f"select root, node, count(*) as visits from ({visits}) group by 1, 2"),
         "walk_length_mean": _of_walks(lambda w: w.groupBy("root").agg(F.round(F.avg(F.size("path")), 6).alias("mean")), "select root, round(avg(len(path)), 6) as mean from paths group by 1"),
         "walk_storage": _of_walks(walks.storage, "select root, sum(len(path))::bigint as vertices, (4 * sum(len(path)))::bigint as bytes from paths group by 1"),
-        "walk_reroute_insert": _rerouted("insert"),
-        "walk_reroute_delete": _rerouted("delete"),
+        "walk_reroute_insert": rerouted("insert"),
+        "walk_reroute_delete": rerouted("delete"),
         "topk_accuracy_walk": _walk_accuracy(),
         "node_arrival": _kept_fresh("lazy", 1, 3e-5, 3, "node"),
         "node_arrival_reverse": _kept_fresh("reverse", 1, 1e-3, 3, "node"),

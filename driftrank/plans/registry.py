@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 from driftrank.functions import measures
 from driftrank.operators import kernel, push, repair
 from driftrank.plans import oracle as O
-from driftrank.plans import methods, relational, workloads
+from driftrank.plans import methods, relational, theory, workloads
 from driftrank.sources import graph as G
 
 ALPHA = 0.2
@@ -182,7 +182,7 @@ def _pairs() -> dict:
     q["cost_bound_forward"] = (_cost_bound, "select 'lazy' as method, 0::bigint as broken union all select 'eager', 0")
     q["phi_sum"] = (_phi_sum, f"select round(count(*)::double, 2) as total from ({O.GRAPHS['g_next']})")
     q["phi_is_degree"] = (_phi_is_degree, f"with {O.arcs('g_geo')} select node, round(d::double, 3) as phi from deg")
-    q |= relational.PAIRS | methods.pairs()
+    q |= relational.PAIRS | methods.pairs() | theory.pairs()
     q["topk_ppr"] = (_top, f"with {O.arcs('g_ps')}, {O.rounds(O.start(3), [(1, 24)], ALPHA, 1e-5, 'forward', 'x')} select root, rank, node, {_r('est', 'score')} from (select *, row_number() over (partition by root order by est desc, node) as rank from x_end) where rank <= 10")
     q["table2_report"] = (lambda s, d: workloads.table2(s, d), None)
     q["table3_report"] = (lambda s, d: workloads.table3_4(s, d, k=50, rmax=5e-5, r=16000), None)

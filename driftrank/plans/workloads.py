@@ -62,6 +62,25 @@ def figure1(spark, sf_dir, graph="g_mid", rmax=1e-4, roots=100, updates=None, fi
     return _tidy(graph, wide, ["residual_updates", "push_iterations", "push_cost", *(["seconds"] if seconds else [])])
 
 
+def amortization(spark, sf_dir, graph="g_dense", order="random", rmax=1e-3, roots=100) -> DataFrame:
+    """Cost of keeping reverse states fresh over all arrivals after the first half, in a given order, next to one build from scratch.
+
+    ``push_cost`` and ``repair_abs`` are means over targets; ``scratch_cost`` is the mean bound of one build, average degree / (alpha rmax).
+    """
+    every = G.permutation(G.build(spark, sf_dir, graph)) if graph != "g_dense" else G.arrival_by(spark, sf_dir, order)
+    every = push.cut_lineage(every, "order")
+    half = every.count() // 2
+    first = every.where(F.col("pos") <= half).select("src", "dst")
+    later = every.where(F.col("pos") > half).select(F.col("pos").alias("seq"), "src", "dst", F.lit(1).alias("op"))
+    undirected = graph != "g_next"
+    arcs = G.undirect(every) if undirected else every
+    who = G.sample_roots(G.undirect(first) if undirected else first, roots)
+    _, trace = kernel.run(first, later, who, [{"name": f"reverse_{order}", "how": "reverse", "rmax": rmax}], 0.2, undirected)
+    size = G.stats(arcs)
+    wide = measures.summary(trace).crossJoin(F.broadcast(size)).withColumn("scratch_cost", F.col("avg_degree") / (0.2 * rmax))  # one row
+    return _tidy(graph, wide, ["residual_updates", "push_iterations", "push_cost", "repair_abs", "scratch_cost"])
+
+
 def toggles(spark, sf_dir, rmax=1e-5, roots=100, updates=None) -> DataFrame:
     """Insertions and deletions: the user-key stream from an empty graph on, lazy and reverse repair."""
     ev = G.resolve_toggles(G.toggles(spark, sf_dir)).select("ts", "seq", "src", "dst", "op")

@@ -124,11 +124,32 @@ def permutation(edges: DataFrame, seed: int = 1) -> DataFrame:
 
     Rows are ranked inside 65,536 slices of the hash, to which the rows of all earlier slices (one number each) are added.
     """
-    keyed = edges.select("src", "dst", F.md5(F.concat_ws(":", F.lit(str(seed)), "src", "dst")).alias("key")).withColumn("slice", F.substring("key", 1, 4))
+    return ranked(edges.select("src", "dst", F.md5(F.concat_ws(":", F.lit(str(seed)), "src", "dst")).alias("key")).withColumn("slice", F.substring("key", 1, 4)))
+
+
+def arrival_by(spark: SparkSession, sf_dir: str, by: str) -> DataFrame:
+    """(src, dst, pos) of g_dense by first order date, by the customer's degree (largest first) or by id; ties by id.
+
+    Ranked inside slices by key and customer, of which a customer's edges are the largest.
+    """
+    if by == "random":
+        return permutation(build(spark, sf_dir, "g_dense"))
+    if by == "date":
+        t = table(spark, sf_dir, "lineitem").join(table(spark, sf_dir, "orders"), F.col("l_orderkey") == F.col("o_orderkey"))
+        e = t.groupBy(vid("o_custkey", "customer").alias("src"), vid("l_suppkey", "supplier").alias("dst")).agg(F.min("o_orderdate").alias("key"))
+        e = e.where("src is not null and dst is not null")
+    else:
+        e = build(spark, sf_dir, "g_dense")
+        e = e.withColumn("key", F.lit(0)) if by == "id" else e.join(e.groupBy("src").agg((-F.count("*")).alias("key")), "src")
+    return ranked(e.withColumn("slice", F.struct("key", "src")))
+
+
+def ranked(keyed: DataFrame) -> DataFrame:
+    """(src, dst, pos) of rows (src, dst, key, slice) in the order of slice, key, src, dst."""
     before = Window.orderBy("slice").rowsBetween(Window.unboundedPreceding, -1)
     sizes = keyed.groupBy("slice").count().select("slice", F.coalesce(F.sum("count").over(before), F.lit(0)).alias("before"))
     here = F.row_number().over(Window.partitionBy("slice").orderBy("key", "src", "dst"))
-    return keyed.withColumn("here", here).join(F.broadcast(sizes), "slice").select("src", "dst", (F.col("here") + F.col("before")).cast("long").alias("pos"))
+    return keyed.withColumn("here", here).join(sizes, "slice").select("src", "dst", (F.col("here") + F.col("before")).cast("long").alias("pos"))
 
 
 def sample_roots(arcs: DataFrame, k: int, seed: int = 1) -> DataFrame:

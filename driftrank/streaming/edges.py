@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import numpy as np
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -19,6 +21,25 @@ def rates(events: DataFrame, late: str = "10 minutes", width: str = "1 hour") ->
     return events.withWatermark("ts", late).groupBy(F.window("ts", width)).agg(F.count("*").alias("toggles")).select(F.col("window.start").alias("start"), "toggles")
 
 
+def resolve_stream(pairs: DataFrame, out: str, checkpoint: str) -> None:
+    """Append (seq, src, dst, op) of a stream of toggles (seq, src, dst, ts) to Parquet in ``out``, until what is there has been read.
+
+    The state of a pair is whether its edge is there, kept by the stream's own store, so a restart goes on from it. Toggles of
+    a pair count in the order of ts and seq inside a micro-batch. One pair's
+    toggles of a micro-batch are held at once: ``files_per_batch`` of read_events() bounds them.
+    """
+
+    def flip(key, parts, state):
+        here = state.get[0] if state.exists else False
+        rows = pd.concat(list(parts), ignore_index=True).sort_values(["ts", "seq"])
+        turn = (np.arange(len(rows)) + int(here)) % 2
+        state.update((bool((len(rows) + int(here)) % 2),))
+        yield pd.DataFrame({"seq": rows["seq"], "src": key[0], "dst": key[1], "op": np.where(turn == 0, 1, -1).astype("int32")})
+
+    keyed = pairs.groupBy("src", "dst").applyInPandasWithState(flip, "seq long, src long, dst long, op int", "here boolean", "append", "NoTimeout")
+    keyed.writeStream.format("parquet").outputMode("append").option("path", out).option("checkpointLocation", checkpoint).trigger(availableNow=True).start().awaitTermination()
+
+
 class Maintained:
     """Keeps push states fresh over batches of toggles of undirected edges; use ``update`` in foreachBatch.
 
