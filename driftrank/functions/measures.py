@@ -40,11 +40,33 @@ def accuracy(found: DataFrame, truth: DataFrame, k: int) -> DataFrame:
 
 
 def summary(trace: DataFrame) -> DataFrame:
-    """Means over roots of all counters, by method."""
+    """Means over roots of all counters of whole runs, by method."""
     names = ["residual_updates", "push_iterations", "push_cost", "repair_abs", "entries", "rerouted", "broken", "seconds"]
-    return trace.groupBy("method").agg(*(F.avg(c).alias(c) for c in names))
+    return trace.where("seq is null").groupBy("method").agg(*(F.avg(c).alias(c) for c in names))
 
 
+def curve(trace: DataFrame, what: str = "push_cost") -> DataFrame:
+    """(method, points, slope, intercept, r2): the line through the mean over roots of a counter after each marked update."""
+    at = trace.where("seq is not null").groupBy("method", "seq").agg(F.avg(what).alias("y"))
+    fit = [F.regr_slope("y", "seq").alias("slope"), F.regr_intercept("y", "seq").alias("intercept"), F.regr_r2("y", "seq").alias("r2")]
+    return at.groupBy("method").agg(F.count("*").alias("points"), *fit)
+
+
+def median_l1(states: DataFrame, truth: DataFrame) -> DataFrame:
+    """(method, l1_error): median over roots of the l1 distance between the estimates of each method's states and ``truth`` (root, node, est)."""
+    names = states.select("method").distinct()  # a row a method
+    want = truth.where(F.col("node") != SINK).select("root", "node", (-F.col("est")).alias("x")).join(F.broadcast(names))
+    both = states.where(F.col("node") != SINK).select("method", "root", "node", F.col("est").alias("x")).unionByName(want)
+    gap = both.groupBy("method", "root", "node").agg(F.abs(F.sum("x")).alias("gap"))
+    return gap.groupBy("method", "root").agg(F.sum("gap").alias("l1")).groupBy("method").agg(F.percentile("l1", 0.5).alias("l1_error"))
+
+
+def ratios(tidy: DataFrame, of: str, to: str) -> DataFrame:
+    """Rows (graph, method "of / to", metric, value) of a report's rows: quotients of two methods where both have a metric."""
+    a, b = (tidy.where(F.col("method") == m) for m in (of, to))
+    j = a.join(b.select("graph", "metric", F.col("value").alias("under")), ["graph", "metric"]).where("under <> 0")
+    return j.select("graph", F.lit(f"{of} / {to}").alias("method"), "metric", F.round(F.col("value") / F.col("under"), 6).alias("value"))
+
 def extrapolate(seconds: float, first: int, total: int) -> float:
     """Cost of rebuilding after all updates from the cost of the first ones."""
     return seconds / first * total

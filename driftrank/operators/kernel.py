@@ -298,7 +298,7 @@ class Walks:
         return sum(map(len, self.paths))
 
 
-TRACE_OUT = "method string, root long, residual_updates long, push_iterations long, push_cost long, repair_abs double, entries long, rerouted long, broken long, seconds double"
+TRACE_OUT = "method string, root long, residual_updates long, push_iterations long, push_cost long, repair_abs double, entries long, rerouted long, broken long, seconds double, seq long"
 ALL_OUT = f"{TRACE_OUT}, node long, est double, res double"
 SHARDS = 2048  # tasks that roots are dealt to, if there are as many; a number given by hand is not merged at run time
 
@@ -307,8 +307,9 @@ def run(initial: DataFrame, events: DataFrame, roots: DataFrame, methods: list[d
     """Maintain every root over the events with each method; (states, trace). Counters leave out the initial run.
 
     A method: name, how (lazy, eager, reverse, rebuild_forward, rebuild_reverse, walks), rmax or r, optionally order,
-    signs, first (rebuilds only so many updates) and check (forward only: counts updates over their cost bound as
-    broken). ``batch`` updates share one push phase. Both results come from one pass, written to the shared folder.
+    signs, first (rebuilds only so many updates), check (forward only: counts updates over their cost bound as
+    broken) and marks (repairs only: so many further trace rows with the counters up to an update, whose number is seq; the
+    row of the whole run has none). ``batch`` updates share one push phase. Both results come from one pass, written to the shared folder.
     """
     spark = initial.sparkSession
     if engine.choose(initial.select("src", "dst")) != "kernel" or engine.choose(events) != "kernel":
@@ -351,12 +352,18 @@ def run(initial: DataFrame, events: DataFrame, roots: DataFrame, methods: list[d
                 k.updates, k.cost, k.pushes = k.updates + int(counts[0]), k.cost + int(counts[0]), k.pushes + int(counts[1])
             k.est, k.res = ({int(ids[x]): float(a[x]) for x in np.flatnonzero(a)} for a in (est, res))
         else:
+            marks = []
+            step = max(1, len(both) // m["marks"]) if m.get("marks") else len(both) + 1
             for lo in range(0, len(both), batch):
                 now = [a for arcs_of in both[lo : lo + batch] for a in arcs_of]
                 if m.get("check"):
                     row["broken"] += not k.checked_update(now, how)
                 else:
                     k.update(now, how)
+                done = min(lo + batch, len(both))
+                if done // step > lo // step:
+                    marks.append({"seq": done, "residual_updates": k.updates - u0, "push_iterations": k.pushes - p0, "push_cost": k.cost - c0, "seconds": time.perf_counter() - t})
+            row["marks"] = marks
         row |= {"seconds": time.perf_counter() - t, "residual_updates": k.updates - u0, "push_iterations": k.pushes - p0, "push_cost": k.cost - c0, "repair_abs": k.repair_abs, "entries": k.entries()}
         return row, k.est | {schemas.SINK: k.sink}, k.res
 
@@ -370,7 +377,8 @@ def run(initial: DataFrame, events: DataFrame, roots: DataFrame, methods: list[d
             for r in pdf["root"]:
                 for m in methods:
                     row, est, res = one(base, both, int(r), m)
-                    yield pd.DataFrame([row | {"method": m["name"], "root": int(r)}]).reindex(columns=names)
+                    told = [row, *row.pop("marks", [])]
+                    yield pd.DataFrame([x | {"method": m["name"], "root": int(r)} for x in told]).reindex(columns=names).convert_dtypes()
                     nodes = sorted({*est, *res})
                     state = {"node": nodes, "est": [est.get(x, 0.0) for x in nodes], "res": [res.get(x, 0.0) for x in nodes]}
                     yield pd.DataFrame(state).assign(method=m["name"], root=int(r)).reindex(columns=names)

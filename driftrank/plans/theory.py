@@ -226,7 +226,7 @@ def pairs() -> dict:
         "walk_reroute_rate": M.rerouted("insert", told=_reroutes, told_sql=REROUTES_SQL),
         "walks_all_sources": M.rerouted("insert", "g_geo", 20, 1 << 30, 8, told=_reroutes, told_sql=REROUTES_SQL),
         "exact_ppr_dense": (_dense, f"with {O.directed('g_next')}, {O.rounds(O.start(5), [(1, 24)], ALPHA, 0.0, 'forward', 'x')} select root, node, {M._r('est + res', 'ppr', 5)} from x_end"),
-        "rebuild_reverse": _rebuild("reverse", 1e-2),
+        "rebuild_reverse": _rebuild("reverse", 1e-3),
         "rebuild_forward": _rebuild("forward", 1e-4),
         "arrival_orders": (_orders, _orders_sql()),
         "toggle_stream_keyed": (_streamed_toggles, "select event_id as seq, src, dst, case when row_number() over (partition by src, dst order by ts, event_id) % 2 = 1 then 1 else -1 end::int as op from (select event_id, ts, user_id * 8 + 5 as src, cast(props->>'$.k' as bigint) * 8 + 6 as dst from events) where src is not null and dst is not null"),

@@ -24,14 +24,30 @@ def _tidy(graph: str, wide: DataFrame, names: list[str]) -> DataFrame:
     return wide.select(F.lit(graph).alias("graph"), "method", F.explode(pairs).alias("x")).select("graph", "method", "x.metric", "x.value")
 
 
+def _truth(first: DataFrame, later: DataFrame, who: DataFrame, how: str = "lazy") -> DataFrame:
+    """States of the graph after all arrivals, pushed from scratch to the published benchmark's threshold, 0.02 / vertices."""
+    end = first.union(later.select("src", "dst"))
+    rmax = 0.02 / G.stats(G.undirect(end)).first()["n"]
+    return kernel.run(end, later.limit(0), who, [{"name": "truth", "how": how, "rmax": rmax}])[0]
+
+
+def _with_ratios(tidy: DataFrame, *pairs: tuple[str, str]) -> DataFrame:
+    tidy = push.cut_lineage(tidy, "report")
+    out = tidy
+    for of, to in pairs:
+        out = out.unionByName(measures.ratios(tidy, of, to))
+    return out
+
+
 def table2(spark, sf_dir, graph="g_dense", roots=100, updates=None, rmax_lazy=7e-7, rmax_eager=1e-6, seconds=False) -> DataFrame:
     """Lazy against eager repair, at the published thresholds and at equal ones."""
     first, later = arrivals(spark, sf_dir, graph, updates)
     r = G.sample_roots(G.undirect(first), roots)
     methods = [{"name": "lazy", "how": "lazy", "rmax": rmax_lazy}, {"name": "eager", "how": "eager", "rmax": rmax_eager}, {"name": "eager_equal", "how": "eager", "rmax": rmax_lazy}]
-    _, trace = kernel.run(first, later, r, methods)
-    names = ["residual_updates", "push_iterations", "push_cost", "repair_abs", "entries", *(["seconds"] if seconds else [])]
-    return _tidy(graph, measures.summary(trace), names)
+    states, trace = kernel.run(first, later, r, methods)
+    wide = measures.summary(trace).join(measures.median_l1(states, _truth(first, later, r)), "method")
+    names = ["residual_updates", "push_iterations", "push_cost", "repair_abs", "entries", "l1_error", *(["seconds"] if seconds else [])]
+    return _with_ratios(_tidy(graph, wide, names), ("eager", "lazy"), ("eager_equal", "lazy"))
 
 
 def table3_4(spark, sf_dir, graph="g_dense", k=50, rmax=5e-5, r=16000, roots=100, updates=None, seconds=False, truth=None) -> DataFrame:
@@ -46,20 +62,27 @@ def table3_4(spark, sf_dir, graph="g_dense", k=50, rmax=5e-5, r=16000, roots=100
     scores = [measures.accuracy(push.top_k(states.where(F.col("method") == m), k), truth, k).agg(F.percentile("accuracy", 0.5).alias("accuracy")).withColumn("method", F.lit(m)) for m in ("push", "walks")]
     wide = measures.summary(trace).where("method <> 'truth'").join(scores[0].unionByName(scores[1]), "method")
     wide = wide.withColumn("bytes", F.when(F.col("method") == "walks", measures.walk_bytes(r, 0.2)).otherwise(F.col("entries") * 8))
-    return _tidy(graph, wide, ["accuracy", "bytes", *(["seconds"] if seconds else [])])
+    return _with_ratios(_tidy(graph, wide, ["accuracy", "bytes", *(["seconds"] if seconds else [])]), ("walks", "push"))
 
 
-def figure1(spark, sf_dir, graph="g_mid", rmax=1e-4, roots=100, updates=None, first_rebuilds=1000, seconds=False) -> DataFrame:
-    """Reverse repair against rebuilding from scratch after each insertion, the latter scaled from its first updates."""
+def figure1(spark, sf_dir, graph="g_mid", rmax=1e-4, roots=100, updates=None, first_rebuilds=1000, seconds=False, points=50) -> DataFrame:
+    """Reverse repair against rebuilding from scratch after each insertion, the latter scaled from its first updates.
+
+    The cumulative cost of the repairs is told by the line through ``points`` of its curve, their error by the median l1 distance
+    from states of a finer threshold.
+    """
     first, later = arrivals(spark, sf_dir, graph, updates)
     updates = later.count()
     first_rebuilds = min(first_rebuilds, updates)
     who = G.sample_roots(G.undirect(first), roots)
-    methods = [{"name": "reverse", "how": "reverse", "rmax": rmax}, {"name": "rebuild", "how": "rebuild_reverse", "rmax": rmax, "first": first_rebuilds}]
-    _, trace = kernel.run(first, later, who, methods)
+    methods = [{"name": "reverse", "how": "reverse", "rmax": rmax, "marks": points}, {"name": "rebuild", "how": "rebuild_reverse", "rmax": rmax, "first": first_rebuilds}]
+    states, trace = kernel.run(first, later, who, methods)
     scale = F.when(F.col("method") == "rebuild", updates / first_rebuilds).otherwise(1.0)
     wide = measures.summary(trace).select("method", *((F.col(c) * scale).alias(c) for c in ("residual_updates", "push_iterations", "push_cost", "seconds")))
-    return _tidy(graph, wide, ["residual_updates", "push_iterations", "push_cost", *(["seconds"] if seconds else [])])
+    told = _tidy(graph, wide, ["residual_updates", "push_iterations", "push_cost", *(["seconds"] if seconds else [])])
+    error = measures.median_l1(states.where("method = 'reverse'"), _truth(first, later, who, "reverse"))
+    own = measures.curve(trace, "seconds" if seconds else "push_cost").join(error, "method")
+    return _with_ratios(told, ("rebuild", "reverse")).unionByName(_tidy(graph, own, ["slope", "intercept", "r2", "l1_error"]))
 
 
 def amortization(spark, sf_dir, graph="g_dense", order="random", rmax=1e-3, roots=100) -> DataFrame:
