@@ -141,8 +141,14 @@ class Local:
         r = self.res.get(u, 0.0) * sign
         return r > self.rmax and r > self.limit(u)
 
-    def push(self, u: int) -> list[int]:
-        a, r = self.alpha, self.res.pop(u)
+    def push(self, u: int, r: float | None = None) -> list[int]:
+        """Push u's residual, or ``r`` of it; the vertices reached."""
+        a = self.alpha
+        left = self.res.pop(u)
+        if r is None:
+            r = left
+        elif left != r:
+            self.res[u] = left - r
         self.est[u] = self.est.get(u, 0.0) + a * r
         near = self.out[u] if self.kind == "forward" else self.into[u]
         if self.kind == "forward":
@@ -176,13 +182,18 @@ class Local:
             else:
                 line = deque(sorted(u for u in seeds if self.over(u, sign)))
                 while line:
-                    wave = [line.popleft() for _ in range(len(line) if self.order == "sync" else 1)]
-                    for u in wave:
-                        if self.over(u, sign):
-                            for v in self.push(u):
-                                seeds.add(v)
-                                if self.over(v, sign):
-                                    line.append(v)
+                    wave = list(dict.fromkeys(line)) if self.order == "sync" else [line.popleft()]
+                    if self.order == "sync":
+                        line.clear()
+                    # a wave is pushed with the residuals it begins with
+                    held = {u: self.res[u] for u in wave if self.over(u, sign)}
+                    for u in held:
+                        for v in self.push(u, held[u]):
+                            seeds.add(v)
+                            if self.order == "sync" or self.over(v, sign):
+                                line.append(v)
+                    if self.order == "sync":
+                        line = deque(u for u in line if self.over(u, sign))
 
     def add(self, v: int, x: float) -> None:
         self.res[v] = self.res.get(v, 0.0) + x
@@ -306,11 +317,13 @@ SHARDS = 2048  # tasks that roots are dealt to, if there are as many; a number g
 def run(initial: DataFrame, events: DataFrame, roots: DataFrame, methods: list[dict], alpha: float = 0.2, undirected: bool = True, batch: int = 1) -> tuple[DataFrame, DataFrame]:
     """Maintain every root over the events with each method; (states, trace). Counters leave out the initial run.
 
-    A method: name, how (lazy, eager, reverse, rebuild_forward, rebuild_reverse, walks), rmax or r, optionally order,
-    signs, first (rebuilds only so many updates), check (forward only: counts updates over their cost bound as
+    A method: name, how (lazy, eager, reverse, rebuild_forward, rebuild_reverse, walks), rmax or r, optionally order
+    (repairs: sync, side by side for all roots of a task; max_first or fifo, root by root), signs, first (rebuilds only so many updates), check (forward only: counts updates over their cost bound as
     broken) and marks (repairs only: so many further trace rows with the counters up to an update, whose number is seq; the
     row of the whole run has none). ``batch`` updates share one push phase. Both results come from one pass, written to the shared folder.
     """
+    from driftrank.operators import lockstep
+
     spark = initial.sparkSession
     if engine.choose(initial.select("src", "dst")) != "kernel" or engine.choose(events) != "kernel":
         raise ValueError("graph over the kernel's checked bound; use operators.push and operators.repair")
@@ -374,18 +387,23 @@ def run(initial: DataFrame, events: DataFrame, roots: DataFrame, methods: list[d
                 first, later = held.value
                 base = Frozen(first)
                 both = [[(u, v, op), (v, u, op)] if undirected and u != v else [(u, v, op)] for u, v, op in later.tolist()]
-            for r in pdf["root"]:
-                for m in methods:
-                    row, est, res = one(base, both, int(r), m)
+            own = pdf["root"].astype("int64").tolist()
+            for m in methods:
+                if m["how"] in lockstep.HOWS and m.get("order", "sync") == "sync" and not m.get("check"):
+                    done = ((row, est | {schemas.SINK: sink}, res) for row, est, res, sink in lockstep.maintain(base, both, own, m, alpha, batch))
+                else:
+                    done = (one(base, both, r, m) for r in own)
+                for r, (row, est, res) in zip(own, done, strict=True):
                     told = [row, *row.pop("marks", [])]
-                    yield pd.DataFrame([x | {"method": m["name"], "root": int(r)} for x in told]).reindex(columns=names).convert_dtypes()
+                    yield pd.DataFrame([x | {"method": m["name"], "root": r} for x in told]).reindex(columns=names).convert_dtypes()
                     nodes = sorted({*est, *res})
                     state = {"node": nodes, "est": [est.get(x, 0.0) for x in nodes], "res": [res.get(x, 0.0) for x in nodes]}
-                    yield pd.DataFrame(state).assign(method=m["name"], root=int(r)).reindex(columns=names)
+                    yield pd.DataFrame(state).assign(method=m["name"], root=r).reindex(columns=names)
 
     names = [c.split()[0] for c in ALL_OUT.split(", ")]
     who = roots.select(F.col("root").cast("long").alias("root"))
-    spread = who.repartition(max(1, min(SHARDS, who.count())), "root")
+    # tasks keep their roots side by side, so there are no more tasks than run at once
+    spread = who.repartition(max(1, min(SHARDS, who.count(), spark.sparkContext.defaultParallelism)), "root")
     both_kinds = engine.cut_lineage(spread.mapInPandas(shard, ALL_OUT), "kernel")
     trace = both_kinds.where("seconds is not null").select(*[c.split()[0] for c in TRACE_OUT.split(", ")])
     return both_kinds.where("seconds is null").select("method", "root", "node", "est", "res"), trace
