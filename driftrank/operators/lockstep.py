@@ -119,8 +119,10 @@ class Lockstep:
         e = e[hit]
         old = self.out.near(u).copy() if how == "eager" and d and new else None
         self.out.change(u, v, op)
+        if op > 0:  # a lower degree alone lowers limits, at all roots
+            at_u = at_u[hit]
         if not len(hit):
-            return at_u  # a lower degree lowers the limit
+            return at_u
         at_v = hit * n + v
         if d == 0 or new == 0:
             self.sink[hit] -= op * (1 - a) / a * e
@@ -141,7 +143,9 @@ class Lockstep:
         return np.concatenate((at_u, at_v, (hit[:, None] * n + stay).reshape(-1)))
 
     def update(self, arcs: list[tuple[int, int, int]], how: str) -> None:
-        self.drain(np.unique(np.concatenate([self.arc(u, v, op, how) for u, v, op in arcs])))
+        touched = np.concatenate([self.arc(u, v, op, how) for u, v, op in arcs])
+        if len(touched):
+            self.drain(np.unique(touched))
 
 
 def maintain(base: Frozen, both: list, roots: list[int], m: dict, alpha: float, batch: int = 1):

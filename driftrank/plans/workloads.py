@@ -12,7 +12,7 @@ from driftrank.sources import graph as G
 
 def arrivals(spark, sf_dir: str, name: str, updates: int | None = None, seed: int = 1) -> tuple[DataFrame, DataFrame]:
     """First half of a random edge order, and the events that follow (the first ``updates`` of them)."""
-    order = G.permutation(G.build(spark, sf_dir, name), seed)
+    order = push.cut_lineage(G.permutation(G.build(spark, sf_dir, name), seed), "order")
     half = order.count() // 2
     last = half + (updates if updates is not None else half + 1)
     later = order.where((F.col("pos") > half) & (F.col("pos") <= last))
