@@ -5,9 +5,11 @@ import random
 import pytest
 
 from driftrank.operators import kernel, patches
+from driftrank.plans import registry
 
 METHODS = [
     *({"name": f"{h}_{o}", "how": h, "rmax": 0.01, "order": o, "check": h != "reverse"} for h in ("lazy", "eager", "reverse") for o in ("max_first", "fifo", "sync")),
+    {"name": "signs", "how": "lazy", "rmax": 0.01, "signs": (-1, 1)},
     {"name": "rebuild_forward", "how": "rebuild_forward", "rmax": 0.01, "first": 3},
     {"name": "rebuild_reverse", "how": "rebuild_reverse", "rmax": 0.02, "first": 3},
 ]
@@ -57,3 +59,10 @@ def test_fits_by_threshold_and_kind_of_events(graph):
     assert not fits(lazy | {"rmax": 1e-6}) and not fits(reverse | {"rmax": 1e-6})
     assert not fits(reverse, undirected=False) and not fits(lazy, batch=2) and not fits(lazy | {"marks": 5}) and not fits({"how": "walks", "r": 5})
     assert not fits(lazy, later.withColumn("op", -later["op"])) and not fits(lazy, later.union(later)) and not fits(lazy, later.drop("seq"))
+
+
+@pytest.mark.parametrize("name", ["rebuild_forward", "sweep_rmax"])
+def test_registered_queries_collect_no_graph(spark, monkeypatch, name):
+    monkeypatch.setattr(patches, "fits", lambda *a: True)
+    monkeypatch.setattr(type(spark.range(1)), "toPandas", lambda self: pytest.fail("rows of the graph on the driver"))
+    assert registry.queries()[name](spark, "/root/testdata/sf0.001").count() > 0
