@@ -12,6 +12,9 @@ from driftrank.operators import push, repair
 from driftrank.sources import graph as G
 
 
+BLOCK_BITS = 9  # 64 vertices of one kind, whose edges are one state
+
+
 def read_events(spark: SparkSession, folder: str, files_per_batch: int = 1) -> DataFrame:
     return spark.readStream.schema(schemas.EVENTS).option("maxFilesPerTrigger", files_per_batch).parquet(folder)
 
@@ -24,19 +27,25 @@ def rates(events: DataFrame, late: str = "10 minutes", width: str = "1 hour") ->
 def resolve_stream(pairs: DataFrame, out: str, checkpoint: str) -> None:
     """Append (seq, src, dst, op) of a stream of toggles (seq, src, dst, ts) to Parquet in ``out``, until what is there has been read.
 
-    The state of a pair is whether its edge is there, kept by the stream's own store, so a restart goes on from it. Toggles of
-    a pair count in the order of ts and seq inside a micro-batch. One pair's
+    The state of a pair is whether its edge is there, kept by the stream's own store, so a restart goes on from it. Pairs are
+    kept by blocks of vertices, as the edges that are there, so that a call settles a block's toggles as arrays. Toggles of
+    a pair count in the order of ts and seq inside a micro-batch. One block's
     toggles of a micro-batch are held at once: ``files_per_batch`` of read_events() bounds them.
     """
 
     def flip(key, parts, state):
-        here = state.get[0] if state.exists else False
-        rows = pd.concat(list(parts), ignore_index=True).sort_values(["ts", "seq"])
-        turn = (np.arange(len(rows)) + int(here)) % 2
-        state.update((bool((len(rows) + int(here)) % 2),))
-        yield pd.DataFrame({"seq": rows["seq"], "src": key[0], "dst": key[1], "op": np.where(turn == 0, 1, -1).astype("int32")})
-
-    keyed = pairs.groupBy("src", "dst").applyInPandasWithState(flip, "seq long, src long, dst long, op int", "here boolean", "append", "NoTimeout")
+        rows = pd.concat(list(parts), ignore_index=True).sort_values(["src", "dst", "ts", "seq"], ignore_index=True)
+        held = np.frombuffer(state.get[0] if state.exists else b"", "<i8").reshape(-1, 2)
+        by = rows.groupby(["src", "dst"])
+        named = pd.MultiIndex.from_frame(rows[["src", "dst"]])
+        there = pd.MultiIndex.from_arrays([held[:, 0], held[:, 1]])
+        op = np.where((by.cumcount().to_numpy() + named.isin(there)) % 2 == 0, 1, -1).astype("int32")
+        last = (by.cumcount(ascending=False) == 0).to_numpy() & (op == 1)
+        now = np.concatenate((held[~there.isin(named)], rows.loc[last, ["src", "dst"]].to_numpy(np.int64)))
+        state.update((now.astype("<i8").tobytes(),))
+        yield pd.DataFrame({"seq": rows["seq"], "src": rows["src"], "dst": rows["dst"], "op": op})
+
+    keyed = pairs.withColumn("block", F.shiftright("src", BLOCK_BITS)).groupBy("block").applyInPandasWithState(flip, "seq long, src long, dst long, op int", "edges binary", "append", "NoTimeout")
     keyed.writeStream.format("parquet").outputMode("append").option("path", out).option("checkpointLocation", checkpoint).trigger(availableNow=True).start().awaitTermination()
 
 

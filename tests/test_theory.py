@@ -81,3 +81,17 @@ def test_keyed_stream_of_toggles_goes_on_after_a_restart(spark, tmp_path):
         here[a, b] = not here.get((a, b), False)
         want[s] = 1 if here[a, b] else -1
     assert {r["seq"]: r["op"] for r in spark.read.parquet(out).collect()} == want
+
+
+def test_keyed_stream_settles_blocks_not_pairs(spark, tmp_path):
+    """A state a pair took a call for each of millions of pairs; over two micro-batches the toggles are those of the batch form."""
+    raw = [(i, 8 * (i * 7 % 90) + 5, 8 * (i * 3 % 5) + 6, 1000 + i // 2) for i in range(700)]
+    for k, part in enumerate((raw[:400], raw[400:])):
+        spark.createDataFrame(part, "seq long, src long, dst long, ts long").coalesce(1).write.parquet(str(tmp_path / f"in{k}"))
+        spark.read.parquet(str(tmp_path / f"in{k}")).coalesce(1).write.mode("append").parquet(str(tmp_path / "in"))
+        stream = spark.readStream.schema("seq long, src long, dst long, ts long").parquet(str(tmp_path / "in"))
+        edges.resolve_stream(stream, str(tmp_path / "out"), str(tmp_path / "log"))
+    got = {tuple(r) for r in spark.read.parquet(str(tmp_path / "out")).select("seq", "src", "dst", "op").collect()}
+    want = {tuple(r) for r in G.resolve_toggles(spark.createDataFrame(raw, "seq long, src long, dst long, ts long")).drop("ts").collect()}
+    assert got == want
+    assert spark.read.format("statestore").load(str(tmp_path / "log")).count() == 2  # 90 vertices; a state a pair: 90
