@@ -24,6 +24,7 @@ CORE, CLASSES, LEAST, SWEEPS = 1500, 48, 2, 20
 LAMBDA, STRENGTH = 0.95, 5.0
 END, RARE = 0, 1  # classes; exchange classes follow
 KINDS = 2 + CLASSES
+MERGED = 4  # slices whose words are put together before they travel
 SMALL = 16  # neighbour counts whose gains are tabled
 
 
@@ -188,6 +189,16 @@ class Gains:
         return total[:, 2:].argmax(axis=1) + 2
 
 
+def merged(slices: list[tuple[np.ndarray, np.ndarray, np.ndarray]]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(hashes, byte offsets, neighbours), a row a word, of slices of (hashes, counts, two neighbours a count): a word travels once for all of them."""
+    h, n, near = (np.concatenate(x) for x in zip(*slices))
+    order = np.argsort(h, kind="stable")
+    words, first = np.unique(h[order], return_index=True)
+    near = near[W.runs((np.cumsum(n) - n)[order], n[order])]
+    ends = np.concatenate(([0], np.cumsum(2 * n[order])))
+    return words, np.append(ends[first], ends[-1]).astype(np.int32), np.ascontiguousarray(near)
+
+
 def moved_words(slices: DataFrame, core, g: np.ndarray) -> DataFrame:
     """(h, c, cls) of all learnt words outside the core, by the classes of their neighbours in all texts.
 
@@ -197,6 +208,13 @@ def moved_words(slices: DataFrame, core, g: np.ndarray) -> DataFrame:
     gains = slices.sparkSession.sparkContext.broadcast(Gains(g.astype(np.float64)))
 
     def part(batches):
+        held = []
+
+        def row():
+            h, cut, near = merged(held)
+            held.clear()
+            return pa.record_batch({"h": pa.array(h), "near": pa.Array.from_buffers(pa.binary(), len(h), [None, pa.py_buffer(cut), pa.py_buffer(near)])})
+
         for b in batches:
             for r in range(b.num_rows):
                 seq, h = _sequence(b, r)
@@ -207,8 +225,11 @@ def moved_words(slices: DataFrame, core, g: np.ndarray) -> DataFrame:
                 near = np.stack((k[mid - 1], k[mid + 1]), 1)
                 n = np.bincount(seq[mid], minlength=len(h))
                 own = np.flatnonzero(n)
-                cut = np.concatenate(([0], np.cumsum(2 * n[own]))).astype(np.int32)
-                yield pa.record_batch({"h": pa.array(h[own]), "near": pa.Array.from_buffers(pa.binary(), len(own), [None, pa.py_buffer(cut), pa.py_buffer(np.ascontiguousarray(near))])})
+                held.append((h[own], n[own], near))
+                if len(held) == MERGED:
+                    yield row()
+        if held:
+            yield row()
 
     def sums(batches):
         last, held = None, np.zeros(2 * KINDS, np.int64)
