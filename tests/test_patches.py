@@ -61,7 +61,7 @@ def test_fits_by_threshold_and_kind_of_events(graph):
     assert not fits(lazy, later.withColumn("op", -later["op"])) and not fits(lazy, later.union(later)) and not fits(lazy, later.drop("seq"))
 
 
-@pytest.mark.parametrize("name", ["rebuild_forward", "sweep_rmax", "sweep_order"])
+@pytest.mark.parametrize("name", ["rebuild_forward", "sweep_rmax", "sweep_order", "rebuild_reverse", "sweep_signs", "amortization_dense_degree"])
 def test_registered_queries_collect_no_graph(spark, monkeypatch, name):
     monkeypatch.setattr(patches, "fits", lambda *a: True)
     monkeypatch.setattr(type(spark.range(1)), "toPandas", lambda self: pytest.fail("rows of the graph on the driver"))
