@@ -275,7 +275,8 @@ def _symmetry(spark, sf_dir):
     arcs = push.cut_lineage(G.undirect(G.build(spark, sf_dir, "g_ps")), "arcs")
     who = push.cut_lineage(G.sample_roots(arcs, 6), "roots")
     near = push.power_iteration(arcs, who, ALPHA, 40).join(F.broadcast(who.withColumnRenamed("root", "node")), "node", "left_semi")  # six rows
-    return measures.symmetry(near, G.degrees(arcs)).select("a", "b", F.round("lhs", 4).alias("lhs"), (F.abs(F.col("lhs") - F.col("rhs")) < 1e-4).alias("same"))
+    own = arcs.join(F.broadcast(who), F.col("src") == F.col("root"), "left_semi")  # degrees of the roots alone
+    return measures.symmetry(near, G.degrees(own)).select("a", "b", F.round("lhs", 4).alias("lhs"), (F.abs(F.col("lhs") - F.col("rhs")) < 1e-4).alias("same"))
 
 
 def _degree_sum(spark, sf_dir):
