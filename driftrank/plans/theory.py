@@ -175,7 +175,7 @@ def _rebuild(kind: str, rmax: float, first: int = 3):
 
     def query(spark, sf_dir):
         start, later = workloads.arrivals(spark, sf_dir, "g_ps", first)
-        who = G.sample_roots(G.undirect(start), 2)
+        who = workloads.sampled(start, 2)
         state, _ = kernel.run(start, later, who, [{"name": "rebuild", "how": f"rebuild_{kind}", "rmax": rmax}], ALPHA)
         return _fixed(state.where("node <> -1 and est > 0").select("root", "node", "est", "res"), "est", "res")
 
