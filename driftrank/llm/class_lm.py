@@ -285,8 +285,65 @@ class ClassModel:
         self.words, self.trans, self.size, self.kinds, self.n, self.v = words, trans, size, kinds, n, v
 
 
-def looked_up(slices: DataFrame, words: DataFrame) -> DataFrame:
-    """``slices`` with the count and class of each distinct word (0 and RARE for unknown ones) as packed columns c and cls."""
+def _by_slice(batches):
+    """(slice, columns) of runs of rows of one slice, which may go on in the next run; rows come sorted by slice, the first column."""
+    for b in batches:
+        s = b.column(0).to_numpy()
+        cut = np.flatnonzero(np.append(True, s[1:] != s[:-1])) if len(s) else []
+        for lo, hi in zip(cut, [*cut[1:], len(s)], strict=True):
+            yield int(s[lo]), [b.column(i).slice(lo, hi - lo) for i in range(1, b.num_columns)]
+
+
+def _entries(c: np.ndarray, cls: np.ndarray) -> dict[str, pa.Array]:
+    return {"c": _packed(c, "<i8" if len(c) and c.max() >= 1 << 32 else "<u4"), "cls": _packed(cls, "u1")}
+
+
+def pieces(batches):
+    """Rows (slice, k, c, cls), sorted by slice and k, as one row a slice: steps from one k to the next (low, high), counts and classes."""
+
+    def row(at, held):
+        k, c, cls = (np.concatenate(x) for x in zip(*held))
+        return pa.record_batch({"slice": pa.array([at], pa.int64()), **_planes(np.diff(k.astype(np.int64), prepend=0)), **_entries(c, cls)})
+
+    last, held = None, []
+    for at, cols in _by_slice(batches):
+        if at != last and held:
+            yield row(last, held)
+            held = []
+        last = at
+        held.append([x.to_numpy() for x in cols])
+    if held:
+        yield row(last, held)
+
+
+def assembled(batches):
+    """Rows of pieces(), sorted by slice, as one row a slice with the counts and classes of all its distinct words."""
+
+    def row(at, held):
+        k, c, cls = (np.concatenate(x) for x in zip(*held))
+        order = np.empty(len(k), np.int64)
+        order[k] = np.arange(len(k))
+        return pa.record_batch({"slice": pa.array([at], pa.int64()), **_entries(c[order], cls[order])})
+
+    last, held = None, []
+    for b in batches:
+        s = b.column(0).to_pylist()
+        for r, at in enumerate(s):
+            if at != last and held:
+                yield row(last, held)
+                held = []
+            last = at
+            cls, raw = _unpacked(b, "cls", r, "u1"), _unpacked(b, "c", r, "u1")
+            held.append((np.cumsum(_codes(b, r)), raw.view("<u4" if len(raw) == 4 * len(cls) else "<i8").astype(np.int64), cls))
+    if held:
+        yield row(last, held)
+
+
+def answers(slices: DataFrame, words: DataFrame) -> DataFrame:
+    """(slice, c, cls), written: count and class of each distinct word of a slice (0 and RARE for unknown ones), packed.
+
+    They go back to their slices in pieces, one of each slice and task.
+    """
 
     def names(batches):
         for b in batches:
@@ -294,28 +351,18 @@ def looked_up(slices: DataFrame, words: DataFrame) -> DataFrame:
                 h = _unpacked(b, "hashes", r, "<i8")
                 yield pa.record_batch({"slice": pa.array(np.full(len(h), b.column(0)[r].as_py())), "k": pa.array(np.arange(len(h), dtype=np.int32)), "h": pa.array(h)})
 
-    def packed(batches):
-        last, c, cls = None, [], []
-
-        def row():
-            return pa.record_batch({"slice": pa.array([last], pa.int64()), "c": _packed(np.concatenate(c), "<i8" if max(map(np.max, c)) >= 1 << 32 else "<u4"), "cls": _packed(np.concatenate(cls), "u1")})
-
-        for b in batches:
-            s = b.column(0).to_numpy()
-            for lo, hi in zip(cut := np.flatnonzero(np.append(True, s[1:] != s[:-1])) if len(s) else [], [*cut[1:], len(s)], strict=True):
-                if s[lo] != last:
-                    if last is not None:
-                        yield row()
-                    last, c, cls = int(s[lo]), [], []
-                c.append(b.column(1).to_numpy()[lo:hi])
-                cls.append(b.column(2).to_numpy()[lo:hi])
-        if last is not None:
-            yield row()
-
+    packed = "low binary, high binary, c binary, cls binary"
     found = slices.select("slice", "hashes").mapInArrow(names, "slice long, k int, h long").join(words, "h", "left")
     found = found.select("slice", "k", F.coalesce("c", F.lit(0)).alias("c"), F.coalesce("cls", F.lit(RARE)).alias("cls"))
-    replies = found.repartition("slice").sortWithinPartitions("slice", "k").select("slice", "c", "cls").mapInArrow(packed, "slice long, c binary, cls binary")
-    return slices.drop("hashes").join(replies, "slice", "left")  # a slice without words has no reply
+    parts = found.sortWithinPartitions("slice", "k").mapInArrow(pieces, f"slice long, {packed}")
+    return W.written(parts.repartition("slice").sortWithinPartitions("slice").mapInArrow(assembled, "slice long, c binary, cls binary"), "replies")
+
+
+def answered(slices: DataFrame, replies: DataFrame) -> DataFrame:
+    """``slices``, written, with their ``replies`` in place of their hashes; both are dropped."""
+    ready = W.written(slices.drop("hashes").join(replies, "slice", "left"), "ready")  # a slice without words has no reply
+    W.dropped(slices, replies)
+    return ready
 
 
 def train(documents: DataFrame, learn: Column | None = None) -> tuple[ClassModel, DataFrame]:
@@ -340,10 +387,14 @@ def train(documents: DataFrame, learn: Column | None = None) -> tuple[ClassModel
     core = spark.sparkContext.broadcast((known, cls[:m][order]))
     own = spark.createDataFrame([(int(h), int(c), int(k)) for h, c, k in zip(top["h"], top["c"], cls[:m], strict=True)], "h long, c long, cls int")
     words = W.written(own.union(moved_words(slices, core, g)), "words")
+    size, kinds = np.zeros(KINDS), np.zeros(KINDS)
+    for r in words.groupBy("cls").agg(F.sum("c").alias("c"), F.count("*").alias("k")).collect():  # KINDS rows at most
+        size[r["cls"]], kinds[r["cls"]] = r["c"], r["k"]
     W.dropped(counts)
-    ready = W.written(looked_up(slices, words), "ready")
-    W.dropped(slices)
-    ends = learnt_rows(ready)
+    replies = answers(slices, words)
+    ends = learnt_rows(slices)  # Spark holds the last job's shuffles, so this one comes before they are freed
+    W.freed(spark)
+    ready = answered(slices, replies)
 
     def fill(mine, b):
         for r in range(b.num_rows):
@@ -354,20 +405,17 @@ def train(documents: DataFrame, learn: Column | None = None) -> tuple[ClassModel
     g = W.summed_sketch(ready, KINDS * KINDS, fill, text="low").reshape(KINDS, KINDS)
     prior = (g.sum(0) + 0.5) / (g.sum() + 0.5 * KINDS)
     trans = (g + STRENGTH * prior) / (g.sum(1, keepdims=True) + STRENGTH)
-    size, kinds = np.zeros(KINDS), np.zeros(KINDS)
-    for r in words.groupBy("cls").agg(F.sum("c").alias("c"), F.count("*").alias("k")).collect():  # KINDS rows at most
-        size[r["cls"]], kinds[r["cls"]] = r["c"], r["k"]
     size[END], kinds[END] = ends, 1
     return ClassModel(words, trans, size, kinds, int(s[0]) + ends, int(s[1]) + (ends > 0)), ready
 
 
-def learnt_rows(ready: DataFrame) -> int:
+def learnt_rows(slices: DataFrame) -> int:
     """How many rows are learnt from."""
 
     def fill(mine, b):
         mine[0] += sum(int(_unpacked(b, "learn", r, "?").sum()) for r in range(b.num_rows))
 
-    return int(W.summed_sketch(ready.select("learn"), 1, fill, text="learn")[0])
+    return int(W.summed_sketch(slices.select("learn"), 1, fill, text="learn")[0])
 
 
 def score(ready: DataFrame, model: ClassModel) -> DataFrame:
@@ -407,7 +455,7 @@ def score(ready: DataFrame, model: ClassModel) -> DataFrame:
 def score_documents(documents: DataFrame, model: ClassModel) -> DataFrame:
     """score() of rows of (doc_id, text) that the model was not made with."""
     slices = W.written(coded(documents, F.lit(False)), "coded")
-    return score(looked_up(slices, model.words), model)
+    return score(answered(slices, answers(slices, model.words)), model)
 
 
 def perplexity(scores: DataFrame) -> DataFrame:
