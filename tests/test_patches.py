@@ -2,10 +2,12 @@
 
 import random
 
+import numpy as np
 import pytest
 
 from driftrank.operators import kernel, patches
 from driftrank.plans import registry
+from driftrank.sources import graph as G
 
 METHODS = [
     *({"name": f"{h}_{o}", "how": h, "rmax": 0.01, "order": o, "check": h != "reverse"} for h in ("lazy", "eager", "reverse") for o in ("max_first", "fifo", "sync")),
@@ -66,3 +68,42 @@ def test_registered_queries_collect_no_graph(spark, monkeypatch, name):
     monkeypatch.setattr(patches, "fits", lambda *a: True)
     monkeypatch.setattr(type(spark.range(1)), "toPandas", lambda self: pytest.fail("rows of the graph on the driver"))
     assert registry.queries()[name](spark, "/root/testdata/sf0.001").count() > 0
+
+
+@pytest.mark.parametrize("name", ["cost_bound_forward", "amortization_dense_date", "amortization_dense_random"])
+def test_these_collect_no_graph_either(spark, monkeypatch, name):
+    test_registered_queries_collect_no_graph(spark, monkeypatch, name)
+
+
+def test_one_vertex_is_refreshed_as_many_are(spark, graph):
+    first, later, roots = graph
+    stored = patches.Stored(*patches.store(first, later.select("seq", "src", "dst"), True))
+    a, b = (patches.State(patches.Patch(stored), roots.first()[0], 0.2, 0.01, "reverse") for _ in range(2))
+    for now in (400, 900, 2000):
+        at = np.flatnonzero(~a.kept[: len(a.patch.ids)])
+        assert [a.patch.degree_of(i, now) for i in at.tolist()] == a.patch.degree(at, now).tolist()
+        a.refresh(at, now)
+        for i in at.tolist():
+            b.refresh_one(i, now)
+        assert (a.res == b.res).all() and (a.held == b.held).all() and a.updates == b.updates > 0
+        assert a.repair_abs == pytest.approx(b.repair_abs, rel=1e-12)
+
+
+def test_lists_are_stored_by_vertex_arrival_and_head(spark, graph):
+    first, later, _ = graph
+    folder, files = patches.store(first, later.select("seq", "src", "dst"), True)
+    _, begin, when, far = patches.Stored(folder, files).part(0)
+    for lo, hi in zip(begin.tolist(), begin[1:].tolist()):
+        keys = list(zip(when[lo:hi].tolist(), far[lo:hi].tolist()))
+        assert keys == sorted(keys)
+
+
+def test_mean_degree_needs_no_distinct_arcs(spark, monkeypatch):
+    apart = spark.createDataFrame([(8 * i + 3, 8 * (i * j % 7) + 4) for i in range(9) for j in range(3)], "src long, dst long").distinct()
+    mixed = spark.createDataFrame([(8, 16), (16, 8), (16, 16), (16, 24)], "src long, dst long")
+    for e in (apart, mixed):
+        for undirected in (True, False):
+            want = G.stats(G.undirect(e) if undirected else e).first()["avg_degree"]
+            assert G.mean_degree(e, undirected).first()["avg_degree"] == want
+    monkeypatch.setattr(G, "undirect", lambda e: pytest.fail("distinct arcs"))
+    G.mean_degree(apart, True)
