@@ -64,7 +64,7 @@ def sketch(frame: DataFrame, window: int, gram: int) -> np.ndarray:
             pick = g[W.sliding(most, w, np.maximum) == g]
             held.append(pick)
             n += len(pick)
-            if n > 4_000_000:
+            if n > 1_000_000:
                 yield from flush()
                 held, n = [], 0
         if n:
@@ -87,6 +87,7 @@ def sketch(frame: DataFrame, window: int, gram: int) -> np.ndarray:
                 seen[at] = np.minimum(seen[at] + 1 + (x & np.uint32(1)).astype(np.uint8), 2)
         if own is not None:
             yield done()
+        W.trim()
 
     schema = "slab long, body binary"
     bits = np.zeros(2 * WIDTH // 8, np.uint8)
@@ -112,17 +113,31 @@ def _differ(e: np.ndarray, *columns: str) -> np.ndarray:
     return new
 
 
+def _differ_by(e: np.ndarray, by: np.ndarray, column: str) -> np.ndarray:
+    """_differ() of one column of e[by], which is not made whole."""
+    x, new = e[column][by], np.ones(len(by), bool)
+    new[1:] = x[1:] != x[:-1]
+    return new
+
+
+def _only(e: np.ndarray, rows: np.ndarray) -> np.ndarray:
+    """e[rows] of ascending rows, in the place of ``e``: no second copy of all columns."""
+    for c in e.dtype.names:
+        e[c][: len(rows)] = e[c][rows]
+    return e[: len(rows)]
+
+
 def _settled(e: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """Which entries are of windows that occur twice or more in ``e`` and not known to repeat yet; one of each distinct window, marked."""
-    key = np.ascontiguousarray(e["h1"])
-    by = np.argsort(key, kind="stable")
-    s = e[by]
-    if (_differ(s, "g", "h1", "h2") != _differ(s, "h1")).any():  # one hash, several windows
+    by = np.argsort(np.ascontiguousarray(e["h1"]), kind="stable")
+    new = _differ_by(e, by, "h1")
+    every = new | _differ_by(e, by, "g") | _differ_by(e, by, "h2")
+    if (every != new).any():  # one hash, several windows
         by = np.lexsort((e["h2"], e["h1"], e["g"]))
-        s = e[by]
-    begin = np.flatnonzero(_differ(s, "g", "h1", "h2"))
-    size = np.diff(np.append(begin, len(s)))
-    hits = np.sort(by[np.repeat(size > 1, size) & ~s["known"]])
+        every = _differ_by(e, by, "h1") | _differ_by(e, by, "g") | _differ_by(e, by, "h2")
+    begin = np.flatnonzero(every)
+    size = np.diff(np.append(begin, len(e)))
+    hits = np.sort(by[np.repeat(size > 1, size) & ~e["known"][by]])
     first = by[begin]
     e["known"][first] |= size > 1
     return hits, np.sort(first)
@@ -147,27 +162,28 @@ def repeated_windows(keys: DataFrame, window: int, gram: int = GRAM) -> DataFram
     bits = keys.sparkSession.sparkContext.broadcast(sketch(keys, window, gram))
 
     def part(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in W.slices(batches, limit=4 * W.SLICE_BYTES):
+        for b in W.slices(batches, limit=2 * W.SLICE_BYTES):
             words = W.Words(b.column(0))
             _, low, ok = _grams(words, window, gram)
             pos = np.flatnonzero(ok)
             pos = pos[_set(bits.value, low[pos])]
             if not len(pos):
                 continue
-            row = words.rows()[pos]
             e = np.zeros(len(pos), _ENTRY)
             e["g"] = low[pos].view(np.int64)
-            del low
+            del low, ok
             e["h1"] = W.rolling(words.hashes(11), window)[pos]
             e["h2"] = W.rolling(words.hashes(12), window, 0xD6E8FEB86659FD93)[pos] >> np.uint64(32)
+            row = words.rows()[pos]
             e["dk"], e["th"], e["pos"] = b.column(1).to_numpy()[row], b.column(2).to_numpy()[row], pos - words.starts[row]
+            del words, row, pos
             # what repeats within the slice is settled here; one entry marked as known tells the others
             hits, left = _settled(e)
             own = _spots(e[hits])
             k = len(own["dk"])
             deal = W.mix(own["dk"].to_numpy().view(np.uint64) + own["pos"].to_numpy().astype(np.uint64)).view(np.int64)
             yield pa.record_batch({"g": pa.array(deal), "known": pa.nulls(k, pa.bool_()), **own, "body": pa.nulls(k, pa.binary())})
-            left = e[left]
+            left = _only(e, left)
             begin, n = _stretches(left, "g", "known")
             ends = (np.append(begin, len(left)) * _HASH.itemsize).astype(np.int32)
             packed = np.empty(len(left), _HASH)
@@ -197,7 +213,9 @@ def repeated_windows(keys: DataFrame, window: int, gram: int = GRAM) -> DataFram
             hits, left = _settled(e)
             if len(hits):
                 yield pa.record_batch(_spots(e[hits]))
-            carry = e[left][e["g"][left] == last]  # rows come by gram: only the last one may go on
+            carry = e[left[e["g"][left] == last]]  # rows come by gram: only the last one may go on
+            del e, packed
+        W.trim()
 
     flagged = keys.select("text", "dk", "th").mapInArrow(part, "g long, known boolean, dk long, th long, pos int, n int, body binary")
     return flagged.repartition("g").sortWithinPartitions("g").mapInArrow(resolve, SPOTS)

@@ -168,7 +168,10 @@ def fit(texts: list[str], labels: list[int], seed: int = 5, whole: int = 3, part
         best = np.maximum.reduceat(z, begin[:-1])[row]
         _epoch(state, bags, np.flatnonzero(some & ((y[row] == 0) | (z >= best - 1e-9))), y[row], rng, rate)
     bucket = state["emb"] @ (state["out"][:, 1] - state["out"][:, 0]) * GAIN
-    return calibrated(Model(bucket * known, float(state["bias"][1] - state["bias"][0])), texts, y)
+    model = Model(bucket * known, float(state["bias"][1] - state["bias"][0]))
+    del w, bags, ids, cut, total, z, best, some, at, end, row, k, begin  # the words of all texts are made once more
+    W.trim()
+    return calibrated(model, texts, y)
 
 
 def calibrated(model: Model, texts: list[str], y: np.ndarray) -> Model:
@@ -201,6 +204,8 @@ def train(documents: DataFrame, labels: DataFrame, learn) -> Model:
         got = [b.to_pandas() for b in batches]
         got = pd.concat(got).sort_values("doc_id") if got else pd.DataFrame({"text": [], "toxic": []})
         m = fit(got["text"].tolist(), got["toxic"].tolist())
+        del got
+        W.trim()
         yield pa.record_batch({"bucket": pa.array([m.bucket.astype("<f4").tobytes()], pa.binary()), "bias": pa.array([m.bias], pa.float64())})
 
     one_each = rows.groupBy("doc_id", "toxic").agg(F.min("text").alias("text"))
