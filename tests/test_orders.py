@@ -25,3 +25,11 @@ def test_slices_by_date_are_counted_side_by_side(spark, capsys):
     windows = [x for x in plan.split("\n") if "Window [" in x and "sum(" in x]
     # of the sums over earlier slices, the one over dates alone is in one task
     assert len(singles) == 1 and len(windows) == 2
+
+
+def test_orders_are_not_sent_to_the_driver(spark, capsys):
+    # here orders are small; at 60 times sf0.1 their file still passes for it
+    for e in (G.build(spark, "/root/testdata/sf0.001", "g_dense"), G.build(spark, "/root/testdata/sf0.001", "g_mid"), G.arrival_by(spark, "/root/testdata/sf0.001", "date")):
+        e.select("src").explain()
+        plan = capsys.readouterr().out
+        assert "SortMergeJoin" in plan and not any("BroadcastHashJoin [l_orderkey" in x for x in plan.split("\n"))
