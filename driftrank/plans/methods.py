@@ -272,7 +272,8 @@ def _frontier(spark, sf_dir):
 
 
 def _symmetry(spark, sf_dir):
-    arcs = push.cut_lineage(G.undirect(G.build(spark, sf_dir, "g_ps")), "arcs")
+    edges = push.cut_lineage(G.build(spark, sf_dir, "g_ps"), "edges")
+    arcs = edges.union(edges.select("dst", "src"))  # distinct as they are: parts are no suppliers
     who = push.cut_lineage(G.sample_roots(arcs, 6), "roots")
     near = push.power_iteration(arcs, who, ALPHA, 40).join(F.broadcast(who.withColumnRenamed("root", "node")), "node", "left_semi")  # six rows
     own = arcs.join(F.broadcast(who), F.col("src") == F.col("root"), "left_semi")  # degrees of the roots alone
